@@ -18,6 +18,7 @@ BUCKETS = 1 << 20
 _PROVIDER = "spark.sql.streaming.stateStore.providerClass"
 _BOUNDED = "spark.sql.streaming.stateStore.rocksdb.boundedMemoryUsage"
 _BOUND_MB = "spark.sql.streaming.stateStore.rocksdb.maxMemoryUsageMB"
+_RESERVE = "spark.sql.streaming.stateStore.rocksdb.allowFAllocate"
 
 
 def sha256_digest(normalised: Column) -> Column:
@@ -47,10 +48,11 @@ class StreamingDeduplicator:
         self.schema = records.schema
         records.write.mode("append").parquet(self.feed)
         conf = self.spark.conf
-        before = {k: conf.get(k, None) for k in (_PROVIDER, _BOUNDED, _BOUND_MB)}
+        before = {k: conf.get(k, None) for k in (_PROVIDER, _BOUNDED, _BOUND_MB, _RESERVE)}
         conf.set(_PROVIDER, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
         conf.set(_BOUNDED, "true")
         conf.set(_BOUND_MB, str(self.memory_mb))
+        conf.set(_RESERVE, "false")  # a store for each shuffle partition: none reserves space it does not use
         out = self.out
         try:
             stream = (self.spark.readStream.schema(self.schema).parquet(self.feed)

@@ -77,13 +77,15 @@ class StreamingDeduplicator:
 
 
 def _mixed_digests(docs: DataFrame, dedup: StreamingDeduplicator, hits: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Texts of the digests that were hit, and those digests whose bytes are not all equal."""
+    """Texts whose digest may have been hit, and the digests whose bytes are not all equal.
+
+    Copies are compared and combined in the task that reads them first."""
     bucket = F.pmod(F.xxhash64("digest"), F.lit(BUCKETS))
     touched = F.broadcast(hits.select(bucket.alias("bucket")).distinct())  # at most BUCKETS rows of eight bytes
     text = text_or_empty("text")
     found = (docs.select("doc_id", text.alias("text")).withColumn("norm", without_separators(F.col("text")))
              .withColumn("digest", dedup.digest(F.col("norm"))).withColumn("bucket", bucket)
-             .join(touched, "bucket", "left_semi").join(hits.select("digest"), "digest", "left_semi"))
+             .join(touched, "bucket", "left_semi"))  # some digests that were not hit pass too; they do no harm
     wrong = found.groupBy("digest").agg(F.min("norm").alias("lo"), F.max("norm").alias("hi")).filter("lo <> hi").select("digest")
     return found, wrong
 

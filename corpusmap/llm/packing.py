@@ -7,6 +7,7 @@ open window, found by a segment tree over remaining capacities.
 
 from __future__ import annotations
 
+import json
 import sys
 import unicodedata
 import zlib
@@ -21,7 +22,7 @@ from corpusmap.llm.common import documents, materialize, ship, text_or_empty
 
 WINDOW = 2048
 END_ID = 1
-CACHE = 300_000
+CACHE = 500_000
 
 
 class CapacityTree:
@@ -76,47 +77,102 @@ def best_fit_decreasing(lengths: np.ndarray, window: int = WINDOW) -> tuple[np.n
     return where, offset
 
 
+def _byte_of() -> dict[str, int]:
+    """The byte behind each printable stand-in of a byte-level vocabulary."""
+    plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    other = [b for b in range(256) if b not in set(plain)]
+    return {chr(b): b for b in plain} | {chr(256 + i): b for i, b in enumerate(other)}
+
+
+class WordCore:
+    """Merges of single words by a rank table; a byte that UTF-8 never uses stands for the end of a word.
+
+    The first merge of a word joins its last byte with that mark, which gives
+    the symbols the vocabulary starts from; then merges follow in their order.
+    """
+
+    MARK = b"\xff"
+
+    def __init__(self, path: str):
+        import tiktoken
+
+        with open(path, encoding="utf-8") as f:
+            model = json.load(f)["model"]
+        of, suffix = _byte_of(), model["end_of_word_suffix"]
+
+        def raw(token: str) -> bytes:
+            end = token.endswith(suffix)
+            return bytes(of[c] for c in (token[: -len(suffix)] if end else token)) + self.MARK * end
+
+        order = [bytes([b]) for b in range(256)] + [bytes([b]) + self.MARK for b in range(255)]
+        order += [raw(a) + raw(b) for a, b in (m.split(" ") if isinstance(m, str) else m for m in model["merges"])]
+        ranks = {t: i for i, t in enumerate(dict.fromkeys(order))}
+        ids = {raw(t): i for t, i in model["vocab"].items() if all(c in of for c in t)}
+        self.bytes_of = [ids[t].to_bytes(4, "little") if t in ids else b"" for t in ranks]
+        self.piece = tiktoken.Encoding("words", pat_str=r"\S+", mergeable_ranks=ranks, special_tokens={})._core_bpe.encode_single_piece
+
+    def __call__(self, word: str) -> bytes:
+        of = self.bytes_of
+        return b"".join([of[i] for i in self.piece(word.encode() + self.MARK)])
+
+
 class CachedEncoder:
     """Token ids, little-endian in 32 bits, of whole texts; chunks between blanks are encoded once and kept.
 
     No token of the vocabulary and no rule of its normaliser reaches over a
     blank or line feed, so the ids of a text are those of its chunks in turn.
-    The cache is emptied when full.
+    Letters, or letters and then marks, are one or two words and go to
+    :class:`WordCore`; whatever else goes to the tokenizer itself. The cache
+    is emptied when full.
     """
 
+    #: fixed values: marks that form a word of their own after letters
+    MARKS = "!\"#$%&()*+,-./:;=>?@[\\]^_`{|}~"
+
     def __init__(self, path: str, most: int = CACHE):
         from tokenizers import Tokenizer
 
-        self.inner, self.most, self.seen = Tokenizer.from_file(path), most, {"": b""}
-
-    def _learn(self, chunks: list[str]) -> None:
-        if len(self.seen) + len(chunks) > self.most:
-            self.seen = {"": b""}
-        seen, base = self.seen, {}
-        for c in chunks:
-            if c[-1] in ",." and unicodedata.normalize("NFC", c[:-1]).lower().isalpha():  # letters and one stop are two words to the tokenizer
-                base[c] = (c[:-1], c[-1])
-        need = list({x for c in chunks for x in base.get(c, (c,)) if x not in seen})
-        for x, e in zip(need, self.inner.encode_batch_fast(need, add_special_tokens=False), strict=True):
-            seen[x] = np.array(e.ids, dtype="<u4").tobytes()
-        for c, (a, b) in base.items():
-            seen[c] = seen[a] + seen[b]
+        self.inner, self.core, self.most, self.seen = Tokenizer.from_file(path), WordCore(path), most, {"": b""}
+
+    def _learn(self, chunk: str) -> bytes:
+        head = chunk.rstrip(self.MARKS)
+        word = head.lower() if head.isascii() else unicodedata.normalize("NFC", head).lower() if "\u03a3" not in head else "?"
+        if word.isalpha():
+            ids = self.core(word)
+        elif not head:
+            ids = b""
+        else:
+            return np.array(self.inner.encode(chunk, add_special_tokens=False).ids, dtype="<u4").tobytes()
+        return ids + (self.core(chunk[len(head):]) if len(head) < len(chunk) else b"")
+
+    @staticmethod
+    def _folded(text: str) -> str:
+        """The text in lower case where the tokenizer would fold it to just that, else as it is."""
+        low = text.lower()
+        if "<|" in text:  # names of special tokens are told apart by case
+            return text
+        if text.isascii():
+            return low
+        plain = "\u0130" not in text and "\u03a3" not in text
+        return low if plain and unicodedata.is_normalized("NFC", text) and unicodedata.is_normalized("NFC", low) else text
 
     def __call__(self, text: str) -> bytes:
-        chunks = text.replace("\n", " ").split(" ")
+        chunks = self._folded(text).replace("\n", " ").split(" ")
         try:
             return b"".join(map(self.seen.__getitem__, chunks))
         except KeyError:
-            parts = []
-            for at in range(0, len(chunks), 20_000):
-                some = chunks[at: at + 20_000]
-                self._learn([c for c in dict.fromkeys(some) if c not in self.seen])
-                parts += [self.seen[c] if c in self.seen else self._one(c) for c in some]
+            parts, seen = [], self.seen
+            if len(seen) >= self.most:
+                seen = self.seen = {"": b""}
+            for c in chunks:
+                ids = seen.get(c)
+                if ids is None:
+                    ids = self._learn(c)
+                    if len(c) < 64 and len(seen) < self.most:
+                        seen[c] = ids
+                parts.append(ids)
             return b"".join(parts)
 
-    def _one(self, chunk: str) -> bytes:
-        return np.array(self.inner.encode(chunk, add_special_tokens=False).ids, dtype="<u4").tobytes()
-
 
 def _encoder(path: str) -> CachedEncoder:
     """One per worker process: workers outlive tasks."""

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from corpusmap.llm.common import documents, held_out, materialize, release, ship, text_or_empty
+from corpusmap.llm.common import documents, held_out, materialize, ship, text_or_empty
 
 END = b" "  # no token holds a blank
 TAIL_CLASSES, TAIL_BYTES, HEAVY_BYTES = 4096, 3, 64
@@ -297,7 +297,6 @@ def train(docs: DataFrame, p: Params | None = None) -> tuple[Model, DataFrame]:
     start_states(model, sample.toArrow().column("text").to_pylist(), p)
     for _ in range(p.passes):
         train_pass(texts, model, p)
-    release(docs.sparkSession)
     return model, counts
 
 

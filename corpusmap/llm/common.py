@@ -105,3 +105,9 @@ def held_out(modulus: int, remainder: int, doc_id: str = "doc_id") -> Column:
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
+
+
+def thinned(df: DataFrame, hashed: Column, wanted: int, of: int, spare: float = 4.0) -> DataFrame:
+    """Rows by hash, about ``spare`` times ``wanted`` of ``of``: what a sample is then picked from stays small however long the table."""
+    share = min(1.0, spare * wanted / max(of, 1))
+    return df if share >= 1 else df.filter(F.pmod(hashed, F.lit(1 << 30)) < int(share * (1 << 30)))

@@ -12,7 +12,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from corpusmap.llm.common import documents, fresh_path, text_or_empty, without_separators
+from corpusmap.llm.common import documents, fresh_path, materialize, text_or_empty, without_separators
 
 BUCKETS = 1 << 20
 _PROVIDER = "spark.sql.streaming.stateStore.providerClass"
@@ -100,7 +100,7 @@ def exact_classes(docs: DataFrame, digest=sha256_digest) -> DataFrame:
     """
     spark = docs.sparkSession
     dedup = StreamingDeduplicator(spark, digest).add(docs)
-    state = dedup.state()
+    state = materialize(dedup.state(), "dedup-classes")
     rows = spark.read.schema(dedup.schema).parquet(dedup.feed)
     found, wrong = _mixed_digests(docs, dedup, state.filter("group_size > 1"))
     bad = [r[0] for r in wrong.limit(1).collect()]

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from corpusmap.llm.common import documents, held_out, materialize, ship, text_or_empty
+from corpusmap.llm.common import documents, held_out, materialize, ship, text_or_empty, thinned
 
 END = b" "  # no token holds a blank
 TAIL_CLASSES, TAIL_BYTES, HEAVY_BYTES = 4096, 3, 64
@@ -293,7 +293,9 @@ def train(docs: DataFrame, p: Params | None = None) -> tuple[Model, DataFrame]:
     texts = docs.select(text_or_empty("text").cast("binary").alias("text"))
     counts = materialize(token_counts(texts), "token-counts")
     model = gather(counts, p)
-    sample = texts.filter(F.octet_length("text") <= p.sample_bytes).orderBy(F.xxhash64("text")).limit(p.sample_docs)
+    n_docs = int(model.heavy_counts[model.heavy.index(END)])
+    sample = (thinned(texts.filter(F.octet_length("text") <= p.sample_bytes), F.xxhash64(F.lit(p.seed), "text"), p.sample_docs, n_docs)
+              .orderBy(F.xxhash64("text")).limit(p.sample_docs))
     start_states(model, sample.toArrow().column("text").to_pylist(), p)
     for _ in range(p.passes):
         train_pass(texts, model, p)

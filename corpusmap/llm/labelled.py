@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from corpusmap.llm.common import text_or_empty
+from corpusmap.llm.common import text_or_empty, thinned
 
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, allowed: Column, most: int, seed: int) -> DataFrame:
@@ -16,6 +16,7 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, allowed: Col
     drawn on the labels alone, so the documents meet a table of bounded size.
     """
     y = F.col(label)
-    some = (labels.filter(y.isNotNull() & F.col("doc_id").isNotNull() & allowed).groupBy("doc_id").agg(F.max(y).cast("int").alias("y"))
+    fit = labels.filter(y.isNotNull() & F.col("doc_id").isNotNull() & allowed)
+    some = (thinned(fit, F.xxhash64(F.lit(seed + 1), "doc_id"), most, fit.count()).groupBy("doc_id").agg(F.max(y).cast("int").alias("y"))
             .orderBy(F.xxhash64(F.lit(seed), "doc_id"), "doc_id").limit(most))
     return docs.select("doc_id", text_or_empty("text").cast("binary").alias("text")).join(F.broadcast(some), "doc_id").select("doc_id", "y", "text")

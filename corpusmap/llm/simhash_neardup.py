@@ -177,7 +177,7 @@ def simhash_classes(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     nodes = materialize(found.groupBy("fp").agg(F.min("doc_id").alias("node")), "nodes")
     parts = connected_components(fingerprint_links(nodes, max_bits))
     tops = nodes.join(parts.withColumnRenamed("id", "node"), "node", "left").select("fp", F.coalesce("component", "node").alias("component_id"))
-    return found.join(tops, "fp").select("doc_id", "fp", "component_id")
+    return found.join(materialize(tops, "classes"), "fp").select("doc_id", "fp", "component_id")
 
 
 def one_of_each_class(docs: DataFrame) -> DataFrame:

@@ -245,6 +245,7 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, k: int = NODE_WORDS, s
         seen = node_occurrences(keyed, window, k, seed)
         nodes = (seen.groupBy("h").agg(F.count(F.lit(1)).alias("n"), F.min("ctx").alias("a"), F.max("ctx").alias("b"))
                  .filter("n > 1").select("h", (F.col("a") == F.col("b")).alias("solid")))
+        nodes = materialize(nodes, "nodes")  # a table of its own: joins with it can be split where a node is hot
         lists = seen.drop("ctx").join(nodes, "h").groupBy("doc_id", "tag").agg(F.array_sort(F.collect_set(F.struct("pos", "solid"))).alias("nodes"))
         joined = keyed.join(lists.withColumnRenamed("doc_id", "id2"), (F.col("doc_id").eqNullSafe(F.col("id2"))) & (keyed.tag == lists.tag), "left").select("doc_id", keyed.tag, "text", "nodes")
         found = materialize(_paths(joined, window, k, seed), "paths")
@@ -254,7 +255,7 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, k: int = NODE_WORDS, s
     else:
         raise RuntimeError("paths could not be verified with any seed")
     windows = found.filter("kind = 2").select("doc_id", "tag", "start", "k1", "k2")
-    twice = windows.groupBy("k1", "k2").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").drop("n")
+    twice = materialize(windows.groupBy("k1", "k2").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").drop("n"), "windows")
     starts = windows.join(twice, ["k1", "k2"]).groupBy("doc_id", "tag").agg(F.collect_set("start").alias("starts")).withColumnRenamed("doc_id", "id2").withColumnRenamed("tag", "tag2")
     waiting = found.filter("kind = 1").select("doc_id", "tag", "text", "spans").join(starts, F.col("doc_id").eqNullSafe(F.col("id2")) & (F.col("tag") == F.col("tag2")), "left").select("doc_id", "tag", "text", "spans", "starts")
     return found.filter("kind = 0").select("doc_id", "n_words", "n_removed", "sha").unionByName(_finish(waiting, window))

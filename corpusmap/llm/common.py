@@ -2,15 +2,16 @@
 
 from __future__ import annotations
 
-import hashlib
-import os
 import tempfile
 import uuid
-import zipfile
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from corpusmap.session import ship
+
+__all__ = ["WORD", "documents", "fresh_path", "held_out", "materialize", "shared_dir", "ship", "text_or_empty", "thinned", "without_separators", "word_count"]
+
 #: fixed value: the separators between words, everywhere in this subpackage
 WORD = r"[^\x20\x09-\x0D]+"
 #: fixed value: the separators one by one, as characters
@@ -53,35 +54,6 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def discard(spark: SparkSession, path: str) -> None:
-    """Delete a folder written by :func:`materialize` that nothing reads any more."""
-    jvm = spark.sparkContext._jvm
-    target = jvm.org.apache.hadoop.fs.Path(path)
-    target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
-
-
-def ship(spark: SparkSession) -> None:
-    """Send this package to the executors' Python workers, whatever their working folder is."""
-    root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
-    files = []
-    for folder, _, names in sorted(os.walk(root)):
-        files += [os.path.join(folder, n) for n in sorted(names) if n.endswith(".py")]
-    digest = hashlib.sha256()
-    for f in files:
-        with open(f, "rb") as fh:
-            digest.update(f.encode() + fh.read())
-    tag = digest.hexdigest()[:16]
-    sc = spark.sparkContext
-    if getattr(sc, "_corpusmap_shipped", None) == tag:
-        return
-    target = os.path.join(tempfile.mkdtemp(prefix="corpusmap_zip_"), f"corpusmap_{tag}.zip")
-    with zipfile.ZipFile(target, "w", zipfile.ZIP_DEFLATED) as z:
-        for f in files:
-            z.write(f, os.path.relpath(f, os.path.dirname(root)))
-    sc.addPyFile(target)
-    sc._corpusmap_shipped = tag
-
-
 def text_or_empty(col: str | Column = "text") -> Column:
     """Null counts as the empty text."""
     return F.coalesce(F.col(col) if isinstance(col, str) else col, F.lit(""))

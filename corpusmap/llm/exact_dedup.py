@@ -110,13 +110,13 @@ def exact_classes(docs: DataFrame, digest=sha256_digest) -> DataFrame:
         group = again.groupBy("digest", "norm").agg(F.count(F.lit(1)).alias("group_size"), F.max(F.struct(F.char_length("text"), -F.col("doc_id"))).alias("best"))
         split = again.join(group, ["digest", "norm"]).select("doc_id", (-F.col("best.col2")).alias("keep_id"), "group_size", "digest")
         good = good.join(wrong, "digest", "left_anti").unionByName(split)
-    return good.select("doc_id", "keep_id", "group_size", (F.col("doc_id") == F.col("keep_id")).alias("kept"), "digest")
+    return good.select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "digest")
 
 
 def without_copies(docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` that stay; columns unchanged."""
-    kept = exact_classes(docs).filter("kept").select("doc_id").distinct()
-    return docs.join(kept, "doc_id", "left_semi")
+    kept = exact_classes(docs).filter("kept").select(F.col("doc_id").alias("__id")).distinct()
+    return docs.join(kept, docs["doc_id"].eqNullSafe(F.col("__id")), "left_semi")
 
 
 def op5_streaming_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

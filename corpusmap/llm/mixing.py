@@ -69,14 +69,14 @@ def draw(docs: DataFrame, size=None, share: float = 1.5, ceiling: float = 2.0, w
     all words, none more than ``ceiling`` times its own. Empty documents take
     part with size 0. Reruns draw the same rows; equal rows are drawn alike
     except in the one block where a source's quota ends. An empty table gives
-    an empty result.
+    an empty result. The names ``mix_...`` above and ``__mix_...`` are reserved.
     """
     spark = docs.sparkSession
     size = word_count(text_or_empty("text")) if size is None else size
     key = F.coalesce(F.concat(F.lit("="), F.col("source").cast("string")), F.lit("!"))
-    mixed = docs.withColumns({"mix_size": size.cast("long"), "mix_key": key, "mix_block": F.pmod(F.xxhash64(F.lit(seed), "doc_id"), F.lit(BLOCKS)).cast("int")})
-    blocks = materialize(mixed.groupBy("mix_key", "mix_block").agg(F.sum("mix_size").alias("words")), "mix-blocks")
-    sums = blocks.groupBy("mix_key").agg(F.sum("words").alias("words"), F.count(F.lit(1)).alias("blocks")).limit(MAX_SOURCES + 1).collect()
+    mixed = docs.withColumns({"mix_size": size.cast("long"), "__mix_key": key, "__mix_block": F.pmod(F.xxhash64(F.lit(seed), "doc_id"), F.lit(BLOCKS)).cast("int")})
+    blocks = materialize(mixed.groupBy("__mix_key", "__mix_block").agg(F.sum("mix_size").alias("words")), "mix-blocks")
+    sums = blocks.groupBy("__mix_key").agg(F.sum("words").alias("words"), F.count(F.lit(1)).alias("blocks")).limit(MAX_SOURCES + 1).collect()
     if len(sums) > MAX_SOURCES:
         raise ValueError("more sources than a mix has weights for")
     sums = sorted(sums, key=lambda r: (r[0] == "!", r[0].encode()))
@@ -85,15 +85,15 @@ def draw(docs: DataFrame, size=None, share: float = 1.5, ceiling: float = 2.0, w
     for r, t in zip(sums, target, strict=True):
         passes = min(int(t // r[1]), int(ceiling)) if r[1] else 0
         plan.append((r[0], int(r[1]), float(t), passes, float(t - passes * r[1])))
-    plans = spark.createDataFrame(plan, "mix_key string, mix_source_size long, mix_target double, passes int, rest double")
-    inside = Window.partitionBy("mix_key").orderBy(F.xxhash64(F.lit(seed + 1), "mix_key", "mix_block"), "mix_block")  # at most BLOCKS rows
-    dealt = (blocks.join(F.broadcast(plans), "mix_key")
-             .withColumn("upto", F.sum("words").over(inside))
-             .withColumn("room", F.col("rest") - (F.col("upto") - F.col("words")))  # words still to take when this block comes
-             .withColumn("part", F.when(F.col("room") <= 0, F.lit(0)).when(F.col("room") >= F.col("words"), F.lit(2)).otherwise(F.lit(1)))
-             .withColumn("draws", F.col("passes") + (F.col("part") > 0).cast("int")))
+    plans = spark.createDataFrame(plan, "__mix_key string, mix_source_size long, mix_target double, __mix_passes int, rest double")
+    inside = Window.partitionBy("__mix_key").orderBy(F.xxhash64(F.lit(seed + 1), "__mix_key", "__mix_block"), "__mix_block")  # at most BLOCKS rows
+    dealt = (blocks.join(F.broadcast(plans), "__mix_key")
+             .withColumn("__mix_upto", F.sum("words").over(inside))
+             .withColumn("__mix_room", F.col("rest") - (F.col("__mix_upto") - F.col("words")))  # words still to take when this block comes
+             .withColumn("__mix_part", F.when(F.col("__mix_room") <= 0, F.lit(0)).when(F.col("__mix_room") >= F.col("words"), F.lit(2)).otherwise(F.lit(1)))
+             .withColumn("__mix_draws", F.col("__mix_passes") + (F.col("__mix_part") > 0).cast("int")))
     dealt = materialize(dealt, "mix-dealt")
-    counts = {r[0]: int(r[1]) for r in dealt.groupBy("mix_key").agg(F.sum("draws")).collect()}  # a row per source
+    counts = {r[0]: int(r[1]) for r in dealt.groupBy("__mix_key").agg(F.sum("__mix_draws")).collect()}  # a row per source
     quotas = split_quotas([counts.get(p[0], 0) for p in plan], shards, int.from_bytes(hashlib.sha256(str(seed).encode()).digest()[:8], "big"))
     ranges, at = [], [0] * len(plan)
     for s, row in enumerate(quotas):
@@ -101,19 +101,19 @@ def draw(docs: DataFrame, size=None, share: float = 1.5, ceiling: float = 2.0, w
             if n:
                 ranges.append((plan[i][0], s, at[i], at[i] + n))
                 at[i] += n
-    ranges_df = spark.createDataFrame(ranges, "mix_key string, shard int, first long, beyond long")
-    turn = Window.partitionBy("mix_key").orderBy(F.xxhash64(F.lit(seed + 2), "mix_key", "mix_block", "pass"), "mix_block", "pass")
-    shard_of = (dealt.filter("draws > 0").select("mix_key", "mix_block", F.explode(F.sequence(F.lit(1), F.col("draws"))).alias("pass"))
+    ranges_df = spark.createDataFrame(ranges, "__mix_key string, shard int, first long, beyond long")
+    turn = Window.partitionBy("__mix_key").orderBy(F.xxhash64(F.lit(seed + 2), "__mix_key", "__mix_block", "pass"), "__mix_block", "pass")
+    shard_of = (dealt.filter("__mix_draws > 0").select("__mix_key", "__mix_block", F.explode(F.sequence(F.lit(1), F.col("__mix_draws"))).alias("pass"))
                 .withColumn("turn", F.row_number().over(turn) - 1)
-                .join(ranges_df.hint("broadcast"), "mix_key").filter("turn >= first and turn < beyond")  # sources times shards rows
-                .groupBy("mix_key", "mix_block").agg(F.transform(F.array_sort(F.collect_list(F.struct("pass", "shard"))), lambda x: x["shard"]).alias("mix_shards")))
-    plan_of = dealt.select("mix_key", "mix_block", "mix_source_size", "mix_target", "part", "passes", "room").join(shard_of, ["mix_key", "mix_block"], "left")
-    rows = mixed.join(plan_of, ["mix_key", "mix_block"])
+                .join(ranges_df.hint("broadcast"), "__mix_key").filter("turn >= first and turn < beyond")  # sources times shards rows
+                .groupBy("__mix_key", "__mix_block").agg(F.transform(F.array_sort(F.collect_list(F.struct("pass", "shard"))), lambda x: x["shard"]).alias("mix_shards")))
+    plan_of = dealt.select("__mix_key", "__mix_block", "mix_source_size", "mix_target", "__mix_part", "__mix_passes", "__mix_room").join(shard_of, ["__mix_key", "__mix_block"], "left")
+    rows = mixed.join(plan_of, ["__mix_key", "__mix_block"])
     shards_ = F.coalesce("mix_shards", F.array().cast("array<int>"))
-    whole = rows.filter("part <> 1").withColumn("mix_shards", shards_)
-    last = Window.partitionBy("mix_key", "mix_block").orderBy(F.xxhash64(F.lit(seed + 3), "doc_id"), "doc_id")  # one block per source
-    cut = (rows.filter("part = 1").withColumn("before", F.sum("mix_size").over(last) - F.col("mix_size"))
-           .withColumn("mix_shards", F.when(F.col("before") + F.col("mix_size") / 2 <= F.col("room"), shards_).otherwise(F.slice(shards_, 1, F.col("passes")))).drop("before"))
+    whole = rows.filter("__mix_part <> 1").withColumn("mix_shards", shards_)
+    last = Window.partitionBy("__mix_key", "__mix_block").orderBy(F.xxhash64(F.lit(seed + 3), "doc_id"), "doc_id")  # one block per source
+    cut = (rows.filter("__mix_part = 1").withColumn("__mix_before", F.sum("mix_size").over(last) - F.col("mix_size"))
+           .withColumn("mix_shards", F.when(F.col("__mix_before") + F.col("mix_size") / 2 <= F.col("__mix_room"), shards_).otherwise(F.slice(shards_, 1, F.col("__mix_passes")))).drop("__mix_before"))
     return whole.unionByName(cut).select(*docs.columns, "mix_size", "mix_source_size", "mix_target", "mix_shards")
 
 

@@ -148,8 +148,8 @@ def train(docs: DataFrame, labels: DataFrame, allowed=None, p: MilParams | None
     return fit(bags, got.column("y").to_numpy().astype(np.float64), p)
 
 
-def score(docs: DataFrame, model: dict[str, np.ndarray], keep: list[str] | None = None) -> DataFrame:
-    """``docs(doc_id, ..., text)`` -> ``(doc_id, score double)``, or the columns ``keep`` and score; one row per row.
+def score(docs: DataFrame, model: dict[str, np.ndarray], keep: list[str] | None = None, name: str = "score") -> DataFrame:
+    """``docs(doc_id, ..., text)`` -> ``(doc_id, score double)``, or the columns ``keep`` and the score as ``name``; one row per row.
 
     Null and empty texts are scored as one empty passage. Map only.
     """
@@ -171,12 +171,12 @@ def score(docs: DataFrame, model: dict[str, np.ndarray], keep: list[str] | None
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(np.concatenate(out) if out else np.zeros(0))], names=[*keep, "__score"])
 
     schema = kept.drop("__text").withColumn("__score", F.lit(0.0)).schema
-    return kept.mapInArrow(run, schema).withColumnRenamed("__score", "score")
+    return kept.mapInArrow(run, schema).withColumnRenamed("__score", name)
 
 
 def accepted(docs: DataFrame, labels: DataFrame, threshold: float = 0.3) -> DataFrame:
     """The rows of ``docs`` whose score reaches ``threshold``; columns unchanged."""
-    return score(docs, train(docs, labels), docs.columns).filter(F.col("score") >= threshold).select(*docs.columns)
+    return score(docs, train(docs, labels), docs.columns, "__quality").filter(F.col("__quality") >= threshold).select(*docs.columns)
 
 
 def op6_attention_mil_quality(spark: SparkSession, sf_dir: str) -> DataFrame:

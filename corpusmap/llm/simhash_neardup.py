@@ -182,8 +182,8 @@ def simhash_classes(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
 
 def one_of_each_class(docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` whose doc_id is the smallest of its near-duplicate class; columns unchanged."""
-    tops = simhash_classes(docs).select("component_id").distinct().withColumnRenamed("component_id", "doc_id")
-    return docs.join(tops, "doc_id", "left_semi")
+    tops = simhash_classes(docs).select(F.col("component_id").alias("__id")).distinct()
+    return docs.join(tops, docs["doc_id"].eqNullSafe(F.col("__id")), "left_semi")
 
 
 def op7_simhash_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -68,12 +68,17 @@ def paragraphs(pages: DataFrame, html: str = "html") -> DataFrame:
     """One row per non-empty ``<p>`` block: ``pos`` and ``text``; unclosed blocks end at the next block tag."""
     plain = F.regexp_replace(html, r"(?is)<(script|style)[^>]*>.*?</(script|style)>|<!--.*?-->", "")
     parts = F.slice(F.split(plain, r"(?i)<p(\s[^>]*)?>"), 2, 1 << 20)
-    part = F.element_at(F.split(F.col("part"), r"(?i)</p>|</article>|</div>|</body>|<footer"), 1)
-    text = F.trim(F.regexp_replace(F.regexp_replace(part, r"<[^>]*>", " "), r"\s+", " "))
-    for entity, char in (("&lt;", "<"), ("&gt;", ">"), ("&quot;", '"'), ("&#39;", "'"), ("&nbsp;", " "), ("&amp;", "&")):
-        text = F.replace(text, F.lit(entity), F.lit(char))
+
+    def sample(part: Column) -> Column:
+        part = F.element_at(F.split(part, r"(?i)</p>|</article>|</div>|</body>|<footer"), 1)
+        out = F.trim(F.regexp_replace(F.regexp_replace(part, r"<[^>]*>", " "), r"\s+", " "))
+        for entity, char in (("&lt;", "<"), ("&gt;", ">"), ("&quot;", '"'), ("&#39;", "'"), ("&nbsp;", " "), ("&amp;", "&")):
+            out = F.replace(out, F.lit(entity), F.lit(char))
+        return out
+
     rest = [c for c in pages.columns if c != html]
-    return pages.select(*rest, F.posexplode(parts).alias("pos", "part")).select(*rest, "pos", text.alias("text")).filter("text <> ''")
+    # the texts are made before they are exploded: what follows refers to a column and does not work them out again
+    return pages.select(*rest, F.posexplode(F.transform(parts, sample)).alias("pos", "text")).filter("text <> ''")
 
 
 def lines(docs: DataFrame, text: str = "text") -> DataFrame:

@@ -8,8 +8,10 @@ score is a penalty, so that naming a group moves no score by itself.
 
 from __future__ import annotations
 
+import heapq
 import math
 import zlib
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -35,6 +37,8 @@ class ToxParams:
     labelled: int = 16_000  # most labelled documents to fit on
     kept_features: int = 4096
     least_ratio: float = 18.0
+    word_start: float = 4.0
+    part_start: float = 1.0
     epochs: int = 30
     rate: float = 0.3
     decay: float = 1e-4
@@ -43,11 +47,11 @@ class ToxParams:
 
 
 def word_features(word: bytes) -> tuple[int, ...]:
-    """Buckets of the bare word and of its beginnings."""
+    """Buckets of the bare word, which comes first, and of its beginnings."""
     bare = word.strip(STRIP)
     if not bare:
         return ()
-    return tuple({zlib.crc32(tag + part) % BUCKETS for tag, part in ((b"w:", bare), *((b"%d:" % n, bare[:n]) for n in (4, 5, 6) if len(bare) > n))})
+    return tuple(dict.fromkeys(zlib.crc32(tag + part) % BUCKETS for tag, part in ((b"w:", bare), *((b"%d:" % n, bare[:n]) for n in (4, 5, 6) if len(bare) > n))))
 
 
 def sentences(text: bytes) -> list[list[bytes]]:
@@ -68,26 +72,46 @@ class Model:
         return self.bias + sum(self.word(w) for w in set(words))
 
 
-def select(texts: list[bytes], y: np.ndarray, p: ToxParams) -> dict[int, float]:
-    """Features whose presence in documents goes with the label beyond chance, with their smoothed log-odds."""
-    count, cache = np.zeros((2, BUCKETS), dtype=np.int32), {}
-    for t, label in zip(texts, y, strict=True):
+def copy_weights(texts: list[bytes], sketch: int = 16, shared: int = 8) -> np.ndarray:
+    """One over the number of texts that are nearly the same: those whose bottom sketches of five-word runs share enough."""
+    group, owner = np.zeros(len(texts), dtype=np.int64), {}
+    for i, t in enumerate(texts):
+        words = t.lower().split()
+        low = heapq.nsmallest(sketch, {zlib.crc32(b" ".join(words[j: j + 5])) for j in range(max(1, len(words) - 4))})
+        met = Counter(owner[h] for h in low if h in owner).most_common(1)
+        group[i] = met[0][0] if met and met[0][1] * sketch >= shared * len(low) else i
+        for h in low:
+            owner.setdefault(h, int(group[i]))
+    return 1.0 / np.bincount(group, minlength=len(texts))[group] if len(texts) else np.ones(0)
+
+
+def select(texts: list[bytes], y: np.ndarray, weight: np.ndarray, p: ToxParams) -> dict[int, float]:
+    """Features whose presence in documents goes with the label beyond chance, with a first weight.
+
+    Near copies count as one document. A whole word starts from its smoothed
+    log-odds within ``word_start``, a beginning within ``part_start``.
+    """
+    count, cache, whole = np.zeros((2, BUCKETS)), {}, set()
+    for t, label, c in zip(texts, y, weight, strict=True):
         ids: set[int] = set()
         for w in set(t.lower().split()):
             if w not in cache:
                 if len(cache) > CACHE:
                     cache.clear()
                 cache[w] = word_features(w)
+                whole.update(cache[w][:1])
             ids.update(cache[w])
         if ids:
-            count[int(label), np.fromiter(ids, dtype=np.int64)] += 1
-    a, b, na, nb = count[1] + 0.5, count[0] + 0.5, float(y.sum()) + 1, float((1 - y).sum()) + 1
+            count[int(label), np.fromiter(ids, dtype=np.int64)] += c
+    n1, n = float((weight * y).sum()), float(weight.sum())
+    a, b, na, nb = count[1] + 0.5, count[0] + 0.5, n1 + 1, n - n1 + 1
     odds = np.log(a / na) - np.log(b / nb)
-    both, share = count.sum(0).astype(np.float64), y.sum() / max(len(y), 1)
+    both, share = count.sum(0), n1 / max(n, 1e-9)
     with np.errstate(divide="ignore", invalid="ignore"):  # likelihood ratio of presence against independence
         ratio = 2 * (np.nan_to_num(count[1] * np.log(count[1] / (both * share))) + np.nan_to_num(count[0] * np.log(count[0] / (both * (1 - share)))))
     best = [int(i) for i in np.argsort(-ratio, kind="stable")[: p.kept_features] if ratio[i] >= p.least_ratio]
-    return {i: float(odds[i]) for i in best}
+    most = {i: p.word_start if i in whole else p.part_start for i in best}
+    return {i: float(np.clip(odds[i], -m, m)) for i, m in most.items()}
 
 
 def fit(texts: list[bytes], y: np.ndarray, p: ToxParams | None = None, terms: tuple[bytes, ...] = IDENTITY_TERMS) -> Model:
@@ -96,13 +120,14 @@ def fit(texts: list[bytes], y: np.ndarray, p: ToxParams | None = None, terms: tu
     y = np.asarray(y, dtype=np.float64)
     if not len(y):
         return Model({}, 0.0)
-    start = select(texts, y, p)
+    weight = copy_weights(texts)
+    start = select(texts, y, weight, p)
     for t in terms:  # identity terms are always features, so that their weights are held together
         for f in word_features(t):
             start.setdefault(f, 0.0)
     names = np.array(sorted(start), dtype=np.int64)
     row = {int(f): i for i, f in enumerate(names)}
-    w = np.array([np.clip(start[int(f)], -1, 1) for f in names])
+    w = np.array([start[int(f)] for f in names])
     bias, rng, known = float(np.log((y.sum() + 0.5) / (len(y) - y.sum() + 0.5))), np.random.default_rng(p.seed), set(terms)
     vector = lambda word: [row[f] for f in word_features(word) if f in row]
     term_rows = {t: np.array(vector(t), dtype=np.int64) for t in terms}
@@ -128,7 +153,7 @@ def fit(texts: list[bytes], y: np.ndarray, p: ToxParams | None = None, terms: tu
             grad, grad_bias, n = np.zeros(len(w)), 0.0, 0
             for i in range(at, min(at + 256, len(bags))):
                 worst = max(bags[i], key=lambda b: w[b].sum())
-                d = 1 / (1 + math.exp(-np.clip(bias + w[worst].sum(), -50, 50))) - y[i]
+                d = weight[i] * (1 / (1 + math.exp(-np.clip(bias + w[worst].sum(), -50, 50))) - y[i])
                 grad[worst] += d
                 grad_bias += d
                 n += 1

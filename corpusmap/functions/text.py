@@ -53,19 +53,23 @@ class NoiseRules:
     extra: list = field(default_factory=list)  # (name, Column -> Column that is true for noise)
 
 
-def reject_reason(text: Column, rules: NoiseRules | None = None) -> Column:
-    """The first rule that a sample breaks; null if none."""
+def reject_reason(text: Column, rules: NoiseRules | None = None, clean: Column | None = None) -> Column:
+    """The first rule that a sample breaks; null if none. ``clean``: its cleaned text, if at hand."""
     r = rules or NoiseRules()
+    clean = clean_text(text) if clean is None else clean
     errors = F.regexp_count(F.lower(text), F.lit(r"\b(" + "|".join(r.error_words) + r")\b"))
     nav = F.char_length(text) - F.char_length(F.translate(text, r.nav_chars, ""))
-    out = F.when(~long_enough(clean_text(text), r.min_words, r.min_chars, r.script_aware), "short").when(errors > r.max_error_hits, "error").when(nav > r.max_nav_chars, "navigation")
+    out = F.when(~long_enough(clean, r.min_words, r.min_chars, r.script_aware), "short").when(errors > r.max_error_hits, "error").when(nav > r.max_nav_chars, "navigation")
     for name, test in r.extra:
         out = out.when(test(text), name)
     return out
 
 
-def paragraphs(pages: DataFrame, html: str = "html") -> DataFrame:
-    """One row per non-empty ``<p>`` block: ``pos`` and ``text``; unclosed blocks end at the next block tag."""
+def paragraphs(pages: DataFrame, html: str = "html", rules: NoiseRules | None = None) -> DataFrame:
+    """One row per non-empty ``<p>`` block: ``pos`` and ``text``; unclosed blocks end at the next block tag.
+
+    With ``rules`` also ``clean``, the cleaned text, and ``reason``, as ``reject_reason`` gives it.
+    """
     plain = F.regexp_replace(html, r"(?is)<(script|style)[^>]*>.*?</(script|style)>|<!--.*?-->", "")
     parts = F.slice(F.split(plain, r"(?i)<p(\s[^>]*)?>"), 2, 1 << 20)
 
@@ -78,7 +82,11 @@ def paragraphs(pages: DataFrame, html: str = "html") -> DataFrame:
 
     rest = [c for c in pages.columns if c != html]
     # the texts are made before they are exploded: what follows refers to a column and does not work them out again
-    return pages.select(*rest, F.posexplode(F.transform(parts, sample)).alias("pos", "text")).filter("text <> ''")
+    if rules is None:
+        return pages.select(*rest, F.posexplode(F.transform(parts, sample)).alias("pos", "text")).filter("text <> ''")
+    both = F.transform(F.transform(parts, sample), lambda t: F.struct(t.alias("text"), clean_text(t).alias("clean")))
+    all_three = F.transform(both, lambda s: F.struct(s["text"].alias("text"), s["clean"].alias("clean"), reject_reason(s["text"], rules, s["clean"]).alias("reason")))
+    return pages.select(*rest, F.posexplode(all_three).alias("pos", "_s")).select(*rest, "pos", "_s.*").filter("text <> ''")
 
 
 def lines(docs: DataFrame, text: str = "text") -> DataFrame:
@@ -89,6 +97,9 @@ def lines(docs: DataFrame, text: str = "text") -> DataFrame:
 def windows(docs: DataFrame, text: str = "text", size: int = 50, step: int | None = None) -> DataFrame:
     """Windows of exactly ``size`` characters; texts that are shorter give none."""
     step = step or size
+    if step == size:  # one pass over the text, however long
+        rest = [c for c in docs.columns if c != text]
+        return docs.select(*rest, F.posexplode(F.regexp_extract_all(F.col(text), F.lit(f"(?s).{{{size}}}"), F.lit(0))).alias("win", "window"))
     count = F.when(F.char_length(text) >= size, F.floor((F.char_length(text) - size) / step) + 1).otherwise(0)
     at = F.when(count > 0, F.sequence(F.lit(0), (count - 1).cast("int"))).otherwise(F.array().cast("array<int>"))
     rest = [c for c in docs.columns if c != text]
@@ -96,8 +107,12 @@ def windows(docs: DataFrame, text: str = "text", size: int = 50, step: int | Non
 
 
 def ngrams(text: Column, n: int) -> Column:
-    last = F.char_length(text) - n + 1
-    return F.when(last >= 1, F.transform(F.sequence(F.lit(1), F.greatest(last, F.lit(1))), lambda i: F.substring(text, i, F.lit(n)))).otherwise(F.array().cast("array<string>"))
+    def of(t: Column) -> Column:
+        last = F.char_length(t) - n + 1
+        return F.when(last >= 1, F.transform(F.sequence(F.lit(1), F.greatest(last, F.lit(1))), lambda i: F.substring(t, i, F.lit(n)))).otherwise(F.array().cast("array<string>"))
+
+    # bound as a variable, the text is worked out once, not once a gram
+    return F.element_at(F.transform(F.array(text), of), 1)
 
 
 def trigram_buckets(text: Column, dims: int = 216_000, portable: bool = False) -> Column:

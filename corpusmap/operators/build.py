@@ -7,7 +7,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from corpusmap.functions.text import NoiseRules, clean_text, long_enough, n_words, paragraphs, reject_reason
+from corpusmap.functions.text import NoiseRules, n_words, paragraphs
 from corpusmap.operators.dedup import unique_samples
 
 
@@ -27,12 +27,10 @@ class BuildConfig:
 
 def samples_of(pages: DataFrame, cfg: BuildConfig) -> DataFrame:
     """Kept samples of ``pages(page_id, host, period, html, ...)``: rules, two-scope de-duplication, cleaning, length."""
-    raw = paragraphs(pages)
-    # the limit on length holds after cleaning, the other rules on the raw text
-    good = raw.filter(reject_reason(F.col("text"), cfg.rules).isNull())
+    # the limit on length holds after cleaning, the other rules and the fingerprints on the raw text
+    good = paragraphs(pages, rules=cfg.rules).filter("reason IS NULL")
     kept = unique_samples(good, ["page_id", "pos"], site="host", keep=cfg.keep, site_scope=cfg.site_scope)
-    cleaned = kept.withColumn("text", clean_text(F.col("text")))
-    return cleaned.filter(long_enough(F.col("text"), cfg.rules.min_words, cfg.rules.min_chars, cfg.rules.script_aware))
+    return kept.withColumn("text", F.col("clean")).drop("clean", "reason")
 
 
 def assemble(samples: DataFrame, keys: list[str], text: str = "text", pos: str = "pos") -> DataFrame:

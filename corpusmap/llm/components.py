@@ -17,10 +17,15 @@ def _both_ways(edges: DataFrame) -> DataFrame:
     return edges.select("a", "b").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
 
 
+def _lowest(low: DataFrame) -> DataFrame:
+    """Written, so that the join does not share the aggregate's exchange and AQE can split a hub's edges."""
+    return materialize(low, "lowest")
+
+
 def _large_star(edges: DataFrame) -> DataFrame:
     """Hang every larger neighbour of a node below the smallest of the node's closed neighbourhood."""
     near = _both_ways(edges)
-    low = near.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
+    low = _lowest(near.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m")))
     return (near.filter("b > a").join(low, "a")
             .select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b").distinct())
 
@@ -28,7 +33,7 @@ def _large_star(edges: DataFrame) -> DataFrame:
 def _small_star(edges: DataFrame) -> DataFrame:
     """Hang a node and its smaller neighbours below the smallest of them."""
     down = edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
-    low = down.groupBy("a").agg(F.min("b").alias("m"))
+    low = _lowest(down.groupBy("a").agg(F.min("b").alias("m")))
     moved = down.join(low, "a").filter("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
     return moved.union(low.select("a", F.col("m").alias("b"))).distinct()
 

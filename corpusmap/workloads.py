@@ -14,6 +14,8 @@ QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
 #: parameters for tables of this size: words that make a sub-corpus eligible, and the rate per ten million words
 MIN_WORDS, RATE = 200, 5000.0
+#: fixed value: the rate of the method, per ten million words; the ``..._5_per_10m`` queries use it at every table size
+METHOD_RATE = 5.0
 #: fixed values: the nations that stand for the inner-circle countries
 INNER_CIRCLE = (0, 1, 2, 3, 4, 5)
 
@@ -79,12 +81,12 @@ def _lists(spark, d) -> DataFrame:
     return similarity.unigram_counts(docs.join(F.broadcast(enough), ["lang", "country"], "left_semi"), ["register", "lang", "country"])
 
 
-def _sim(spark, d) -> DataFrame:
-    return similarity.spearman_similarity(_lists(spark, d), ["lang", "country"], per_10m=RATE)
+def _sim(spark, d, rate: float = RATE) -> DataFrame:
+    return similarity.spearman_similarity(_lists(spark, d), ["lang", "country"], per_10m=rate)
 
 
-def _pairs(spark, d) -> DataFrame:
-    return similarity.pairwise_similarity(_lists(spark, d), ["register", "lang"], per_10m=RATE)
+def _pairs(spark, d, rate: float = RATE) -> DataFrame:
+    return similarity.pairwise_similarity(_lists(spark, d), ["register", "lang"], per_10m=rate)
 
 
 def _lines(spark, d) -> DataFrame:
@@ -101,9 +103,9 @@ def q_unigrams(spark: SparkSession, d: str) -> DataFrame:
 
 
 @query("WITH " + UNI + " SELECT register, lang, country, count(*) AS n_tokens FROM pass GROUP BY ALL")
-def q_rate_threshold(spark, d):
+def q_rate_threshold(spark, d, rate=RATE):
     lists = similarity.unigram_counts(surrogate.documents(spark, d), ["register", "lang", "country"])
-    return similarity.apply_rate_threshold(lists, ["register", "lang", "country"], RATE).groupBy("register", "lang", "country").agg(F.count(F.lit(1)).alias("n_tokens"))
+    return similarity.apply_rate_threshold(lists, ["register", "lang", "country"], rate).groupBy("register", "lang", "country").agg(F.count(F.lit(1)).alias("n_tokens"))
 
 
 @query("WITH " + UNI + " SELECT lang, count(*) AS n_countries FROM elig GROUP BY ALL")
@@ -112,15 +114,15 @@ def q_eligible(spark, d):
 
 
 @query("WITH " + SIM + " SELECT lang, country, n_shared, round(rho, 6) AS rho FROM sim")
-def q_spearman(spark, d):
-    return _rounded(_sim(spark, d), "rho")
+def q_spearman(spark, d, rate=RATE):
+    return _rounded(_sim(spark, d, rate), "rho")
 
 
 @query("WITH " + UNI + """, fr AS (SELECT *, rank() OVER (PARTITION BY register, lang, country ORDER BY n) + (count(*) OVER (PARTITION BY register, lang, country, n) - 1) / 2.0 AS r FROM pass SEMI JOIN elig USING (lang, country)),
  a AS (SELECT lang, country, token, max(r) FILTER (register = 'web') AS a, max(r) FILTER (register = 'social') AS b FROM fr GROUP BY ALL HAVING a IS NOT NULL AND b IS NOT NULL)
  SELECT lang, country, count(*) AS n_shared, round(CASE WHEN isnan(corr(a, b)) THEN NULL ELSE corr(a, b) END, 6) AS rho FROM a GROUP BY ALL""")
-def q_spearman_full_ranks(spark, d):
-    return _rounded(similarity.ranked_before_alignment(_lists(spark, d), ["lang", "country"], per_10m=RATE), "rho")
+def q_spearman_full_ranks(spark, d, rate=RATE):
+    return _rounded(similarity.ranked_before_alignment(_lists(spark, d), ["lang", "country"], per_10m=rate), "rho")
 
 
 @query("WITH " + UNI + """, top AS (SELECT * FROM uni SEMI JOIN elig USING (lang, country) QUALIFY row_number() OVER (PARTITION BY register, lang, country ORDER BY n DESC, token) <= 100),
@@ -140,50 +142,69 @@ def q_chi2(spark, d):
 
 
 @query("WITH " + SIM + " SELECT count(*) AS n, round(avg(n_shared), 6) AS avg_unigrams, round(avg(rho), 6) AS avg_rho FROM sim WHERE lang = 'en' AND country IN (0, 1, 2, 3, 4, 5)")
-def q_baseline(spark, d):
-    return _rounded(similarity.baseline(_sim(spark, d), "en", list(INNER_CIRCLE)), "avg_unigrams", "avg_rho")
+def q_baseline(spark, d, rate=RATE):
+    return _rounded(similarity.baseline(_sim(spark, d, rate), "en", list(INNER_CIRCLE)), "avg_unigrams", "avg_rho")
 
 
 @query("WITH " + SIM + " SELECT count(*) AS n, count(*) FILTER (rho > 0.7) AS n_above, count(*) FILTER (rho > 0.7 AND lang = 'en') AS n_above_language FROM sim")
-def q_pairs_above(spark, d):
-    return similarity.pairs_above(_sim(spark, d), 0.7)
+def q_pairs_above(spark, d, rate=RATE):
+    return similarity.pairs_above(_sim(spark, d, rate), 0.7)
 
 
 @query("WITH " + SIM + " SELECT lang, count(*) AS n_countries, round(avg(rho), 6) AS avg_rho, round(stddev_samp(rho), 6) AS sd_rho FROM sim GROUP BY ALL HAVING count(*) >= 2")
-def q_sim_by_language(spark, d):
-    return _rounded(similarity.similarity_by(_sim(spark, d), "lang").withColumnRenamed("n", "n_countries"), "avg_rho", "sd_rho")
+def q_sim_by_language(spark, d, rate=RATE):
+    return _rounded(similarity.similarity_by(_sim(spark, d, rate), "lang").withColumnRenamed("n", "n_countries"), "avg_rho", "sd_rho")
 
 
 @query("WITH " + SIM + " SELECT country, count(*) AS n_languages, round(avg(rho), 6) AS avg_rho FROM sim GROUP BY ALL HAVING count(*) >= 2")
-def q_sim_by_country(spark, d):
-    return _rounded(similarity.similarity_by(_sim(spark, d), "country").withColumnRenamed("n", "n_languages").drop("sd_rho"), "avg_rho")
+def q_sim_by_country(spark, d, rate=RATE):
+    return _rounded(similarity.similarity_by(_sim(spark, d, rate), "country").withColumnRenamed("n", "n_languages").drop("sd_rho"), "avg_rho")
 
 
 @query("WITH " + SIM + ", " + DEMO + ", bc AS (SELECT country, avg(rho) AS avg_rho FROM sim GROUP BY ALL HAVING count(*) >= 2) SELECT round(corr(avg_rho, internet), 6) AS r_internet, round(corr(avg_rho, gdp_pc), 6) AS r_gdp, count(*) AS n FROM bc JOIN demo USING (country)")
-def q_sim_demography(spark, d):
-    by = similarity.similarity_by(_sim(spark, d), "country").join(F.broadcast(surrogate.demography(spark, d)), "country")
+def q_sim_demography(spark, d, rate=RATE):
+    by = similarity.similarity_by(_sim(spark, d, rate), "country").join(F.broadcast(surrogate.demography(spark, d)), "country")
     return by.agg(F.round(similarity.safe_corr("avg_rho", "internet"), 6).alias("r_internet"), F.round(similarity.safe_corr("avg_rho", "gdp_pc"), 6).alias("r_gdp"), F.count(F.lit(1)).alias("n"))
 
 
 @query("WITH " + PAIR + " SELECT register, lang, c1, c2, n_shared, round(rho, 6) AS rho FROM pairs")
-def q_pairwise(spark, d):
-    return _rounded(_pairs(spark, d), "rho")
+def q_pairwise(spark, d, rate=RATE):
+    return _rounded(_pairs(spark, d, rate), "rho")
 
 
 @query("WITH " + PAIR + " SELECT lang, round(web_rho, 6) AS web_rho, round(web_sd, 6) AS web_sd, round(social_rho, 6) AS social_rho, round(social_sd, 6) AS social_sd FROM var")
-def q_variation(spark, d):
-    return _rounded(similarity.variation_by_language(_pairs(spark, d)), "web_rho", "web_sd", "social_rho", "social_sd")
+def q_variation(spark, d, rate=RATE):
+    return _rounded(similarity.variation_by_language(_pairs(spark, d, rate)), "web_rho", "web_sd", "social_rho", "social_sd")
 
 
 @query("WITH " + PAIR + " SELECT round(corr(web_rho, social_rho), 6) AS r, count(*) AS n FROM var WHERE web_rho IS NOT NULL AND social_rho IS NOT NULL")
-def q_variation_agreement(spark, d):
-    return _rounded(similarity.correlation_with_t(similarity.variation_by_language(_pairs(spark, d)), "web_rho", "social_rho").drop("t"), "r")
+def q_variation_agreement(spark, d, rate=RATE):
+    return _rounded(similarity.correlation_with_t(similarity.variation_by_language(_pairs(spark, d, rate)), "web_rho", "social_rho").drop("t"), "r")
 
 
 @query("WITH " + SIM + ", x AS (SELECT lang, avg(rho) AS m, any_value(sz) AS sz FROM sim JOIN (SELECT lang, sum(n_words)::DOUBLE AS sz FROM cell GROUP BY ALL) USING (lang) GROUP BY ALL) SELECT round(corr(m, sz), 6) AS r, count(*) AS n, round(corr(m, sz) * sqrt(count(*) - 2) / sqrt(1 - corr(m, sz) ** 2), 6) AS t FROM x")
-def q_size_effect(spark, d):
+def q_size_effect(spark, d, rate=RATE):
     size = _cells(spark, d).groupBy("lang").agg(F.sum("n_words").cast("double").alias("sz"))
-    return _rounded(similarity.correlation_with_t(_sim(spark, d).groupBy("lang").agg(F.avg("rho").alias("m")).join(size, "lang"), "m", "sz"), "r", "t")
+    return _rounded(similarity.correlation_with_t(_sim(spark, d, rate).groupBy("lang").agg(F.avg("rho").alias("m")).join(size, "lang"), "m", "sz"), "r", "t")
+
+
+#: every query that rests on the rate threshold
+BY_RATE = (q_rate_threshold, q_spearman, q_spearman_full_ranks, q_baseline, q_pairs_above, q_sim_by_language, q_sim_by_country, q_sim_demography,
+           q_pairwise, q_variation, q_variation_agreement, q_size_effect)
+
+
+def _at_method_rate(f):
+    """Registers ``f`` once more, with the rate of the method; its SQL differs in that number only."""
+
+    def run(spark, d):
+        return f(spark, d, rate=METHOD_RATE)
+
+    run.__name__ = f"{f.__name__}_5_per_10m"
+    query(ORACLES[f.__name__].replace("n * 1e7 >= t * 5000", "n * 1e7 >= t * 5"))(run)
+
+
+for _f in BY_RATE:
+    _at_method_rate(_f)
 
 
 @query("""WITH u AS (SELECT p_brand AS brand, s_nationkey AS country, l_returnflag AS flag, l_partkey AS token, sum(l_quantity) AS n FROM lineitem JOIN part ON p_partkey = l_partkey JOIN supplier ON s_suppkey = l_suppkey GROUP BY ALL),

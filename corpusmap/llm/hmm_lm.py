@@ -4,9 +4,11 @@ The states emit classes. A token that makes up at least one in ``heavy`` of
 all training tokens is a class of its own (so there are at most ``heavy`` of
 them, whatever the corpus); the others share classes by their last bytes, and
 a class gives its tokens by their add-one frequencies with one place for the
-unseen. Counts of all tokens come from the whole training corpus, expected
-counts of the last passes too; only the starting point of the states is found
-on a bounded sample.
+unseen. Counts of all tokens come from the whole training corpus. So do the
+expected counts of every Baum-Welch iteration, which go on until the likelihood
+settles; a bounded sample only gives the initial guess. Long documents are cut
+into stretches that are worked abreast: products of their transfer matrices
+carry the state over the cuts exactly.
 """
 
 from __future__ import annotations
@@ -40,10 +42,11 @@ class Params:
     heavy: int = 1 << 19
     heavy_least: int = 8  # occurrences
     sample_docs: int = 3000
-    sample_bytes: int = 32_768  # longest text of the sample that starts the states
+    sample_bytes: int = 32_768  # of each sampled text, for the initial guess only
     sample_rounds: int = 8
-    passes: int = 1
-    segment: int = 512  # training cuts longer documents into stretches
+    passes: int = 100  # at most; raises if the likelihood has not settled by then
+    settled: float = 1e-3  # gain in natural log-likelihood a token between iterations
+    segment: int = 512  # training works longer documents in stretches
     smoothing: float = 0.5
     seed: int = 5
 
@@ -124,8 +127,18 @@ def forward(seqs: list[np.ndarray], start: np.ndarray, move: np.ndarray, emit: n
 
 def expected_counts(seqs: list[np.ndarray], first: list[bool], start, move, emit, group: int = 1 << 19):
     """Baum-Welch expectations: (start counts, transition counts, emission counts by class); first: counts towards start."""
+    return _counts(seqs, first, start, move, emit, group)[:3]
+
+
+def _counts(seqs: list[np.ndarray], first: list[bool], start, move, emit, group: int = 1 << 19, before: np.ndarray | None = None, after: np.ndarray | None = None):
+    """:func:`expected_counts` and the log-likelihood.
+
+    ``before`` holds the forward message at the token that precedes each
+    sequence (used where ``first`` is false), ``after`` the backward message at
+    its last token; without them a sequence stands alone.
+    """
     h = len(start)
-    g_start, g_move, g_emit = np.zeros(h), np.zeros((h, h)), np.zeros_like(emit)
+    g_start, g_move, g_emit, gain = np.zeros(h), np.zeros((h, h)), np.zeros_like(emit), 0.0
     order = sorted(range(len(seqs)), key=lambda i: -len(seqs[i]))
     while order:
         sizes = np.cumsum([len(seqs[i]) for i in order])
@@ -137,33 +150,85 @@ def expected_counts(seqs: list[np.ndarray], first: list[bool], start, move, emit
         flat = np.concatenate([seqs[i] for i in some])
         at = np.concatenate(([0], np.cumsum(lens)[:-1]))
         alive = np.searchsorted(-lens, -np.arange(lens[0]), side="left")
+        opens = np.array([first[i] for i in some], dtype=bool)
+        ends = np.ones((len(some), h)) if after is None else after[some]
+        enter = start if before is None else np.where(opens[:, None], start, before[some] @ move)[: alive[0]]
         alphas, scales, a = [], [], None
         for t in range(int(lens[0])):
             n = alive[t]
             e = emit[flat[at[:n] + t]]
-            a = start * e if t == 0 else (a[:n] @ move) * e
+            a = enter * e if t == 0 else (a[:n] @ move) * e
             s = a.sum(axis=1, keepdims=True)
             a = a / s
             alphas.append(a)
             scales.append(s)
+            gain += float(np.log(s).sum())
         ids, gammas, beta = [], [], np.ones((0, h))
         for t in range(int(lens[0]) - 1, -1, -1):
             n = alive[t]
             if len(beta) < n:  # sequences that end here
-                beta = np.concatenate((beta, np.ones((n - len(beta), h))))
+                beta = np.concatenate((beta, ends[len(beta): n]))
             gamma = alphas[t] * beta
             now = flat[at[:n] + t]
             ids.append(now)
             gammas.append(gamma)
-            if t:
+            if t or before is not None:
                 back = emit[now] * beta / scales[t]
-                g_move += alphas[t - 1][:n].T @ back
-                beta = back @ move.T
-        g_start += gammas[-1][np.array([first[i] for i in some], dtype=bool)].sum(axis=0)
+                if t:
+                    g_move += alphas[t - 1][:n].T @ back
+                    beta = back @ move.T
+                else:
+                    g_move += before[some][:n][~opens[:n]].T @ back[~opens[:n]]
+        g_start += gammas[-1][opens[: alive[0]]].sum(axis=0)
         ids_, gamma_ = np.concatenate(ids), np.concatenate(gammas)
         for k in range(h):
             g_emit[:, k] += np.bincount(ids_, weights=gamma_[:, k], minlength=len(emit))
-    return g_start, g_move * move, g_emit
+    return g_start, g_move * move, g_emit, gain
+
+
+def _transfers(seqs: list[np.ndarray], move: np.ndarray, emit: np.ndarray) -> np.ndarray:
+    """For each sequence, up to a factor, the matrix from the state before its first token's emission to that after its last."""
+    h = len(move)
+    order = np.argsort([-len(s) for s in seqs], kind="stable")
+    lens = np.array([len(seqs[i]) for i in order], dtype=np.int64)
+    flat = np.concatenate([seqs[i] for i in order])
+    at = np.concatenate(([0], np.cumsum(lens)[:-1]))
+    alive = np.searchsorted(-lens, -np.arange(lens[0]), side="left")
+    got = np.broadcast_to(np.eye(h), (len(seqs), h, h)).copy()
+    for t in range(int(lens[0])):
+        n = alive[t]
+        m = got[:n] if t == 0 else (got[:n].reshape(-1, h) @ move).reshape(n, h, h)
+        m = m * emit[flat[at[:n] + t]][:, None, :]
+        got[:n] = m / m.sum(axis=(1, 2), keepdims=True)
+    out = np.empty_like(got)
+    out[order] = got
+    return out
+
+
+def document_counts(docs: list[np.ndarray], start, move, emit, segment: int = 512):
+    """Exact expectations and log-likelihood of whole documents; cuts after ``segment`` tokens change the work, not the result."""
+    h = len(start)
+    seqs, first, spans = [], [], []
+    for d in docs:
+        cut = [d[i: i + segment] for i in range(0, len(d), segment)]
+        if len(cut) > 1:
+            spans.append((len(seqs), len(seqs) + len(cut)))
+        seqs += cut
+        first += [True] + [False] * (len(cut) - 1)
+    before, after = np.ones((len(seqs), h)), np.ones((len(seqs), h))
+    if spans:
+        inner = [i for a, b in spans for i in range(a, b)]
+        through = dict(zip(inner, _transfers([seqs[i] for i in inner], move, emit), strict=True))
+        for a, b in spans:
+            state = start
+            for i in range(a, b - 1):
+                state = (state if i == a else state @ move) @ through[i]
+                state = before[i + 1] = state / state.sum()
+            back = np.ones(h)
+            for i in range(b - 1, a, -1):
+                back = move @ (through[i] @ back)
+                back = after[i - 1] = back / (before[i] @ back)
+    return _counts(seqs, first, start, move, emit, before=before, after=after)
 
 
 def maximise(model: Model, g_start, g_move, g_emit, smoothing: float) -> None:
@@ -177,11 +242,6 @@ def maximise(model: Model, g_start, g_move, g_emit, smoothing: float) -> None:
     model.emit = grown / grown.sum(axis=0)
 
 
-def _segments(ids: list[int], size: int) -> list[np.ndarray]:
-    a = np.array(ids, dtype=np.int32)
-    return [a[i: i + size] for i in range(0, len(a), size)]
-
-
 def token_counts(texts: DataFrame, flush: int = 200_000) -> DataFrame:
     """``(token binary, n long)`` over every whole text; each text adds one END. Combined in the task first."""
     ship(texts.sparkSession)
@@ -229,17 +289,16 @@ def start_states(model: Model, texts: list[bytes], p: Params) -> None:
     model.start = np.full(p.states, 1 / p.states)
     model.move = np.full((p.states, p.states), 0.4 / p.states) + 0.6 * np.eye(p.states)
     index = {t: i for i, t in enumerate(model.heavy)}
-    seqs, first = [], []
-    for t in texts:
-        cut = _segments(encode(t, index, len(model.heavy))[0], p.segment)
-        seqs += cut
-        first += [True] + [False] * (len(cut) - 1)
+    seqs = [np.array(encode(t, index, len(model.heavy))[0], dtype=np.int32) for t in texts]
     for _ in range(p.sample_rounds if seqs else 0):
-        maximise(model, *expected_counts(seqs, first, model.start, model.move, model.emit), p.smoothing)
+        maximise(model, *document_counts(seqs, model.start, model.move, model.emit, p.segment)[:3], p.smoothing)
 
 
-def train_pass(texts: DataFrame, model: Model, p: Params) -> None:
-    """One Baum-Welch iteration over every training text; expected counts are added up by class across partitions."""
+def train_pass(texts: DataFrame, model: Model, p: Params) -> float | None:
+    """One Baum-Welch iteration over every training text; expected counts are added up by class across partitions.
+
+    Returns the natural log-likelihood of the texts before it, none where there is no text.
+    """
     spark, h = texts.sparkSession, p.states
     held = spark.sparkContext.broadcast(model)
     names = ["c", *(f"s{k}" for k in range(h))]
@@ -248,34 +307,32 @@ def train_pass(texts: DataFrame, model: Model, p: Params) -> None:
         m = held.value
         index = _index(m)
         sums = None
-        seqs, first, size = [], [], 0
+        seqs, size = [], 0
 
         def add():
-            got = expected_counts(seqs, first, m.start, m.move, m.emit)
+            got = document_counts(seqs, m.start, m.move, m.emit, p.segment)
             return got if sums is None else tuple(a + b for a, b in zip(sums, got, strict=True))
 
         for b in batches:
             for t in b.column(0):
-                cut = _segments(encode(t.as_py(), index, len(m.heavy))[0], p.segment)
-                seqs += cut
-                first += [True] + [False] * (len(cut) - 1)
-                size += sum(map(len, cut))
+                seqs.append(np.array(encode(t.as_py(), index, len(m.heavy))[0], dtype=np.int32))
+                size += len(seqs[-1])
                 if size >= 1 << 19:
                     sums = add()
-                    seqs, first, size = [], [], 0
+                    seqs, size = [], 0
         if seqs:
             sums = add()
         if sums is not None:
             full = np.flatnonzero(sums[2].any(axis=1))
-            keys = np.concatenate((full, [-1], -2 - np.arange(h))).astype(np.int32)
-            rows = np.concatenate((sums[2][full], sums[0][None], sums[1]))
+            keys = np.concatenate((full, [-1], -2 - np.arange(h), [-2 - h])).astype(np.int32)
+            rows = np.concatenate((sums[2][full], sums[0][None], sums[1], np.full((1, h), sums[3])))
             yield pa.RecordBatch.from_arrays([pa.array(keys), *(pa.array(rows[:, k]) for k in range(h))], names=names)
 
     schema = "c int, " + ", ".join(f"{n} double" for n in names[1:])
     got = texts.mapInArrow(run, schema).groupBy("c").agg(*[F.sum(n).alias(n) for n in names[1:]]).toArrow()
     held.unpersist()
     if not got.num_rows:
-        return
+        return None
     keys = got.column("c").to_numpy()
     rows = np.stack([got.column(n).to_numpy() for n in names[1:]], axis=1)
     g_start, g_move, g_emit = np.zeros(h), np.zeros((h, h)), np.zeros((model.classes, h))
@@ -285,6 +342,7 @@ def train_pass(texts: DataFrame, model: Model, p: Params) -> None:
         g_move[k] = rows[keys == -2 - k].sum(axis=0)
     maximise(model, g_start, g_move, g_emit, p.smoothing)
     model.uid = uuid.uuid4().hex
+    return float(rows[keys == -2 - h][0, 0])
 
 
 def train(docs: DataFrame, p: Params | None = None) -> tuple[Model, DataFrame]:
@@ -294,11 +352,17 @@ def train(docs: DataFrame, p: Params | None = None) -> tuple[Model, DataFrame]:
     counts = materialize(token_counts(texts), "token-counts")
     model = gather(counts, p)
     n_docs = int(model.heavy_counts[model.heavy.index(END)])
-    sample = (thinned(texts.filter(F.octet_length("text") <= p.sample_bytes), F.xxhash64(F.lit(p.seed), "text"), p.sample_docs, n_docs)
-              .orderBy(F.xxhash64("text")).limit(p.sample_docs))
-    start_states(model, sample.toArrow().column("text").to_pylist(), p)
+    drawn = F.xxhash64(F.lit(p.seed), "doc_id", "text")  # copies are drawn apart
+    sample = thinned(docs.select("doc_id", text_or_empty("text").cast("binary").alias("text")), drawn, p.sample_docs, n_docs).orderBy(F.xxhash64("doc_id", "text")).limit(p.sample_docs)
+    start_states(model, sample.select(F.substring("text", 1, p.sample_bytes).alias("text")).toArrow().column("text").to_pylist(), p)
+    last = -np.inf
     for _ in range(p.passes):
-        train_pass(texts, model, p)
+        now = train_pass(texts, model, p)
+        if now is None or now - last < p.settled * model.tokens:
+            break
+        last = now
+    else:
+        raise RuntimeError("the likelihood did not settle")
     return model, counts
 
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import tempfile
+import threading
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -10,7 +11,7 @@ from pyspark.sql import functions as F
 
 from corpusmap.session import ship
 
-__all__ = ["WORD", "documents", "fresh_path", "held_out", "materialize", "shared_dir", "ship", "text_or_empty", "thinned", "without_separators", "word_count"]
+__all__ = ["WORD", "documents", "fresh_names", "fresh_path", "held_out", "keep_by_fate", "materialize", "release", "row_key", "shared_dir", "ship", "text_or_empty", "thinned", "without_separators", "word_count"]
 
 #: fixed value: the separators between words, everywhere in this subpackage
 WORD = r"[^\x20\x09-\x0D]+"
@@ -19,39 +20,77 @@ SEPARATORS = ("\x20", "\x09", "\x0a", "\x0b", "\x0c", "\x0d")
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one where the session names none (tests)."""
+    """The folder that driver and executors share.
+
+    Where the session names none, a local master (tests) gets a temporary
+    folder; on a cluster that folder would be each machine's own, so it is an error.
+    """
     sc = spark.sparkContext
     told = sc.getConf().get("spark.checkpoint.dir")
-    if not told:
-        held = sc._jsc.sc().getCheckpointDir()
-        if held.isDefined():
-            return held.get()
-        sc.setCheckpointDir(tempfile.mkdtemp(prefix="corpusmap_"))
-        return sc._jsc.sc().getCheckpointDir().get()
-    return told
+    if told:
+        return told
+    held = sc._jsc.sc().getCheckpointDir()
+    if held.isDefined():
+        return held.get()
+    if not sc.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
+    sc.setCheckpointDir(tempfile.mkdtemp(prefix="corpusmap_"))
+    return sc._jsc.sc().getCheckpointDir().get()
 
 
 def fresh_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark).rstrip('/')}/corpusmap/{name}-{uuid.uuid4().hex}"
 
 
+def fresh_names(df: DataFrame, *names: str) -> list[str]:
+    """``names``, each with underscores before it until no column of ``df`` is called so, in any case of letters."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for n in names:
+        while n.lower() in taken:
+            n = f"_{n}"
+        taken.add(n.lower())
+        out.append(n)
+    return out
+
+
 _CLEAN_UP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+_writing = {"lock": threading.Lock(), "n": 0, "before": None}
 
 
 def materialize(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` to the shared folder and read it back: cuts lineage, survives lost executors.
 
     The shuffle files of the step are removed as soon as its table is written.
+    Several threads may write at once: the setting is restored by the last.
+    The table stays until :func:`release` is called on the result.
     """
     spark = df.sparkSession
     path = fresh_path(spark, name)
-    before = spark.conf.get(_CLEAN_UP)
-    spark.conf.set(_CLEAN_UP, "true")
+    with _writing["lock"]:
+        if not _writing["n"]:
+            _writing["before"] = spark.conf.get(_CLEAN_UP)
+            spark.conf.set(_CLEAN_UP, "true")
+        _writing["n"] += 1
     try:
         df.write.parquet(path)
     finally:
-        spark.conf.set(_CLEAN_UP, before)
-    return spark.read.schema(df.schema).parquet(path)
+        with _writing["lock"]:
+            _writing["n"] -= 1
+            if not _writing["n"]:
+                spark.conf.set(_CLEAN_UP, _writing["before"])
+    found = spark.read.schema(df.schema).parquet(path)
+    found._written_to = path
+    return found
+
+
+def release(*tables: DataFrame) -> None:
+    """Delete tables that :func:`materialize` wrote. Only for those that nothing unwritten is still built on."""
+    for t in tables:
+        path = t.__dict__.pop("_written_to", None)
+        if path:
+            spark = t.sparkSession
+            where = spark._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
 
 
 def text_or_empty(col: str | Column = "text") -> Column:
@@ -59,6 +98,36 @@ def text_or_empty(col: str | Column = "text") -> Column:
     return F.coalesce(F.col(col) if isinstance(col, str) else col, F.lit(""))
 
 
+def row_key(doc_id: Column, text: Column) -> list[Column]:
+    """Two longs ``k1, k2``, 128 bits that tell rows apart by identifier and text, null and repeated identifiers too."""
+    return [F.xxhash64(F.lit(n), doc_id, doc_id.isNull(), text).alias(f"k{n}") for n in (1, 2)]
+
+
+BUCKETS = 1 << 20
+
+
+def keep_by_fate(docs: DataFrame, fate: DataFrame) -> DataFrame:
+    """``docs`` without the rows that ``fate(k1, k2, keep boolean, n long)`` drops; columns unchanged, whatever their names.
+
+    A row is known by :func:`row_key`. Rows that are not in ``fate`` stay. Of
+    the ``n`` rows of one kept key one stays. Only rows in a bucket of keys of
+    ``fate`` are shuffled; the others go straight through.
+    """
+    k1, k2, b, keep, n = fresh_names(docs, "k1", "k2", "bucket", "keep", "n")
+    bucket = lambda k: F.pmod(F.col(k), F.lit(BUCKETS))
+    keys = row_key(F.col("doc_id"), text_or_empty("text"))
+    marked = docs.withColumns({k1: keys[0], k2: keys[1]}).withColumn(b, bucket(k1))
+    hit = F.broadcast(fate.select(bucket("k1").alias(b)).distinct())  # at most BUCKETS rows of eight bytes
+    told = fate.select(F.col("k1").alias(k1), F.col("k2").alias(k2), F.col("keep").alias(keep), F.col("n").alias(n))
+    met = marked.join(hit, b, "left_semi").join(told, [k1, k2], "left")
+    out = marked.join(hit, b, "left_anti").select(*docs.columns)
+    if not fate.filter("keep and n > 1").limit(1).count():
+        return out.unionByName(met.filter(F.col(keep).isNull() | F.col(keep)).select(*docs.columns))
+    once = met.filter(F.col(keep).isNull() | F.col(keep) & (F.col(n) == 1)).select(*docs.columns)
+    many = met.filter(F.col(keep) & (F.col(n) > 1)).groupBy(k1, k2).agg(F.first(F.struct(*[F.col(c) for c in docs.columns])).alias(b))  # combined in the task first
+    return out.unionByName(once).unionByName(many.select(f"{b}.*"))
+
+
 def without_separators(col: Column) -> Column:
     """The text with every separator character deleted (byte-wise replaces, no regular expression)."""
     for s in SEPARATORS:

@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from corpusmap.llm.common import materialize
+from corpusmap.llm.common import materialize, release
 
 
 def _both_ways(edges: DataFrame) -> DataFrame:
@@ -22,20 +22,20 @@ def _lowest(low: DataFrame) -> DataFrame:
     return materialize(low, "lowest")
 
 
-def _large_star(edges: DataFrame) -> DataFrame:
+def _large_star(edges: DataFrame) -> tuple[DataFrame, DataFrame]:
     """Hang every larger neighbour of a node below the smallest of the node's closed neighbourhood."""
     near = _both_ways(edges)
     low = _lowest(near.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m")))
     return (near.filter("b > a").join(low, "a")
-            .select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b").distinct())
+            .select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b").distinct()), low
 
 
-def _small_star(edges: DataFrame) -> DataFrame:
+def _small_star(edges: DataFrame) -> tuple[DataFrame, DataFrame]:
     """Hang a node and its smaller neighbours below the smallest of them."""
     down = edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
     low = _lowest(down.groupBy("a").agg(F.min("b").alias("m")))
     moved = down.join(low, "a").filter("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
-    return moved.union(low.select("a", F.col("m").alias("b"))).distinct()
+    return moved.union(low.select("a", F.col("m").alias("b"))).distinct(), low
 
 
 def _state(edges: DataFrame) -> tuple:
@@ -54,7 +54,10 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     for _ in range(max_rounds):
         if not seen[0]:
             break
-        now = materialize(_small_star(_large_star(now)), "edges")
+        wide, one = _large_star(now)
+        narrow, two = _small_star(wide)
+        before, now = now, materialize(narrow, "edges")
+        release(before, one, two)  # the new table holds all that goes on
         after = _state(now)
         if after == seen:
             break

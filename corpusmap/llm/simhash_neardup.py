@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from corpusmap.llm.common import documents, materialize, ship, text_or_empty
+from corpusmap.llm.common import documents, keep_by_fate, materialize, row_key, ship, text_or_empty
 from corpusmap.llm.components import connected_components
 
 #: fixed values: three of the four positions in either half
@@ -26,6 +26,16 @@ TRIPLES = tuple((h, h + i, h + j, h + k) for h in (0, 4) for i, j, k in ((0, 1,
 SMALL = 32
 
 
+def majority_bits(hashes: np.ndarray) -> int:
+    """The bits that are set in over half of 64-bit hashes."""
+    counts = np.zeros(64, dtype=np.int64)
+    for at in range(0, len(hashes), 1 << 16):
+        part = np.ascontiguousarray(hashes[at: at + (1 << 16)]).view(np.uint8).reshape(-1, 8)
+        counts += np.unpackbits(part, axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+    over = (2 * counts > len(hashes)).astype(np.uint8)
+    return int(np.packbits(over, bitorder="little").view("<u8")[0])
+
+
 def fingerprint(text: bytes, shingle: int = 3, seed: int = 42) -> int:
     """The 64-bit SimHash of word shingles; no word gives zero."""
     import xxhash
@@ -41,25 +51,21 @@ def fingerprint(text: bytes, shingle: int = 3, seed: int = 42) -> int:
         ends = np.cumsum(np.fromiter(map(len, words), dtype=np.int64, count=len(words)) + 1)
         starts = np.concatenate(([0], ends[:-1]))
         hashes = [digest(line[s:e], seed) for s, e in zip(starts[: len(words) - shingle + 1].tolist(), (ends[shingle - 1:] - 1).tolist(), strict=True)]
-    counts = np.zeros(64, dtype=np.int64)
-    for at in range(0, len(hashes), 1 << 16):
-        part = np.array(hashes[at: at + (1 << 16)], dtype="<u8")
-        counts += np.unpackbits(part.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
-    over = (2 * counts > len(hashes)).astype(np.uint8)
-    return int(np.packbits(over, bitorder="little").view("<u8")[0])
+    return majority_bits(np.array(hashes, dtype="<u8"))
 
 
-def with_fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """``(doc_id, fp long)``: the fingerprint as a signed long, one row per input row. Nulls count as empty."""
+def with_fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = 3) -> DataFrame:
+    """``(doc_id, k1, k2, fp long)``: the fingerprint as a signed long and the row's key, one row per input row. Nulls count as empty."""
     ship(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            fps = np.array([fingerprint(t) for t in b.column(1).to_pylist()], dtype=np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps)], names=["doc_id", "fp"])
+            fps = np.array([fingerprint(t.as_py(), shingle) for t in b.column(3)], dtype=np.uint64).view(np.int64)
+            yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array(fps)], names=["doc_id", "k1", "k2", "fp"])
 
-    kept = docs.select(F.col(doc_id).alias("doc_id"), text_or_empty(text).cast("binary").alias("text"))
-    return kept.mapInArrow(run, kept.select("doc_id").withColumn("fp", F.lit(0).cast("long")).schema)
+    plain = text_or_empty(text)
+    kept = docs.select(F.col(doc_id).alias("doc_id"), *row_key(F.col(doc_id), plain), plain.cast("binary").alias("text"))
+    return kept.mapInArrow(run, kept.drop("text").withColumn("fp", F.lit(0).cast("long")).schema)
 
 
 def _links_in_lists(max_bits: int, min_shared: int):
@@ -165,25 +171,41 @@ def fingerprint_links(prints: DataFrame, max_bits: int = 3, list_bound: int = 81
             .mapInArrow(_links_in_lists(max_bits, 8 - max_bits), "a long, b long"))
 
 
-def simhash_classes(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", max_bits: int = 3) -> DataFrame:
-    """``(doc_id, fp long, component_id long)`` for every row of ``docs``.
+def simhash_classes(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", max_bits: int = 3, shingle: int = 3) -> DataFrame:
+    """``(doc_id, k1, k2, fp long, class long, component_id long)`` for every row of ``docs``.
 
     component_id is the smallest identifier reachable over links of at most
-    ``max_bits`` bits. Null and empty texts have fingerprint zero and link
-    like any other; equal fingerprints are one node, so copies cost nothing
-    more. An empty table gives an empty result; other columns are ignored.
+    ``max_bits`` bits (null if all are null); ``class`` names the class. Null and empty texts have
+    fingerprint zero and link like any other; a fingerprint is one node, so
+    copies cost nothing more and rows that share an identifier stay apart. An
+    empty table gives an empty result; other columns are ignored.
+    """
+    found = materialize(with_fingerprints(docs, doc_id, text, shingle), "fingerprints")
+    nodes = materialize(found.groupBy("fp").agg(F.min("doc_id").alias("least")), "nodes")
+    parts = connected_components(fingerprint_links(nodes.select(F.col("fp").alias("node"), "fp"), max_bits))
+    placed = nodes.join(parts.withColumnRenamed("id", "fp"), "fp", "left").select("fp", "least", F.coalesce("component", "fp").alias("component"))
+    placed = materialize(placed, "placed")
+    least = materialize(placed.groupBy("component").agg(F.min("least").alias("component_id")), "least")
+    tops = placed.join(least, "component").select("fp", F.col("component").alias("class"), "component_id")
+    return found.join(materialize(tops, "classes"), "fp").select("doc_id", "k1", "k2", "fp", "class", "component_id")
+
+
+def one_of_each_class(docs: DataFrame, max_bits: int = 3, shingle: int = 3) -> DataFrame:
+    """One row of ``docs`` for each near-duplicate class, that with its smallest doc_id; columns unchanged.
+
+    Of rows with that identifier one stays; a class without any identifier
+    keeps one row as well. An empty table stays empty.
     """
-    found = materialize(with_fingerprints(docs, doc_id, text), "fingerprints")
-    nodes = materialize(found.groupBy("fp").agg(F.min("doc_id").alias("node")), "nodes")
-    parts = connected_components(fingerprint_links(nodes, max_bits))
-    tops = nodes.join(parts.withColumnRenamed("id", "node"), "node", "left").select("fp", F.coalesce("component", "node").alias("component_id"))
-    return found.join(materialize(tops, "classes"), "fp").select("doc_id", "fp", "component_id")
+    found = materialize(simhash_classes(docs, max_bits=max_bits, shingle=shingle).withColumn("row", F.monotonically_increasing_id()), "simhash-rows")
+    return keep_by_fate(docs, fate_of_classes(found))
 
 
-def one_of_each_class(docs: DataFrame) -> DataFrame:
-    """The rows of ``docs`` whose doc_id is the smallest of its near-duplicate class; columns unchanged."""
-    tops = simhash_classes(docs).select(F.col("component_id").alias("__id")).distinct()
-    return docs.join(tops, docs["doc_id"].eqNullSafe(F.col("__id")), "left_semi")
+def fate_of_classes(found: DataFrame) -> DataFrame:
+    """``(k1, k2, keep, n)`` of a written table ``found(doc_id, k1, k2, row, class)``: of each class of several rows that with the smallest identifier stays."""
+    first = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "row")
+    best = found.groupBy("class").agg(F.min(first).alias("best"), F.count(F.lit(1)).alias("size")).filter("size > 1").select("class", F.col("best.row").alias("stays"))
+    told = found.join(materialize(best, "best"), "class").groupBy("k1", "k2").agg(F.max(F.col("row") == F.col("stays")).alias("keep"), F.count(F.lit(1)).alias("n"))
+    return materialize(told, "fate")
 
 
 def op7_simhash_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -12,14 +12,14 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from corpusmap.llm import embedding_neardup, exact_dedup, hmm_lm, mixing, packing, quality_mil, sharding, simhash_neardup, substring_dedup, toxicity
+from corpusmap.llm import embedding_neardup, exact_dedup, hmm_lm, mixing, packing, quality_mil, sharding, shingle_neardup, simhash_neardup, substring_dedup, toxicity
 from corpusmap.llm.common import documents
 from corpusmap.llm.components import connected_components
 
 FOLDER = "/root/testdata/sf0.001"
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
 #: names that the operators use inside
-CLASH = ("tag", "fp", "digest", "norm", "node", "h", "part", "n", "k1", "token", "score", "kept", "mix_key")
+CLASH = ("tag", "fp", "digest", "norm", "node", "h", "part", "n", "k1", "K2", "token", "score", "kept", "mix_key", "__id", "__text", "__score", "__quality", "bucket", "keep", "row", "class", "points", "at")
 
 
 @pytest.fixture(scope="module")
@@ -107,13 +107,30 @@ def test_exact_dedup(odd, spark):
     got = table(exact_dedup.exact_classes(df).filter("doc_id is not null"), "doc_id", "keep_id", "group_size", "kept")
     want = []
     for g in groups.values():
-        keep = min((x for x in g if x[1] is not None), default=None)
-        want += [(i, keep[1], len(g), i == keep[1]) for _, i in g if i is not None]
+        keep = min((x for x in g if x[1] is not None), default=(0, None))
+        first = [n for n, x in enumerate(g) if x == keep][:1]  # of rows with one identifier one stays
+        want += [(i, keep[1], len(g), [n] == first) for n, (_, i) in enumerate(g) if i is not None]
     assert got == sorted(want)
     weak = exact_dedup.exact_classes(df.filter("doc_id is not null"), digest=lambda n: F.substring(F.unhex(F.sha2(n, 256)), 1, 1))
     assert table(weak, "doc_id", "keep_id", "group_size", "kept") == sorted(want)  # digests collide: the bytes decide
     stay = exact_dedup.without_copies(df)
-    assert stay.columns == df.columns and stay.filter("doc_id is null").count() == 1
+    assert stay.columns == df.columns and stay.filter("doc_id is null").count() == 1 and stay.count() == len(groups)
+
+
+REPEATED = [(1, "a b"), (1, "a b"), (2, "ab"), (0, "cc"), (1, "cc"), (1, "a b cc"), (None, "q"), (None, "q"), (None, None), (5, " ")]
+
+
+def test_one_row_of_repeated_ones_stays(spark):
+    """Rows that share identifier and text, identifiers with several texts, and none at all."""
+    df = spark.createDataFrame(REPEATED, "doc_id long, text string").withColumns({c: F.lit(1) for c in CLASH})
+    kept = table(exact_dedup.exact_classes(df).filter("kept"), "doc_id", "keep_id", "group_size")
+    assert kept == sorted([(0, 0, 2), (1, 1, 1), (1, 1, 3), (5, 5, 2), (None, None, 2)], key=key)
+    rows = lambda x: [(r["doc_id"], (r["text"] or "").strip()) for r in x.collect()]
+    assert sorted(rows(exact_dedup.without_copies(df)), key=key) == sorted([(0, "cc"), (1, "a b"), (1, "a b cc"), (5, ""), (None, "q")], key=key)
+    for stage in (simhash_neardup.one_of_each_class, shingle_neardup.one_of_each_shingle_class):
+        stay = stage(df)
+        assert stay.columns == df.columns
+        assert sorted(rows(stay), key=key) == sorted([(0, "cc"), (1, "a b"), (1, "a b cc"), (2, "ab"), (5, ""), (None, "q")], key=key)
 
 
 def test_exact_dedup_grows(spark):

@@ -321,18 +321,22 @@ def test_quality(odd, spark):
     model = quality_mil.train(docs, labels)
     got = quality_mil.score(df, model)
     assert got.count() == len(rows) and got.filter("score is null or score < 0 or score > 1").count() == 0
-    assert quality_mil.accepted(docs, labels).columns == docs.columns
+    assert quality_mil.accepted(df.withColumn("doc_id", F.col("doc_id") + 5), labels).columns == df.columns
 
 
 def test_mil_gradients():
     p = quality_mil.MilParams(hidden=3)
     m, rng = quality_mil.initial(p), np.random.default_rng(1)
     x, at, y = rng.normal(size=(7, quality_mil.N_FEATURES)), np.array([0, 2, 3]), np.array([1.0, 0.0, 1.0])
-    loss = lambda: float(np.mean(np.logaddexp(0, quality_mil.forward(m, x, at)["logit"]) - y * quality_mil.forward(m, x, at)["logit"]))
-    g = quality_mil.gradients(m, quality_mil.forward(m, x, at), y, at)
+    pairs = quality_mil.grams([[bytes(rng.integers(97, 105, 6).tolist())] * n for n in (1, 2, 3, 1, 5, 1, 2)] )
+    score = lambda g=pairs: quality_mil.forward(m, x, g, at)
+    assert np.allclose(score()["logit"], score(quality_mil.compact(pairs))["logit"])
+    loss = lambda: float(np.mean(np.logaddexp(0, score()["logit"]) - y * score()["logit"]))
+    g = quality_mil.gradients(m, score(), pairs, y, at)
+    assert np.count_nonzero(g["emb"]) > 20
     for k, d in g.items():
         flat = m[k].reshape(-1)
-        for i in range(0, flat.size, 5):
+        for i in np.flatnonzero(d.reshape(-1))[::5] if k == "emb" else range(0, flat.size, 5):
             old = flat[i]
             flat[i] = old + 1e-6
             up = loss()
@@ -342,12 +346,53 @@ def test_mil_gradients():
             assert d.reshape(-1)[i] == pytest.approx((up - down) / 2e-6, abs=1e-6)
 
 
+def test_attention_finds_the_planted_passage():
+    """Bags differ in one passage, of letters in another order, which only the learnt byte pairs can tell."""
+    rng = random.Random(3)
+    word = lambda syllables: "".join(rng.choice(syllables) for _ in range(3)).encode()
+    bags, y, places = [], [], []
+    for i in range(160):
+        bag = [[word(("ba", "ce", "di")) for _ in range(12)] for _ in range(6)]
+        places.append(rng.randrange(6))
+        if i % 2:
+            bag[places[-1]] = [word(("ab", "ec", "id")) for _ in range(12)]
+        bags.append(bag)
+        y.append(1.0 - i % 2)
+    x = [quality_mil.features(b) for b in bags]
+    pairs = [quality_mil.compact(quality_mil.grams(b)) for b in bags]
+    m = quality_mil.fit(x[:120], pairs[:120], np.array(y[:120]), quality_mil.MilParams())
+    right = found = 0
+    for i in range(120, 160):
+        r = quality_mil.forward(m, x[i], pairs[i], np.array([0]))
+        right += (r["logit"][0] > 0) == (y[i] > 0)
+        found += i % 2 and int(r["w"].argmax()) == places[i]
+    assert right >= 38 and found >= 18
+
+
 def test_toxicity(odd, spark):
+    """Held-out rows of the given table; its swap sets come from its training rows, and the penalty moves scores."""
+    df, rows = odd
+    folder = "/root/testdata/sf0.01"
+    docs, labels = documents(spark, folder), spark.read.parquet(f"{folder}/labels.parquet")
+    out = toxicity.op8_counterfactual_toxicity(spark, folder).join(labels, "doc_id").filter("held_out")
+    assert out.filter("predicted = toxic").count() / out.count() > 0.9
+    assert out.filter("predicted = 1 and toxic = 0").count() <= 3
+    fitted = {weight: toxicity.train(docs, labels, p=toxicity.ToxParams(least_ratio=(14.0,), swap_weight=weight)) for weight in (0.0, 4.0)}
+    own = fitted[4.0].swap_sets[len(toxicity.GROUP_NAMES):]
+    assert fitted[4.0].swaps > 1000 and own and own == fitted[0.0].swap_sets[len(toxicity.GROUP_NAMES):]
+    moves = {weight: max(max(map(m.word, s)) - min(map(m.word, s)) for s in own) for weight, m in fitted.items()}
+    assert moves[4.0] < 0.5 * moves[0.0]  # swapping a neutral term moves a score less
+    scores = [toxicity.score(docs, m).toPandas().sort_values("doc_id")["score"].to_numpy() for m in fitted.values()]
+    assert np.abs(scores[0] - scores[1]).max() > 1e-3
+    assert toxicity.score(df, fitted[4.0]).count() == len(rows)
+
+
+def test_toxicity_of_odd_rows(odd, spark):
+    """Labels for null, empty, long and repeated rows, twice, null, and for identifiers that have no document."""
     df, rows = odd
-    assert toxicity.score(df, toxicity.Model({}, -1.0)).count() == len(rows)
-    out = toxicity.op8_counterfactual_toxicity(spark, "/root/testdata/sf0.1").join(spark.read.parquet("/root/testdata/sf0.1/labels.parquet"), "doc_id").filter("held_out")
-    right = out.filter("predicted = toxic").count() / out.count()
-    assert right > 0.97
+    labels = spark.createDataFrame([(i, int(t is not None and i % 3 == 0), i % 2) for i, t, _ in rows if i is not None] + [(3, 1, 1), (None, 1, 1), (999, 0, 0), (4, None, None)], "doc_id long, quality int, toxic int")
+    for got in (toxicity.score(df, toxicity.train(df, labels)), quality_mil.score(df, quality_mil.train(df, labels))):
+        assert got.count() == len(rows) and got.filter("score is null or score < 0 or score > 1").count() == 0
 
 
 def test_swaps_hold_identity_terms_together():

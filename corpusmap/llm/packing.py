@@ -231,7 +231,8 @@ def pack(found: DataFrame, window: int = WINDOW, group_tokens: int = 4_000_000)
         order = order.select(names)
         return order.append_column("sequence_id", pa.array(key[0].as_py() + groups * where)).append_column("offset", pa.array(offset))
 
-    dealt = rest.withColumn("deal", F.pmod(F.xxhash64("doc_id", "start", "ids_crc32"), F.lit(groups)).cast("long"))
+    # the pieces are a written table; its row numbers deal equal rows, however many, to all groups
+    dealt = rest.withColumn("deal", F.pmod(F.xxhash64("doc_id", "start", "ids_crc32", F.monotonically_increasing_id()), F.lit(groups)).cast("long"))
     packed = dealt.groupBy("deal").applyInArrow(run, full.schema)
     return full.unionByName(packed)
 

@@ -1,11 +1,11 @@
 """Histogram sort: documents into byte-balanced shards with one exchange.
 
 Rows are ordered by (hash of the text, doc_id), so equal texts are neighbours.
-Splitters are found by counting exact bytes below candidate boundaries over
-all partitions and narrowing the candidates. A boundary settles between two
-groups of equal texts where that is near enough; only a group too large for
-the tolerance is cut, by doc_id. Finer splitters inside the shards spread the
-numbering of slots over many tasks.
+Groups of equal texts that are large, but fit into a shard, are laid down
+whole, the largest first, each in the emptiest shard. The rest fills the
+shards up: splitters are found by counting exact bytes below candidate
+boundaries over all partitions and narrowing the candidates. Only a group that
+no shard can hold is cut, by doc_id.
 """
 
 from __future__ import annotations
@@ -17,10 +17,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from corpusmap.llm.common import documents, materialize, ship, text_or_empty
+from corpusmap.llm.common import documents, fresh_names, materialize, ship, text_or_empty
 
 LOW, HIGH = -(1 << 63), (1 << 63) - 1
 Key = tuple[int, int]
@@ -53,7 +52,7 @@ def _histogram(keys: DataFrame, probes: list[Key]) -> tuple[np.ndarray, np.ndarr
         full = np.flatnonzero(rows)
         yield pa.RecordBatch.from_arrays([pa.array(full.astype(np.int64)), pa.array(size[full]), pa.array(rows[full])], names=["at", "size", "rows"])
 
-    got = keys.select("h", "doc_id", "size").mapInArrow(count, "at long, size long, rows long").groupBy("at").agg(F.sum("size"), F.sum("rows")).collect()  # at most a row per probe
+    got = keys.select("h", "d", "size").mapInArrow(count, "at long, size long, rows long").groupBy("at").agg(F.sum("size"), F.sum("rows")).collect()  # at most a row per probe
     size, rows = np.zeros(len(ph) + 1, dtype=object), np.zeros(len(ph) + 1, dtype=np.int64)
     for at, s, n in got:
         size[at], rows[at] = s, n
@@ -71,12 +70,9 @@ class _Search:
     hi_bytes: int = 0
     key: Key | None = None
 
-    def nearest(self) -> tuple[Key, float]:
-        down, up = self.target - self.lo_bytes, self.hi_bytes - self.target
-        return (self.lo, down) if down <= up else (self.hi, up)
-
     def settle(self) -> None:
-        key, off = self.nearest()
+        down, up = self.target - self.lo_bytes, self.hi_bytes - self.target
+        key, off = (self.lo, down) if down <= up else (self.hi, up)
         one_group = self.hi[0] - self.lo[0] <= 1 and self.lo[1] == LOW and self.hi[1] == LOW
         atom = self.hi[0] == self.lo[0] and self.hi[1] - self.lo[1] <= 1
         if off <= self.tolerance or one_group and off <= self.group_tolerance or atom:
@@ -92,25 +88,24 @@ class _Search:
         return [(a + (b - a) * i // (n + 1), LOW) for i in range(1, n + 1)]
 
 
-def splitters(keys: DataFrame, parts: int, every: int, total: int, n_probes: int = 16, tolerance: float = 0.001, group_tolerance: float = 0.02, max_rounds: int = 80) -> list[Key]:
-    """The ``parts - 1`` boundaries; each ``every``-th is a shard boundary and held to the tolerance of a shard.
+def splitters(keys: DataFrame, targets: list[float], tolerance: float, group_tolerance: float, n_probes: int = 64, max_rounds: int = 80) -> list[Key]:
+    """Boundaries with ``targets`` bytes of ``keys`` below them, ascending; tolerances are bytes.
 
-    Tolerances are parts of the bytes of a shard; the boundaries in between
-    are held to a quarter of a part.
+    A boundary that cuts a group needs ``group_tolerance``, else it stays at
+    the nearer end. Raises if ``max_rounds`` passes do not settle them all.
     """
-    shard = total * every / parts
-    search = [_Search(total * j / parts, *((tolerance * shard, group_tolerance * shard) if j % every == 0 else (total / parts / 4,) * 2), hi_bytes=total) for j in range(1, parts)]
-    bounds = keys.agg(F.min("doc_id"), F.max("doc_id")).first()
+    total, first, last = keys.agg(F.coalesce(F.sum("size"), F.lit(0)), F.min("d"), F.max("d")).first()
+    search = [_Search(min(t, total), tolerance, group_tolerance, hi_bytes=total) for t in targets]
     for s in search:
         s.settle()
     for _ in range(max_rounds):
         open_ = [s for s in search if s.key is None]
         if not open_:
-            break
+            return sorted(s.key for s in search)
         for s in open_:  # inside a group only identifiers that exist are of interest
             if s.lo[0] == s.hi[0]:
-                s.lo = (s.lo[0], max(s.lo[1], bounds[0]))
-                s.hi = (s.hi[0], min(s.hi[1], bounds[1] + 1))
+                s.lo = (s.lo[0], max(s.lo[1], first))
+                s.hi = (s.hi[0], min(s.hi[1], last + 1))
         probes = sorted({p for s in open_ for p in s.probes(n_probes)})
         size, _ = _histogram(keys, probes)
         for s in open_:
@@ -120,48 +115,63 @@ def splitters(keys: DataFrame, parts: int, every: int, total: int, n_probes: int
                 elif s.lo < p < s.hi and b > s.target and (p[1] == LOW or p[0] == s.hi[0]):
                     s.hi, s.hi_bytes = p, int(b)
             s.settle()
-    return sorted(s.key or s.nearest()[0] for s in search)
-
-
-def byte_shards(docs: DataFrame, shards: int = 16, parts_per_shard: int = 32, n_probes: int = 16) -> DataFrame:
-    """``docs`` columns replaced by ``(doc_id, size, text_crc32, shard int, slot long)``, one row per row.
-
-    size is the UTF-8 bytes of the text plus one, so null and empty texts are
-    placed too. Slots count from 0 without gaps in key order; rows that are
-    the same in doc_id and text are neighbours. Bytes of shards differ by
-    about ``group_tolerance``; equal texts share a shard unless their group is
-    larger than that. An empty table gives an empty result.
+    raise RuntimeError("the splitters did not settle")
+
+
+def lay_down(groups: list[tuple[int, int]], shards: int, room: float) -> tuple[dict[int, int], list[int]]:
+    """``(hash, bytes)``, the largest first, each whole into the emptiest shard if it fits there: places and loads. The others are left."""
+    place, load = {}, [0] * shards
+    for h, size in sorted(groups, key=lambda g: (-g[1], g[0])):
+        s = min(range(shards), key=lambda i: (load[i], i))
+        if load[s] + size <= room:
+            place[h] = s
+            load[s] += size
+    return place, load
+
+
+def byte_shards(docs: DataFrame, shards: int = 16, tolerance: float = 0.001, whole: float = 0.002, rows_per_part: int = 1_000_000) -> DataFrame:
+    """``docs`` plus ``shard_size, shard_crc32, shard int, slot long``, one row per row, dealt to their shards by one exchange.
+
+    ``shard_size`` is the UTF-8 bytes of the text plus one, so null and empty
+    texts are placed too. Slots count from 0 without gaps in every shard. The
+    bytes of shards differ by ``tolerance`` and half of ``whole`` at most, as
+    parts of a shard, and by one row. Equal texts share a shard while one can
+    hold them beside larger groups; a group that none can hold is cut by
+    doc_id (rows of one text without identifier cannot be told apart and stay
+    together). Repeated rows take a slot each. An empty table gives an empty
+    result. The four names are reserved; other names do no harm.
     """
     spark = docs.sparkSession
     ship(spark)
+    h_, d_, sub_, n_ = fresh_names(docs, "h", "d", "sub", "n")
     text = text_or_empty("text")
-    keys = materialize(docs.select(F.coalesce("doc_id", F.lit(LOW)).alias("doc_id"), F.xxhash64(text).alias("h"), (F.octet_length(text) + 1).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32")), "shard-keys")
-    total = keys.agg(F.sum("size")).first()[0] or 0
-    parts = shards * parts_per_shard
-    found = splitters(keys, parts, parts_per_shard, total, n_probes) if total else []
-    ph = np.array([k[0] for k in found], dtype=np.int64)
-    pd = np.array([k[1] for k in found], dtype=np.int64)
-    first_slot, before = [], 0
-    if found:
-        _, below = _histogram(keys, sorted(set(found)))
-        under = dict(zip(sorted(set(found)), (int(x) for x in below), strict=True))
-        starts = [0, *(under[k] for k in found)]
-        for p in range(parts):
-            before = starts[p] if p % parts_per_shard == 0 else before
-            first_slot.append(starts[p] - before)
-
-    @F.pandas_udf(T.IntegerType())
-    def part(h, d):
-        import pandas
-
-        return pandas.Series(interval_of(h.to_numpy(), d.to_numpy(), ph, pd).astype(np.int32))
-
-    offsets = spark.createDataFrame([(p, s) for p, s in enumerate(first_slot)], "part int, first_slot long")
-    placed = keys.withColumn("part", part("h", "doc_id"))
-    order = Window.partitionBy("part").orderBy("h", "doc_id")
-    return (placed.withColumn("n", F.row_number().over(order)).join(F.broadcast(offsets), "part")
-            .select(F.nullif("doc_id", F.lit(LOW)).alias("doc_id"), "size", "text_crc32", F.floor(F.col("part") / parts_per_shard).cast("int").alias("shard"), (F.col("first_slot") + F.col("n") - 1).cast("long").alias("slot")))
+    marked = docs.withColumns({h_: F.xxhash64(text), d_: F.coalesce("doc_id", F.lit(LOW)), "shard_size": (F.octet_length(text) + 1).cast("long"), "shard_crc32": F.crc32(text.cast("binary"))})
+    keys = materialize(marked.select(F.col(h_).alias("h"), F.col(d_).alias("d"), F.col("shard_size").alias("size")), "shard-keys")
+    total, rows = keys.agg(F.coalesce(F.sum("size"), F.lit(0)), F.count(F.lit(1))).first()
+    room = total / shards
+    large = keys.groupBy("h").agg(F.sum("size").alias("b")).filter(F.col("b") >= max(2.0, whole * room)).filter(F.col("b") <= room)  # at most shards / whole groups
+    place, load = lay_down([(r[0], r[1]) for r in large.collect()], shards, room)
+    placed = spark.createDataFrame(sorted(place.items()), "h long, own int")
+    others = keys.join(F.broadcast(placed), "h", "left_anti")
+    bounds = splitters(others, np.cumsum([room - x for x in load])[:-1].tolist(), tolerance * room, whole * room) if total else []
+    parts = max(1, -(-rows // (shards * rows_per_part)))
+
+    def put(df: DataFrame, h: str, d: str, sub: str) -> DataFrame:
+        """Columns ``shard`` and ``sub``: the part of its shard that numbers the row."""
+        past = sum([((F.col(h) > a) | (F.col(h) == a) & (F.col(d) >= b)).cast("int") for a, b in bounds], F.lit(0))
+        met = df.join(F.broadcast(placed.select(F.col("h").alias(h), F.col("own").alias("shard"))), h, "left")
+        return met.withColumns({"shard": F.coalesce("shard", past), sub: F.pmod(F.xxhash64(h, d), F.lit(parts)).cast("int")})
+
+    counts = put(keys, "h", "d", "sub").groupBy("shard", "sub").count().collect()  # rows over rows_per_part, and shards
+    offsets, at = [], {}
+    for s, k, n in sorted(map(tuple, counts)):
+        offsets.append((s, k, at.get(s, 0)))
+        at[s] = at.get(s, 0) + n
+    first = spark.createDataFrame(offsets, f"shard int, {sub_} int, {n_} long")
+    order = Window.partitionBy("shard", sub_).orderBy(h_, d_)
+    out = put(marked, h_, d_, sub_).withColumn("slot", F.row_number().over(order)).join(F.broadcast(first), ["shard", sub_])
+    return out.select(*docs.columns, "shard_size", "shard_crc32", "shard", (F.col(n_) + F.col("slot") - 1).alias("slot"))
 
 
 def op9_histogram_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return byte_shards(documents(spark, sf_dir)).select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
+    return byte_shards(documents(spark, sf_dir)).select("doc_id", F.col("shard_size").alias("size"), F.col("shard_crc32").alias("text_crc32"), F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))

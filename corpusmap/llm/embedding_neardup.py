@@ -21,7 +21,8 @@ from pyspark.sql import functions as F
 from corpusmap.llm.common import materialize, ship
 from corpusmap.llm.components import connected_components
 
-BLOCK, LEAF, AXES, SLACK = 512, 64, 6, 1e-9
+BLOCK_BYTES, LEAF, AXES, SLACK = 1 << 20, 64, 12, 1e-9
+BANDED = (256, 65_536)  # blocks from which on boxes are banded by two axes, by three
 
 
 def unit(v: np.ndarray) -> np.ndarray:
@@ -90,43 +91,70 @@ def join_intervals(va, pa_, vb, pb, cosine: float, same: bool) -> Iterator[tuple
             todo += [(x, y, z, w) for x, y in ((a0, am), (am, a1)) for z, w in ((b0, bm), (bm, b1))]
 
 
-def _blocks(ordered: DataFrame, axes: np.ndarray, block: int) -> DataFrame:
-    """Consecutive vectors of one label as a row: identifiers, weights, vectors, box of the projections."""
+def _blocks(ordered: DataFrame, axes: np.ndarray, block: int, kind: str) -> DataFrame:
+    """Consecutive vectors of one key as a row: nodes, weights, vectors as bytes of ``kind``, box of the projections."""
+    names, dims = ["key", "nodes", "weights", "raw", "lo", "hi"], axes.shape[0]
+    whole, real = pa.list_(pa.int64()), pa.list_(pa.float64())
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list = []
+        held: list[tuple] = []
 
-        def out(rows: list) -> pa.RecordBatch:
-            p = unit(np.array([r[3] for r in rows])) @ axes
-            label, nodes, weights = rows[0][0], [r[1] for r in rows], [r[2] for r in rows]
-            raw = np.array([r[3] for r in rows], dtype=np.float64).tobytes()
-            one = lambda x, t: pa.array([x], type=t)
-            return pa.RecordBatch.from_arrays([one(label, kind), one(nodes, pa.list_(pa.int64())), one(weights, pa.list_(pa.int64())), one(raw, pa.binary()), one(p.min(0).tolist(), pa.list_(pa.float64())), one(p.max(0).tolist(), pa.list_(pa.float64()))], names=["label", "nodes", "weights", "raw", "lo", "hi"])
+        def out() -> pa.RecordBatch:
+            node, weight, v = (np.concatenate([h[i] for h in held]) for i in (1, 2, 3))
+            p = unit(v) @ axes
+            return pa.RecordBatch.from_arrays([pa.array([held[0][0]], type=pa.string()), pa.array([node], type=whole), pa.array([weight], type=whole), pa.array([v.astype(kind).tobytes()], type=pa.binary()), pa.array([p.min(0)], type=real), pa.array([p.max(0)], type=real)], names=names)
 
-        kind = None
         for b in batches:
-            kind = b.schema.field(0).type
-            for row in zip(*(b.column(i).to_pylist() for i in range(4)), strict=True):
-                if held and (held[0][0] != row[0] or len(held) == block):
-                    yield out(held)
-                    held = []
-                held.append(row)
+            key = b.column(0).to_pylist()
+            node, weight = (b.column(i).to_numpy(zero_copy_only=False) for i in (1, 2))
+            v = b.column(3).flatten().to_numpy(zero_copy_only=False).reshape(-1, dims)
+            at = 0
+            while at < len(key):
+                to = next((i for i in range(at, len(key)) if key[i] != key[at]), len(key))
+                while at < to:
+                    if held and (held[0][0] != key[at] or sum(len(h[1]) for h in held) >= block):
+                        yield out()
+                        held = []
+                    n = min(to - at, block - sum(len(h[1]) for h in held))
+                    held.append((key[at], node[at: at + n], weight[at: at + n], v[at: at + n]))
+                    at += n
         if held:
-            yield out(held)
+            yield out()
+
+    return ordered.select("key", "node", "weight", "v").mapInArrow(run, "key string, nodes array<long>, weights array<long>, raw binary, lo array<double>, hi array<double>")
 
-    head = ordered.select("label").schema.simpleString()[7:-1]
-    return ordered.select("label", "node", "weight", "v").mapInArrow(run, f"{head}, nodes array<long>, weights array<long>, raw binary, lo array<double>, hi array<double>")
 
+def block_pairs(boxes: DataFrame, width: float, n_axes: int) -> DataFrame:
+    """``(block, block2)`` of one key whose boxes lie no further apart than ``width``, from ``boxes(key, block, lo, hi)``.
 
-def _join_blocks(pairs: DataFrame, axes: np.ndarray, cosine: float) -> DataFrame:
+    Boxes meet in the cells that both cover, on one axis or more as blocks
+    become many. The left one also covers the cells beyond its ends, so boxes
+    within reach always share one.
+    """
+    n_blocks = boxes.count()
+    by = min(n_axes, 1 + sum(n_blocks >= b for b in BANDED))
+    left, right = boxes, boxes.select("key", F.col("block").alias("block2"), F.col("lo").alias("lo2"), F.col("hi").alias("hi2"))
+    cell = lambda c, i: F.floor(F.col(c)[i] / width)
+    for i in range(by):
+        left = left.withColumn(f"s{i}", F.explode(F.sequence(cell("lo", i) - 1, cell("hi", i) + 1)))
+        right = right.withColumn(f"s{i}", F.explode(F.sequence(cell("lo2", i), cell("hi2", i))))
+    gap = F.zip_with(F.zip_with("lo", "hi2", lambda x, y: x - y), F.zip_with("lo2", "hi", lambda x, y: x - y), lambda x, y: F.greatest(x, y, F.lit(0.0)))
+    far = F.aggregate(gap, F.lit(0.0), lambda s, x: s + x * x)
+    met = left.join(right, ["key", *(f"s{i}" for i in range(by))]).filter("block <= block2").filter(far <= width * width)
+    return met.select("block", "block2").distinct()
+
+
+def _join_blocks(pairs: DataFrame, axes: np.ndarray, cosine: float, kind: str) -> DataFrame:
     """Per pair of blocks: how many links each vector has there (weighted), and links that keep connectivity."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         dims = axes.shape[0]
+        read = lambda x: unit(np.frombuffer(x, dtype=kind).reshape(-1, dims))
         for b in batches:
-            for n_a, w_a, r_a, n_b, w_b, r_b, same in zip(*(b.column(i).to_pylist() for i in range(7)), strict=True):
-                va = unit(np.frombuffer(r_a).reshape(-1, dims))
-                vb = va if same else unit(np.frombuffer(r_b).reshape(-1, dims))
-                nodes = np.array(n_a + ([] if same else n_b), dtype=np.int64)
-                weight = np.array(w_a + ([] if same else w_b), dtype=np.int64)
+            for n_a, w_a, r_a, n_b, w_b, r_b, same in zip(*(b.column(i) for i in range(7)), strict=True):
+                same, n_a, w_a, n_b, w_b = same.as_py(), *(x.values.to_numpy() for x in (n_a, w_a, n_b, w_b))
+                va = read(r_a.as_buffer())
+                vb = va if same else read(r_b.as_buffer())
+                nodes, weight = (n_a, w_a) if same else (np.concatenate((n_a, n_b)), np.concatenate((w_a, w_b)))
                 shift, links, top, edges = 0 if same else len(n_a), np.zeros(len(nodes), dtype=np.int64), list(range(len(nodes))), []
 
                 def root(x: int, top=top) -> int:
@@ -135,7 +163,8 @@ def _join_blocks(pairs: DataFrame, axes: np.ndarray, cosine: float) -> DataFrame
                         x = top[x]
                     return x
 
-                for i, j in join_intervals(va, va @ axes, vb, vb @ axes, cosine, same):
+                pa_ = va @ axes
+                for i, j in join_intervals(va, pa_, vb, pa_ if same else vb @ axes, cosine, same):
                     j = j + shift
                     np.add.at(links, i, weight[j])
                     np.add.at(links, j, weight[i])
@@ -153,7 +182,7 @@ def _join_blocks(pairs: DataFrame, axes: np.ndarray, cosine: float) -> DataFrame
     return pairs.mapInArrow(run, "a long, b long, n long")
 
 
-def cosine_classes(vectors: DataFrame, cosine: float = 0.98, block: int = BLOCK, axes: int = AXES) -> DataFrame:
+def cosine_classes(vectors: DataFrame, cosine: float = 0.98, block: int | None = None, axes: int = AXES, report: dict | None = None) -> DataFrame:
     """``vectors(vec_id, embedding, label)`` -> ``(vec_id, n_links, component_id, kept)``, one row per row.
 
     Only equal labels that are not null are compared, in double precision.
@@ -162,47 +191,53 @@ def cosine_classes(vectors: DataFrame, cosine: float = 0.98, block: int = BLOCK,
     are one node of the join with a weight, so copies cost nothing more; their
     links are all counted. Repeated rows with one vec_id are separate vectors.
     An empty table gives an empty result; other columns are ignored.
+
+    ``block`` is the vectors of a block (default: ``BLOCK_BYTES`` of them).
+    ``report`` receives blocks, pairs of blocks of one label, and the pairs
+    that were joined.
     """
     spark = vectors.sparkSession
     ship(spark)
-    v = F.col("embedding").cast("array<double>")
-    fit = (F.col("label").isNotNull() & v.isNotNull() & F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists(v, lambda x: x != 0))
+    c = F.col
+    kind = "<f4" if vectors.schema["embedding"].dataType.simpleString() == "array<float>" else "<f8"  # as exact as what was given
+    v = c("embedding").cast("array<double>")
+    fit = (c("label").isNotNull() & v.isNotNull() & F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists(v, lambda x: x != 0))
     # -0.0 and 0.0 are one value in a vector
-    rows = vectors.select("vec_id", "label", F.transform(v, lambda x: x + F.lit(0.0)).alias("v"), F.coalesce(fit, F.lit(False)).alias("fit"))
-    rows = materialize(rows.withColumn("same", F.when(F.col("fit"), F.sha2(F.concat(F.coalesce(F.col("label").cast("string"), F.lit("")), F.lit(":"), F.to_json("v")), 256))), "vectors")
-    found = rows.filter("fit").groupBy("same").agg(F.min("vec_id").alias("node"), F.count(F.lit(1)).alias("weight"), F.first("label").alias("label"), F.first("v").alias("v"))
-    found = materialize(found, "vector-nodes")
-    links, edges = [], []
-    for (dims,) in found.select(F.size("v")).distinct().collect():
-        some = found.filter(F.size("v") == dims)
-        basis = principal_axes(some, axes)
-        width = math.sqrt(2 - 2 * cosine) + SLACK
-        norm = F.sqrt(F.aggregate("v", F.lit(0.0), lambda s, x: s + x * x))
-        cell = [F.floor(F.aggregate(F.zip_with("v", F.array(*[F.lit(float(x)) for x in basis[:, i]]), lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x) / norm / width) for i in range(basis.shape[1])]
-        cells = [f"c{i}" for i in range(len(cell))]
-        ordered = some.withColumns(dict(zip(cells, cell, strict=True))).repartitionByRange("label", *cells, "node").sortWithinPartitions("label", *cells, "node")
-        held = materialize(_blocks(ordered, basis, block).withColumn("block", F.monotonically_increasing_id()), "vector-blocks")
-        box = held.select("label", "block", "lo", "hi", F.explode(F.sequence(F.floor(F.col("lo")[0] / width), F.floor(F.col("hi")[0] / width) + 1)).alias("slab"))
-        far = F.aggregate(F.zip_with(F.zip_with("lo", "hi2", lambda x, y: x - y), F.zip_with("lo2", "hi", lambda x, y: x - y), lambda x, y: F.greatest(x, y, F.lit(0.0))), F.lit(0.0), lambda s, x: s + x * x)
-        other = box.select("label", F.col("block").alias("block2"), F.col("lo").alias("lo2"), F.col("hi").alias("hi2"), "slab")
-        near = box.join(other, ["label", "slab"]).filter("block <= block2").filter(far <= 2 - 2 * cosine + SLACK).select("block", "block2").distinct()
-        a = held.select("block", "nodes", "weights", "raw")
-        b = held.select(F.col("block").alias("block2"), F.col("nodes").alias("nodes2"), F.col("weights").alias("weights2"), F.col("raw").alias("raw2"))
-        pairs = near.join(a, "block").join(b, "block2").select("nodes", "weights", "raw", "nodes2", "weights2", "raw2", (F.col("block") == F.col("block2")).alias("same"))
-        pairs = pairs.repartition(F.xxhash64(F.col("nodes")[0], F.col("nodes2")[0]))
-        joined = materialize(_join_blocks(pairs, basis, cosine), "vector-links")
-        links.append(joined.filter("a = b").groupBy(F.col("a").alias("node")).agg(F.sum("n").alias("n")))
-        edges.append(joined.filter("a <> b").select("a", "b"))
-    if not links:
-        return rows.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
-    n_links, edge = links[0], edges[0]
-    for x, y in zip(links[1:], edges[1:], strict=True):
-        n_links, edge = n_links.union(x), edge.union(y)
-    tops = connected_components(edge).withColumnRenamed("id", "node")
-    facts = found.select("same", "node", "weight").join(n_links, "node", "left").join(tops, "node", "left").select("same", (F.coalesce("n", F.lit(0)) + F.col("weight") - 1).alias("n_links"), F.coalesce("component", "node").alias("component_id"))
-    out = rows.select("vec_id", "same").join(facts, "same", "left")
+    rows = vectors.select("vec_id", c("label").cast("string").alias("label"), F.transform(v, lambda x: x + F.lit(0.0)).alias("v"), F.coalesce(fit, F.lit(False)).alias("fit"))
+    key = F.when(c("fit"), F.concat_ws(":", F.size("v").cast("string"), "label"))  # vectors of one length and label
+    rows = rows.select("vec_id", F.when(c("fit"), c("v")).alias("v"), key.alias("key"), *[F.when(c("fit"), F.xxhash64(F.lit(n), key, "v")).alias(f"h{n}") for n in (1, 2)], F.monotonically_increasing_id().alias("row"))
+    rows = materialize(rows, "vectors")
+    found = rows.filter("key is not null").groupBy("h1", "h2").agg(F.min("row").alias("node"), F.count(F.lit(1)).alias("weight"), F.first("key").alias("key"), F.first("v").alias("v"))
+    dims = rows.agg(F.max(F.size("v"))).first()[0]
+    if dims is None or dims < 1:
+        return rows.select("vec_id", F.lit(0).cast("long").alias("n_links"), c("vec_id").alias("component_id"), F.lit(True).alias("kept"))
+    # zeros behind a shorter vector change no angle, and lengths are never mixed
+    found = materialize(found.withColumn("v", F.concat("v", F.array_repeat(F.lit(0.0), F.lit(dims) - F.size("v")))), "vector-nodes")
+    block = block or max(256, BLOCK_BYTES // (int(kind[2]) * dims))
+    basis = principal_axes(found, axes)
+    width = math.sqrt(2 - 2 * cosine + SLACK)
+    norm = F.sqrt(F.aggregate("v", F.lit(0.0), lambda s, x: s + x * x))
+    cells = [f"c{i}" for i in range(min(6, basis.shape[1]))]
+    cell = [F.floor(F.aggregate(F.zip_with("v", F.array(*[F.lit(float(x)) for x in basis[:, i]]), lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x) / norm / width) for i in range(len(cells))]
+    ordered = found.withColumns(dict(zip(cells, cell, strict=True))).repartitionByRange("key", *cells, "node").sortWithinPartitions("key", *cells, "node")
+    held = materialize(_blocks(ordered, basis, block, kind).withColumn("block", F.monotonically_increasing_id()), "vector-blocks")
+    near = materialize(block_pairs(held.select("key", "block", "lo", "hi"), width, basis.shape[1]), "vector-pairs")
+    if report is not None:
+        per = held.groupBy("key").count().agg(F.sum("count"), F.sum(c("count") * (c("count") + 1) / 2)).first()
+        report.update(blocks=per[0], possible=int(per[1]), joined=near.count())
+    a = held.select("block", "nodes", "weights", "raw")
+    b = held.select(c("block").alias("block2"), c("nodes").alias("nodes2"), c("weights").alias("weights2"), c("raw").alias("raw2"))
+    pairs = near.join(a, "block").join(b, "block2").select("nodes", "weights", "raw", "nodes2", "weights2", "raw2", (c("block") == c("block2")).alias("same"), "block", "block2")
+    pairs = pairs.repartition(F.xxhash64("block", "block2")).drop("block", "block2")
+    joined = materialize(_join_blocks(pairs, basis, cosine, kind), "vector-links")
+    n_links = joined.filter("a = b").groupBy(c("a").alias("node")).agg(F.sum("n").alias("n"))
+    tops = connected_components(joined.filter("a <> b").select("a", "b")).withColumnRenamed("id", "node")
+    facts = found.select("h1", "h2", "node", "weight").join(n_links, "node", "left").join(tops, "node", "left").select("h1", "h2", (F.coalesce("n", F.lit(0)) + c("weight") - 1).alias("n_links"), F.coalesce("component", "node").alias("class"))
+    placed = materialize(rows.select("vec_id", "h1", "h2").join(materialize(facts, "vector-facts"), ["h1", "h2"], "left"), "vector-placed")
+    least = placed.filter("class is not null").groupBy("class").agg(F.min("vec_id").alias("component_id"))
+    out = placed.join(materialize(least, "vector-least"), "class", "left")
     top = F.coalesce("component_id", "vec_id")
-    return out.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), top.alias("component_id"), (F.col("vec_id") == top).alias("kept"))
+    return out.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), top.alias("component_id"), (c("vec_id") == top).alias("kept"))
 
 
 def op10_epsilon_grid_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:

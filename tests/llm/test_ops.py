@@ -178,6 +178,21 @@ def test_mixing(odd):
         assert len(r["mix_shards"]) <= 2
     assert all(s[0] == s[3] and s[2] <= 2 * s[0] + 1e-9 and abs(s[1] - s[2]) <= s[4] for s in by.values())
     assert sum(s[2] for s in by.values()) == pytest.approx(1.5 * sum(s[0] for s in by.values()))
+    spread = {}
+    for r in got:
+        for k, o in zip(r["mix_shards"], r["mix_orders"], strict=True):
+            spread.setdefault(k, []).append((o, r["doc_id"]))
+    parts = mixing.mixed_rows(df).rdd.glom().collect()  # where every row lies
+    lie = {}
+    for part in parts:
+        for r in part:
+            lie.setdefault(r["mix_shard"], []).append((r["mix_order"], r["doc_id"]))
+        for k in {r["mix_shard"] for r in part}:
+            orders = [r["mix_order"] for r in part if r["mix_shard"] == k]
+            assert orders == sorted(orders)
+    assert {k: sorted(v, key=key) for k, v in lie.items()} == {k: sorted(v, key=key) for k, v in spread.items()}
+    quotas = [len(v) for v in spread.values()]
+    assert mixing.mixed_rows(df).columns == [*df.columns, "mix_shard", "mix_order"] and len(quotas) == 16
     again = mixing.draw(df.repartition(5)).collect()
     pick = lambda x: sorted((key((r["doc_id"],)), tuple(r["mix_shards"])) for r in x)
     assert pick(got) == pick(again)
@@ -242,17 +257,24 @@ def test_best_fit():
 
 def test_sharding(odd, spark):
     df, rows = odd
-    got = sharding.byte_shards(df, 4, 8).collect()
+    got = sharding.byte_shards(df, 4).collect()
     assert len(got) == len(rows)
     for s in {r["shard"] for r in got}:
         assert sorted(r["slot"] for r in got if r["shard"] == s) == list(range(sum(r["shard"] == s for r in got)))
     rng = random.Random(5)
     many = spark.createDataFrame([(i, "hot" if i % 3 == 0 else "x" * rng.randint(1, 60) + str(i)) for i in range(4000)], "doc_id long, text string")
-    bytes_ = many.transform(lambda d: sharding.byte_shards(d, 8, 4)).groupBy("shard").agg(F.sum("size").alias("b")).toPandas()["b"]
-    assert len(bytes_) == 8 and bytes_.max() / bytes_.mean() < 1.03 and bytes_.min() / bytes_.mean() > 0.97
-
-
-def test_embeddings(spark):
+    copies = spark.createDataFrame([(5000 + i, f"copy {i % 12} " + "y" * 300) for i in range(600)], "doc_id long, text string")
+    out = sharding.byte_shards(many.union(copies), 8, rows_per_part=100).toPandas()
+    bytes_ = out.groupby("shard")["shard_size"].sum()
+    assert len(bytes_) == 8 and bytes_.max() / bytes_.mean() < 1.01 and bytes_.min() / bytes_.mean() > 0.99
+    assert list(out.columns) == ["doc_id", "text", "shard_size", "shard_crc32", "shard", "slot"]
+    assert (out[out.text != "hot"].groupby("text")["shard"].nunique() == 1).all()  # groups that a shard can hold
+    assert ((out.shard_crc32 == out.text.map(lambda t: zlib.crc32(t.encode()))) & (out.shard_size == out.text.map(len) + 1)).all()
+    for _, s in out.groupby("shard"):
+        assert sorted(s["slot"]) == list(range(len(s)))
+
+
+def test_embeddings(spark, monkeypatch):
     rng = np.random.default_rng(3)
     base = rng.normal(size=(40, 8))
     rows = [(i, (base[i % 40] + rng.normal(size=8) * rng.choice([0, 0.05, 0.12])).astype(float).tolist(), int(i % 3) if i % 17 else None) for i in range(300)]
@@ -264,8 +286,14 @@ def test_embeddings(spark):
     for _ in range(20):
         for i, js in links.items():
             top[i] = min([top[i], *(top[j] for j in js)])
-    got = {r["vec_id"]: (r["n_links"], r["component_id"], r["kept"]) for r in embedding_neardup.cosine_classes(df, block=32, axes=3).collect()}
-    assert got == {i: (len(links.get(i, [])), top[i], top[i] == i) for i, _, _ in rows}
+    want = {i: (len(links.get(i, [])), top[i], top[i] == i) for i, _, _ in rows}
+    for banded in ((256, 65_536), (2, 4)):  # boxes met on one axis, and on three
+        monkeypatch.setattr(embedding_neardup, "BANDED", banded)
+        report = {}
+        got = {r["vec_id"]: (r["n_links"], r["component_id"], r["kept"]) for r in embedding_neardup.cosine_classes(df, block=8, axes=3, report=report).collect()}
+        assert got == want and report["joined"] < report["possible"]
+    twice = spark.createDataFrame([(1, [1.0, 0.0], 1), (1, [0.0, 1.0], 1), (2, [0.0, 2.0], 1), (0, [1.0, 0.01], 1)], "vec_id long, embedding array<float>, label int")
+    assert table(embedding_neardup.cosine_classes(twice), "vec_id", "n_links", "component_id", "kept") == [(0, 1, 0, True), (1, 1, 0, False), (1, 1, 1, True), (2, 1, 1, False)]
 
 
 def test_hmm(odd, spark):

@@ -5,14 +5,16 @@ all training tokens is a class of its own (so there are at most ``heavy`` of
 them, whatever the corpus); the others share classes by their last bytes, and
 a class gives its tokens by their add-one frequencies with one place for the
 unseen. Counts of all tokens come from the whole training corpus. So do the
-expected counts of every Baum-Welch iteration, which go on until the likelihood
-settles; a bounded sample only gives the initial guess. Long documents are cut
-into stretches that are worked abreast: products of their transfer matrices
-carry the state over the cuts exactly.
+expected counts of the Baum-Welch iterations, which go on until the likelihood
+settles; some rounds on a share of the documents, whole ones, come before them
+as a first guess. Texts are turned into classes once, for all iterations. Long
+documents are cut into stretches that are worked abreast: products of their
+transfer matrices carry the state over the cuts exactly.
 """
 
 from __future__ import annotations
 
+import hashlib
 import sys
 import uuid
 import zlib
@@ -25,10 +27,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from corpusmap.llm.common import documents, held_out, materialize, ship, text_or_empty, thinned
+from corpusmap.llm.common import documents, held_out, materialize, release, row_key, ship, text_or_empty
 
 END = b" "  # no token holds a blank
-TAIL_CLASSES, TAIL_BYTES, HEAVY_BYTES = 4096, 3, 64
+TAIL_CLASSES, TAIL_BYTES = 4096, 3
+LONG = 64  # bytes; a longer heavy token is held by its digest, so that memory is bounded
 
 
 def tokens_of(text: bytes) -> list[bytes]:
@@ -41,12 +44,11 @@ class Params:
     states: int = 8
     heavy: int = 1 << 19
     heavy_least: int = 8  # occurrences
-    sample_docs: int = 3000
-    sample_bytes: int = 32_768  # of each sampled text, for the initial guess only
-    sample_rounds: int = 8
+    sample_docs: int = 3000  # about so many documents, whole, for the first guess
+    sample_rounds: int = 16
     passes: int = 100  # at most; raises if the likelihood has not settled by then
     settled: float = 1e-3  # gain in natural log-likelihood a token between iterations
-    segment: int = 512  # training works longer documents in stretches
+    segment: int = 2048  # training works longer documents in stretches
     smoothing: float = 0.5
     seed: int = 5
 
@@ -80,6 +82,11 @@ def tail_class(token: bytes) -> int:
     return zlib.crc32(token[-TAIL_BYTES:]) % TAIL_CLASSES
 
 
+def held_as(token: bytes) -> bytes:
+    """The name of a heavy token in a model: itself, or after a blank, which no token holds, the MD5 of a long one."""
+    return token if len(token) <= LONG else END + hashlib.md5(token).digest()
+
+
 def _index(model: Model) -> dict[bytes, int]:
     """The classes of heavy tokens; one dictionary per worker process and model."""
     held = sys.__dict__.setdefault("_corpusmap_hmm", {})
@@ -96,6 +103,8 @@ def encode(text: bytes, index: dict[bytes, int], first_tail: int) -> tuple[list[
     tail = []
     if -1 in ids:
         for i, c in enumerate(ids):
+            if c < 0 and len(words[i]) > LONG:
+                c = ids[i] = index.get(held_as(words[i]), -1)
             if c < 0:
                 ids[i] = first_tail + tail_class(words[i])
                 tail.append(words[i])
@@ -103,25 +112,47 @@ def encode(text: bytes, index: dict[bytes, int], first_tail: int) -> tuple[list[
     return ids, tail
 
 
+class _Abreast:
+    """Sequences side by side, the longest first; tokens of one step lie together."""
+
+    def __init__(self, seqs: list[np.ndarray]):
+        self.lens = np.array([len(s) for s in seqs], dtype=np.int64)
+        flat = np.concatenate(seqs)
+        at = np.concatenate(([0], np.cumsum(self.lens)[:-1]))
+        self.alive = np.searchsorted(-self.lens, -np.arange(self.lens[0]), side="left")  # sequences longer than t
+        self.off = np.concatenate(([0], np.cumsum(self.alive)))
+        slot = self.off[np.arange(len(flat)) - np.repeat(at, self.lens)] + np.repeat(np.arange(len(seqs)), self.lens)
+        self.ids = np.empty_like(flat)
+        self.ids[slot] = flat
+
+    def forward(self, enter: np.ndarray, move: np.ndarray, emit: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Scaled forward messages, scales, and what each token emits; ``enter`` is what comes before the first tokens."""
+        out = emit[self.ids]
+        a, s, ones = np.empty_like(out), np.empty(len(out)), np.ones(emit.shape[1])
+        for t in range(len(self.alive)):
+            n, lo = self.alive[t], self.off[t]
+            now = a[lo: lo + n]
+            if t:
+                before = self.off[t - 1]
+                np.matmul(a[before: before + n], move, out=now)
+                now *= out[lo: lo + n]
+            else:
+                np.multiply(enter, out[:n], out=now)
+            scale = s[lo: lo + n] = now @ ones
+            now /= scale[:, None]
+        return a, s, out
+
+
 def forward(seqs: list[np.ndarray], start: np.ndarray, move: np.ndarray, emit: np.ndarray) -> np.ndarray:
     """Natural log-likelihood of each sequence, exactly, by the scaled forward recursion, all sequences abreast."""
     out = np.zeros(len(seqs))
     order = np.argsort([-len(s) for s in seqs], kind="stable")
-    lens = np.array([len(seqs[i]) for i in order], dtype=np.int64)
-    if not len(lens) or lens[0] == 0:
+    if not len(order) or not len(seqs[order[0]]):
         return out
-    flat = np.concatenate([seqs[i] for i in order])
-    at = np.concatenate(([0], np.cumsum(lens)[:-1]))
-    alive = np.searchsorted(-lens, -np.arange(lens[0]), side="left")  # sequences longer than t
-    total, a = np.zeros(len(lens)), None
-    for t in range(int(lens[0])):
-        n = alive[t]
-        e = emit[flat[at[:n] + t]]
-        a = start * e if t == 0 else (a[:n] @ move) * e
-        s = a.sum(axis=1)
-        a /= s[:, None]
-        total[:n] += np.log(s)
-    out[order] = total
+    side = _Abreast([seqs[i] for i in order])
+    _, s, _ = side.forward(start, move, emit)
+    owner = np.arange(len(s)) - np.repeat(side.off[:-1], side.alive)
+    out[order] = np.bincount(owner, weights=np.log(s), minlength=len(order))
     return out
 
 
@@ -144,45 +175,32 @@ def _counts(seqs: list[np.ndarray], first: list[bool], start, move, emit, group:
         sizes = np.cumsum([len(seqs[i]) for i in order])
         n_some = max(1, int(np.searchsorted(sizes, group, side="right")))
         some, order = order[:n_some], order[n_some:]
-        lens = np.array([len(seqs[i]) for i in some], dtype=np.int64)
-        if lens[0] == 0:
+        if not len(seqs[some[0]]):
             break
-        flat = np.concatenate([seqs[i] for i in some])
-        at = np.concatenate(([0], np.cumsum(lens)[:-1]))
-        alive = np.searchsorted(-lens, -np.arange(lens[0]), side="left")
+        side = _Abreast([seqs[i] for i in some])
         opens = np.array([first[i] for i in some], dtype=bool)
         ends = np.ones((len(some), h)) if after is None else after[some]
-        enter = start if before is None else np.where(opens[:, None], start, before[some] @ move)[: alive[0]]
-        alphas, scales, a = [], [], None
-        for t in range(int(lens[0])):
-            n = alive[t]
-            e = emit[flat[at[:n] + t]]
-            a = enter * e if t == 0 else (a[:n] @ move) * e
-            s = a.sum(axis=1, keepdims=True)
-            a = a / s
-            alphas.append(a)
-            scales.append(s)
-            gain += float(np.log(s).sum())
-        ids, gammas, beta = [], [], np.ones((0, h))
-        for t in range(int(lens[0]) - 1, -1, -1):
-            n = alive[t]
+        enter = start if before is None else np.where(opens[:, None], start, before[some] @ move)[: side.alive[0]]
+        a, s, back = side.forward(enter, move, emit)
+        gain += float(np.log(s).sum())
+        back /= s[:, None]
+        beta = np.ones((0, h))
+        for t in range(len(side.alive) - 1, -1, -1):
+            n, lo = side.alive[t], side.off[t]
             if len(beta) < n:  # sequences that end here
                 beta = np.concatenate((beta, ends[len(beta): n]))
-            gamma = alphas[t] * beta
-            now = flat[at[:n] + t]
-            ids.append(now)
-            gammas.append(gamma)
-            if t or before is not None:
-                back = emit[now] * beta / scales[t]
-                if t:
-                    g_move += alphas[t - 1][:n].T @ back
-                    beta = back @ move.T
-                else:
-                    g_move += before[some][:n][~opens[:n]].T @ back[~opens[:n]]
-        g_start += gammas[-1][opens[: alive[0]]].sum(axis=0)
-        ids_, gamma_ = np.concatenate(ids), np.concatenate(gammas)
+            come = back[lo: lo + n]
+            come *= beta
+            a[lo: lo + n] *= beta  # what was the message is now the share of each state
+            if t:
+                earlier = side.off[t - 1]
+                g_move += a[earlier: earlier + n].T @ come
+                beta = come @ move.T
+            elif before is not None:
+                g_move += before[some][:n][~opens[:n]].T @ come[~opens[:n]]
+        g_start += a[: side.alive[0]][opens[: side.alive[0]]].sum(axis=0)
         for k in range(h):
-            g_emit[:, k] += np.bincount(ids_, weights=gamma_[:, k], minlength=len(emit))
+            g_emit[:, k] += np.bincount(side.ids, weights=a[:, k], minlength=len(emit))
     return g_start, g_move * move, g_emit, gain
 
 
@@ -205,7 +223,7 @@ def _transfers(seqs: list[np.ndarray], move: np.ndarray, emit: np.ndarray) -> np
     return out
 
 
-def document_counts(docs: list[np.ndarray], start, move, emit, segment: int = 512):
+def document_counts(docs: list[np.ndarray], start, move, emit, segment: int = 2048):
     """Exact expectations and log-likelihood of whole documents; cuts after ``segment`` tokens change the work, not the result."""
     h = len(start)
     seqs, first, spans = [], [], []
@@ -268,8 +286,9 @@ def token_counts(texts: DataFrame, flush: int = 200_000) -> DataFrame:
 def gather(counts: DataFrame, p: Params) -> Model:
     """Totals, heavy tokens and tail classes from the counts; bounded by ``heavy`` and TAIL_CLASSES."""
     tokens, types = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.lit(1))).first()
-    big = (F.col("token") == F.lit(END)) | ((F.col("n") * p.heavy >= tokens) & (F.col("n") >= p.heavy_least) & (F.length("token") <= HEAVY_BYTES))
-    heavy = counts.filter(big).orderBy(F.desc("n"), "token").toArrow()
+    big = (F.col("token") == F.lit(END)) | ((F.col("n") * p.heavy >= tokens) & (F.col("n") >= p.heavy_least))
+    name = F.when(F.length("token") > LONG, F.concat(F.lit(END), F.unhex(F.md5("token")))).otherwise(F.col("token"))
+    heavy = counts.filter(big).select(name.alias("token"), "n").orderBy(F.desc("n"), "token").toArrow()
     names, n = heavy.column("token").to_pylist(), heavy.column("n").to_numpy()
     if END not in names:
         names, n = [*names, END], np.append(n, 0)
@@ -280,42 +299,52 @@ def gather(counts: DataFrame, p: Params) -> Model:
     return Model(names, np.asarray(n, dtype=np.int64), tail_tokens, tail_types, int(tokens), int(types))
 
 
-def start_states(model: Model, texts: list[bytes], p: Params) -> None:
-    """Baum-Welch on the sample, from class frequencies disturbed at random."""
+def random_states(model: Model, p: Params) -> None:
+    """Class frequencies, disturbed at random for each state; states tend to last."""
     rng = np.random.default_rng(p.seed)
     plain = model.added()
     model.emit = plain[:, None] * np.exp(rng.normal(0, 0.7, (model.classes, p.states)))
     model.emit /= model.emit.sum(axis=0)
     model.start = np.full(p.states, 1 / p.states)
     model.move = np.full((p.states, p.states), 0.4 / p.states) + 0.6 * np.eye(p.states)
-    index = {t: i for i, t in enumerate(model.heavy)}
-    seqs = [np.array(encode(t, index, len(model.heavy))[0], dtype=np.int32) for t in texts]
-    for _ in range(p.sample_rounds if seqs else 0):
-        maximise(model, *document_counts(seqs, model.start, model.move, model.emit, p.segment)[:3], p.smoothing)
 
 
-def train_pass(texts: DataFrame, model: Model, p: Params) -> float | None:
-    """One Baum-Welch iteration over every training text; expected counts are added up by class across partitions.
+def encoded(texts: DataFrame, model: Model) -> DataFrame:
+    """``texts(text binary, drawn boolean)`` -> ``(ids binary, drawn)``: the classes of every text, the end last, four bytes each."""
+    ship(texts.sparkSession)
+    held = texts.sparkSession.sparkContext.broadcast((model.heavy, model.uid))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        heavy, _ = held.value
+        index = {t: i for i, t in enumerate(heavy)}
+        for b in batches:
+            ids = [np.array(encode(t.as_py(), index, len(heavy))[0], dtype="<i4").tobytes() for t in b.column(0)]
+            yield pa.RecordBatch.from_arrays([pa.array(ids, type=pa.binary()), b.column(1)], names=["ids", "drawn"])
+
+    return texts.mapInArrow(run, "ids binary, drawn boolean")
+
+
+def train_pass(ids: DataFrame, model: Model, p: Params) -> float | None:
+    """One Baum-Welch iteration over every text of ``ids``; expected counts are added up by class across partitions.
 
     Returns the natural log-likelihood of the texts before it, none where there is no text.
     """
-    spark, h = texts.sparkSession, p.states
-    held = spark.sparkContext.broadcast(model)
+    spark, h = ids.sparkSession, p.states
+    held = spark.sparkContext.broadcast((model.start, model.move, model.emit))
     names = ["c", *(f"s{k}" for k in range(h))]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m = held.value
-        index = _index(m)
+        start, move, emit = held.value
         sums = None
         seqs, size = [], 0
 
         def add():
-            got = document_counts(seqs, m.start, m.move, m.emit, p.segment)
+            got = document_counts(seqs, start, move, emit, p.segment)
             return got if sums is None else tuple(a + b for a, b in zip(sums, got, strict=True))
 
         for b in batches:
             for t in b.column(0):
-                seqs.append(np.array(encode(t.as_py(), index, len(m.heavy))[0], dtype=np.int32))
+                seqs.append(np.frombuffer(t.as_buffer(), dtype="<i4"))
                 size += len(seqs[-1])
                 if size >= 1 << 19:
                     sums = add()
@@ -329,7 +358,7 @@ def train_pass(texts: DataFrame, model: Model, p: Params) -> float | None:
             yield pa.RecordBatch.from_arrays([pa.array(keys), *(pa.array(rows[:, k]) for k in range(h))], names=names)
 
     schema = "c int, " + ", ".join(f"{n} double" for n in names[1:])
-    got = texts.mapInArrow(run, schema).groupBy("c").agg(*[F.sum(n).alias(n) for n in names[1:]]).toArrow()
+    got = ids.select("ids").mapInArrow(run, schema).groupBy("c").agg(*[F.sum(n).alias(n) for n in names[1:]]).toArrow()
     held.unpersist()
     if not got.num_rows:
         return None
@@ -346,23 +375,32 @@ def train_pass(texts: DataFrame, model: Model, p: Params) -> float | None:
 
 
 def train(docs: DataFrame, p: Params | None = None) -> tuple[Model, DataFrame]:
-    """Model and token counts from every row of ``docs`` (column text; null: empty)."""
+    """Model and token counts from every row of ``docs`` (columns doc_id and text).
+
+    Null and empty texts are one end each; rows without identifier and
+    repeated rows count like any other; texts of any length are read whole. An
+    empty table gives a model that knows the end alone.
+    """
     p = p or Params()
     texts = docs.select(text_or_empty("text").cast("binary").alias("text"))
     counts = materialize(token_counts(texts), "token-counts")
     model = gather(counts, p)
+    random_states(model, p)
     n_docs = int(model.heavy_counts[model.heavy.index(END)])
-    drawn = F.xxhash64(F.lit(p.seed), "doc_id", "text")  # copies are drawn apart
-    sample = thinned(docs.select("doc_id", text_or_empty("text").cast("binary").alias("text")), drawn, p.sample_docs, n_docs).orderBy(F.xxhash64("doc_id", "text")).limit(p.sample_docs)
-    start_states(model, sample.select(F.substring("text", 1, p.sample_bytes).alias("text")).toArrow().column("text").to_pylist(), p)
+    drawn = F.pmod(F.xxhash64(F.lit(p.seed), "doc_id", "text"), F.lit(1 << 30)) < int(min(1.0, p.sample_docs / max(n_docs, 1)) * (1 << 30))  # copies are drawn apart
+    ids = materialize(encoded(docs.select(text_or_empty("text").cast("binary").alias("text"), drawn.alias("drawn")), model), "class-ids")
+    some = materialize(ids.filter("drawn"), "class-ids-drawn")
+    for _ in range(p.sample_rounds):
+        train_pass(some, model, p)
     last = -np.inf
     for _ in range(p.passes):
-        now = train_pass(texts, model, p)
+        now = train_pass(ids, model, p)
         if now is None or now - last < p.settled * model.tokens:
             break
         last = now
     else:
         raise RuntimeError("the likelihood did not settle")
+    release(ids, some)
     return model, counts
 
 
@@ -370,13 +408,14 @@ def score(docs: DataFrame, model: Model, counts: DataFrame) -> DataFrame:
     """``docs(doc_id, text)`` -> ``(doc_id, n_tokens, n_known, base_score, score)``, one row per row.
 
     Scores are log10. Null and empty texts are one END. Texts of any length
-    are scored whole. Counts of tokens that are not heavy come by a join.
+    are scored whole. Counts of tokens that are not heavy come by a join; a
+    row is known by 128 bits, so null and repeated identifiers do no harm.
     """
     spark = docs.sparkSession
     held = spark.sparkContext.broadcast(model)
     text = text_or_empty("text")
-    keyed = docs.select("doc_id", F.xxhash64(text).bitwiseAND(0x7FFFFFFF).cast("int").alias("tag"), text.cast("binary").alias("text"))
-    names = ["doc_id", "tag", "token", "n_tokens", "n_known", "base", "score"]
+    keyed = docs.select("doc_id", *row_key(F.col("doc_id"), text), text.cast("binary").alias("text"))
+    names = ["doc_id", "k1", "k2", "token", "n_tokens", "n_known", "base", "score"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = held.value
@@ -392,16 +431,16 @@ def score(docs: DataFrame, model: Model, counts: DataFrame) -> DataFrame:
             base = np.add.reduceat(logs[flat], at) - lens * floor
             known = np.add.reduceat(seen[flat].astype(np.int64), at)
             full = forward(seqs, m.start, m.move, m.emit) / np.log(10) + np.add.reduceat(inside[flat], at)
-            mark = pa.array([END + str(i).encode() for i in part.column(0).to_pylist()], type=pa.binary())
-            yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), mark, pa.array(lens), pa.array(known), pa.array(base), pa.array(full)], names=names)
+            mark = pa.array([END + k.to_bytes(8, "little", signed=True) for k in part.column(1).to_pylist()], type=pa.binary())  # no token, and spread over the join's keys
+            yield pa.RecordBatch.from_arrays([*part.columns[:3], mark, pa.array(lens), pa.array(known), pa.array(base), pa.array(full)], names=names)
             rows = np.repeat(np.arange(len(tails)), [len(t) for t in tails])
             if len(rows):
                 r, n = pa.array(rows), len(rows)
-                yield pa.RecordBatch.from_arrays([part.column(0).take(r), part.column(1).take(r), pa.array([w for t in tails for w in t], type=pa.binary()), pa.nulls(n, pa.int64()), pa.nulls(n, pa.int64()), pa.nulls(n, pa.float64()), pa.nulls(n, pa.float64())], names=names)
+                yield pa.RecordBatch.from_arrays([pa.nulls(n, part.column(0).type), part.column(1).take(r), part.column(2).take(r), pa.array([w for t in tails for w in t], type=pa.binary()), pa.nulls(n, pa.int64()), pa.nulls(n, pa.int64()), pa.nulls(n, pa.float64()), pa.nulls(n, pa.float64())], names=names)
 
         for b in batches:
             seqs, tails, size, since = [], [], 0, 0
-            for i, t in enumerate(b.column(2)):
+            for i, t in enumerate(b.column(3)):
                 ids, tail = encode(t.as_py(), index, first_tail)
                 seqs.append(np.array(ids, dtype=np.int32))
                 tails.append(tail)
@@ -410,13 +449,13 @@ def score(docs: DataFrame, model: Model, counts: DataFrame) -> DataFrame:
                     yield from out(b.slice(since, i + 1 - since), seqs, tails)
                     seqs, tails, size, since = [], [], 0, i + 1
 
-    head = keyed.select("doc_id", "tag").schema.simpleString()[7:-1]
+    head = keyed.select("doc_id", "k1", "k2").schema.simpleString()[7:-1]
     found = keyed.mapInArrow(run, f"{head}, token binary, n_tokens long, n_known long, base double, score double")
     joined = found.join(counts, "token", "left")
     is_doc = F.col("n_tokens").isNotNull()
     log = F.when(~is_doc, F.log10(F.coalesce("n", F.lit(0)) + 1.0))
-    sums = joined.groupBy("doc_id", "tag").agg(
-        F.count("n_tokens").alias("copies"), F.max("n_tokens").alias("n_tokens"), F.max("n_known").alias("heavy_known"),
+    sums = joined.groupBy("k1", "k2").agg(
+        F.max("doc_id").alias("doc_id"), F.count("n_tokens").alias("copies"), F.max("n_tokens").alias("n_tokens"), F.max("n_known").alias("heavy_known"),
         F.max("base").alias("base"), F.max("score").alias("score"), F.sum(F.coalesce(log, F.lit(0.0))).alias("log"),
         F.sum(F.when(~is_doc & F.col("n").isNotNull(), 1).otherwise(0)).alias("tail_known"))
     each = F.col("log") / F.col("copies")

@@ -5,8 +5,8 @@ so equal windows always share their node. Edges are the words from a node to
 the next one. A node whose every occurrence has the same two edges does not
 branch; a run of such nodes compacts into one path, and all windows inside a
 path repeat if the path does. Only windows whose node repeats but branches are
-looked at one by one. Each claimed span is verified at its source coordinates
-by a digest of its words.
+looked at one by one. Each claimed span, path or window, is verified at its
+source coordinates by a digest of its words.
 """
 
 from __future__ import annotations
@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from corpusmap.llm.common import documents, materialize, ship, text_or_empty
+from corpusmap.llm.common import documents, fresh_names, materialize, release, row_key, ship, text_or_empty
 
 WINDOW, NODE_WORDS, CHUNK_WORDS = 35, 10, 1 << 17
 U = np.uint64
@@ -117,23 +117,22 @@ def _signed(x: np.ndarray) -> pa.Array:
 
 
 def _keyed(docs: DataFrame) -> DataFrame:
-    """Rows are known by doc_id and a number from their text, so one doc_id with several texts does no harm."""
+    """Rows are known by 128 bits of doc_id and text; rows that share them are equal and share their fate."""
     text = text_or_empty("text")
-    return docs.select("doc_id", F.xxhash64(text).bitwiseAND(0x7FFFFFFF).cast("int").alias("tag"), text.cast("binary").alias("text"))
+    keys = row_key(F.col("doc_id"), text)
+    return docs.select("doc_id", keys[0].alias("r1"), keys[1].alias("r2"), text.cast("binary").alias("text"))
 
 
 def node_occurrences(keyed: DataFrame, window: int, k: int, seed: int) -> DataFrame:
-    """``(doc_id, tag, pos, h, ctx)``: the nodes of every document and a hash of the two edges at each."""
+    """``(r1, r2, pos, h, ctx)``: the nodes of every document and a hash of the two edges at each."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            ids, tags = b.column(0), b.column(1)
             for c in _chunks(b.column(2).to_pylist(), window, k, seed):
                 row = pa.array(np.array(c.rows, dtype=np.int64)[c.doc])
                 pos = pa.array((c.pos - c.offset[c.doc]).astype(np.int32))
-                yield pa.RecordBatch.from_arrays([ids.take(row), tags.take(row), pos, _signed(c.h), _signed(c.ctx)], names=["doc_id", "tag", "pos", "h", "ctx"])
+                yield pa.RecordBatch.from_arrays([b.column(0).take(row), b.column(1).take(row), pos, _signed(c.h), _signed(c.ctx)], names=["r1", "r2", "pos", "h", "ctx"])
 
-    schema = keyed.select("doc_id", "tag").withColumns({"pos": F.lit(0), "h": F.lit(0).cast("long"), "ctx": F.lit(0).cast("long")}).schema
-    return keyed.mapInArrow(run, schema)
+    return keyed.select("r1", "r2", "text").mapInArrow(run, "r1 long, r2 long, pos int, h long, ctx long")
 
 
 def _digest(words: list[bytes]) -> bytes:
@@ -141,18 +140,17 @@ def _digest(words: list[bytes]) -> bytes:
 
 
 def _paths(joined: DataFrame, window: int, k: int, seed: int) -> DataFrame:
-    """Second pass, over ``(doc_id, tag, text, nodes array<struct<pos,solid>>)``.
+    """Second pass, over ``(doc_id, r1, r2, text, nodes array<struct<pos,solid>>)``.
 
-    Gives three kinds of row. 0: a document that is settled (n_words,
-    n_removed, sha). 1: one that waits for windows (text, spans). 2: such a
+    Gives four kinds of row. 0: a document that is settled (n_words,
+    n_removed, sha, spans). 1: one that waits for windows (text, spans). 2: such a
     window (start, k1, k2). 3: a path (k1 names it, sha of its words).
     """
-    names = ["doc_id", "tag", "kind", "n_words", "n_removed", "start", "k1", "k2", "sha", "text", "spans"]
+    names = ["doc_id", "r1", "r2", "kind", "n_words", "n_removed", "start", "k1", "k2", "sha", "text", "spans"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            ids, tags, texts = b.column(0), b.column(1), b.column(2).to_pylist()
-            lists = b.column(3)
+            heads, texts, lists = b.columns[:3], b.column(3).to_pylist(), b.column(4)
             for c in _chunks(texts, window, k, seed):
                 repeated, solid = np.zeros(len(c.pos), dtype=bool), np.zeros(len(c.pos), dtype=bool)
                 edge = np.searchsorted(c.doc, np.arange(len(c.rows) + 1))
@@ -186,57 +184,76 @@ def _paths(joined: DataFrame, window: int, k: int, seed: int) -> DataFrame:
                     if d in waits:
                         rows.append((r, 1, None, None, None, None, None, None, texts[r], spans.get(d, [])))
                     else:
-                        n, gone, sha = _kept(c.words[d], spans.get(d, []))
-                        rows.append((r, 0, n, gone, None, None, None, sha, None, None))
+                        n, gone, sha, cut = _kept(c.words[d], spans.get(d, []))
+                        rows.append((r, 0, n, gone, None, None, None, sha, None, cut))
                 if rows:
                     cols = list(zip(*rows, strict=True))
                     types = [pa.int32(), pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.binary(), pa.binary(), pa.list_(pa.list_(pa.int32()))]
                     row = pa.array(cols[0])
-                    yield pa.RecordBatch.from_arrays([ids.take(row), tags.take(row), *(pa.array(v, type=t) for v, t in zip(cols[1:], types, strict=True))], names=names)
+                    yield pa.RecordBatch.from_arrays([*(x.take(row) for x in heads), *(pa.array(v, type=t) for v, t in zip(cols[1:], types, strict=True))], names=names)
                 if len(rest):
                     row, n = pa.array(np.array(c.rows, dtype=np.int64)[owner]), len(rest)
                     no = [pa.nulls(n, t) for t in (pa.int64(), pa.int64())]
-                    yield pa.RecordBatch.from_arrays([ids.take(row), tags.take(row), pa.array(np.full(n, 2, dtype=np.int32)), *no, pa.array((rest - c.offset[owner]).astype(np.int32)), _signed(c.one(rest, rest + window)), _signed(c.two(rest, rest + window)), pa.nulls(n, pa.binary()), pa.nulls(n, pa.binary()), pa.nulls(n, pa.list_(pa.list_(pa.int32())))], names=names)
+                    yield pa.RecordBatch.from_arrays([*(x.take(row) for x in heads), pa.array(np.full(n, 2, dtype=np.int32)), *no, pa.array((rest - c.offset[owner]).astype(np.int32)), _signed(c.one(rest, rest + window)), _signed(c.two(rest, rest + window)), pa.nulls(n, pa.binary()), pa.nulls(n, pa.binary()), pa.nulls(n, pa.list_(pa.list_(pa.int32())))], names=names)
 
-    head = joined.select("doc_id", "tag").schema.simpleString()[7:-1]
+    head = joined.select("doc_id", "r1", "r2").schema.simpleString()[7:-1]
     return joined.mapInArrow(run, f"{head}, kind int, n_words long, n_removed long, start int, k1 long, k2 long, sha binary, text binary, spans array<array<int>>")
 
 
-def _kept(words: list[bytes], spans: list) -> tuple[int, int, bytes]:
-    """Words, words removed, digest of what is left."""
-    if not spans:
-        return len(words), 0, _digest(words)
-    gone = np.zeros(len(words) + 1, dtype=np.int64)
+def _stay(n_words: int, spans: list) -> np.ndarray:
+    """True for the words that no span covers."""
+    gone = np.zeros(n_words + 1, dtype=np.int64)
     for s, e in spans:
         gone[s] += 1
         gone[e] -= 1
-    stay = np.cumsum(gone[:-1]) == 0
-    return len(words), int((~stay).sum()), _digest([w for w, k in zip(words, stay.tolist(), strict=True) if k])
+    return np.cumsum(gone[:-1]) == 0
+
+
+def _kept(words: list[bytes], spans: list) -> tuple[int, int, bytes, list[list[int]]]:
+    """Words, words removed, digest of what is left, and the spans that go, apart and ascending."""
+    if not spans:
+        return len(words), 0, _digest(words), []
+    stay = _stay(len(words), spans)
+    edge = np.flatnonzero(np.diff(np.concatenate(([True], stay, [True])).astype(np.int8)))
+    return len(words), int((~stay).sum()), _digest([w for w, k in zip(words, stay.tolist(), strict=True) if k]), edge.reshape(-1, 2).tolist()
+
+
+def _window_digests(waiting: DataFrame, window: int) -> DataFrame:
+    """``(k1, k2, sha)`` of every repeated window, read at its source."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            out = [(s["k1"], s["k2"], _digest(words[s["start"]: s["start"] + window])) for t, starts in zip(b.column(0), b.column(1).to_pylist(), strict=True) if starts for words in [t.as_py().split()] for s in starts]
+            cols = list(zip(*out, strict=True)) if out else [(), (), ()]
+            yield pa.RecordBatch.from_arrays([pa.array(cols[0], type=pa.int64()), pa.array(cols[1], type=pa.int64()), pa.array(cols[2], type=pa.binary())], names=["k1", "k2", "sha"])
+
+    return waiting.select("text", "starts").mapInArrow(run, "k1 long, k2 long, sha binary")
 
 
 def _finish(waiting: DataFrame, window: int) -> DataFrame:
-    """``(doc_id, tag, text, spans, starts)`` -> the settled row."""
+    """``(doc_id, r1, r2, text, spans, starts)`` -> the settled row."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             out = []
-            for t, spans, starts in zip(*(b.column(i).to_pylist() for i in (2, 3, 4)), strict=True):
-                out.append(_kept(t.split(), [*spans, *([s, s + window] for s in starts or ())]))
-            n, gone, sha = zip(*out, strict=True) if out else ((), (), ())
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, type=pa.int64()), pa.array(gone, type=pa.int64()), pa.array(sha, type=pa.binary())], names=["doc_id", "n_words", "n_removed", "sha"])
+            for t, spans, starts in zip(*(b.column(i).to_pylist() for i in (3, 4, 5)), strict=True):
+                out.append(_kept(t.split(), [*spans, *([s["start"], s["start"] + window] for s in starts or ())]))
+            n, gone, sha, cut = zip(*out, strict=True) if out else ((), (), (), ())
+            yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array(n, type=pa.int64()), pa.array(gone, type=pa.int64()), pa.array(sha, type=pa.binary()), pa.array(cut, type=pa.list_(pa.list_(pa.int32())))], names=["doc_id", "r1", "r2", "n_words", "n_removed", "sha", "spans"])
 
-    head = waiting.select("doc_id").schema.simpleString()[7:-1]
-    return waiting.mapInArrow(run, f"{head}, n_words long, n_removed long, sha binary")
+    head = waiting.select("doc_id", "r1", "r2").schema.simpleString()[7:-1]
+    return waiting.mapInArrow(run, f"{head}, n_words long, n_removed long, sha binary, spans array<array<int>>")
 
 
 def remove_repeats(docs: DataFrame, window: int = WINDOW, k: int = NODE_WORDS, seeds: tuple = (11, 12, 13)) -> DataFrame:
-    """``(doc_id, n_words, n_removed, sha binary)``, one row per row of ``docs``.
+    """``(doc_id, r1, r2, n_words, n_removed, sha binary, spans array<array<int>>)``, one row per row of ``docs``.
 
     A word goes if a window of ``window`` words over it starts elsewhere too,
-    in any document. Null and empty texts have no words; texts shorter than a
-    window lose none. Repeated rows repeat each other's windows. ``sha`` is
-    SHA-256 over the kept words, joined by one space. An empty table gives an
-    empty result. If a path fails its verification (two different spans with
-    one fingerprint) the next seed is used.
+    in any document. ``spans`` are the first word of each removed stretch and
+    the one after its last. Null and empty texts have no words; texts shorter
+    than a window lose none. Repeated rows repeat each other's windows. ``sha``
+    is SHA-256 over the kept words, joined by one space; ``r1, r2`` are the
+    row's key. An empty table gives an empty result. If a path or window fails
+    its verification (different words under one fingerprint) the next seed is
+    used.
     """
     spark = docs.sparkSession
     ship(spark)
@@ -246,19 +263,49 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, k: int = NODE_WORDS, s
         nodes = (seen.groupBy("h").agg(F.count(F.lit(1)).alias("n"), F.min("ctx").alias("a"), F.max("ctx").alias("b"))
                  .filter("n > 1").select("h", (F.col("a") == F.col("b")).alias("solid")))
         nodes = materialize(nodes, "nodes")  # a table of its own: joins with it can be split where a node is hot
-        lists = seen.drop("ctx").join(nodes, "h").groupBy("doc_id", "tag").agg(F.array_sort(F.collect_set(F.struct("pos", "solid"))).alias("nodes"))
-        joined = keyed.join(lists.withColumnRenamed("doc_id", "id2"), (F.col("doc_id").eqNullSafe(F.col("id2"))) & (keyed.tag == lists.tag), "left").select("doc_id", keyed.tag, "text", "nodes")
+        lists = seen.drop("ctx").join(nodes, "h").groupBy("r1", "r2").agg(F.array_sort(F.collect_set(F.struct("pos", "solid"))).alias("nodes"))
+        joined = keyed.join(lists, ["r1", "r2"], "left").select("doc_id", "r1", "r2", "text", "nodes")
         found = materialize(_paths(joined, window, k, seed), "paths")
         paths = found.filter("kind = 3").groupBy("k1").agg(F.min("sha").alias("a"), F.max("sha").alias("b"), F.count(F.lit(1)).alias("n"))
-        if not paths.filter("a <> b or n < 2").limit(1).collect():
+        if paths.filter("a <> b or n < 2").limit(1).collect():
+            release(nodes, found)
+            continue
+        windows = found.filter("kind = 2").select("r1", "r2", "start", "k1", "k2")
+        twice = materialize(windows.groupBy("k1", "k2").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").drop("n"), "windows")
+        starts = materialize(windows.join(twice, ["k1", "k2"]).groupBy("r1", "r2").agg(F.collect_set(F.struct("start", "k1", "k2")).alias("starts")), "starts")
+        waiting = found.filter("kind = 1").select("doc_id", "r1", "r2", "text", "spans").join(starts, ["r1", "r2"], "left").select("doc_id", "r1", "r2", "text", "spans", "starts")
+        shas = _window_digests(waiting.filter("starts is not null"), window).groupBy("k1", "k2").agg(F.min("sha").alias("a"), F.max("sha").alias("b"))
+        if not shas.filter("a <> b").limit(1).collect():
             break
+        release(nodes, found, twice, starts)
     else:
-        raise RuntimeError("paths could not be verified with any seed")
-    windows = found.filter("kind = 2").select("doc_id", "tag", "start", "k1", "k2")
-    twice = materialize(windows.groupBy("k1", "k2").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").drop("n"), "windows")
-    starts = windows.join(twice, ["k1", "k2"]).groupBy("doc_id", "tag").agg(F.collect_set("start").alias("starts")).withColumnRenamed("doc_id", "id2").withColumnRenamed("tag", "tag2")
-    waiting = found.filter("kind = 1").select("doc_id", "tag", "text", "spans").join(starts, F.col("doc_id").eqNullSafe(F.col("id2")) & (F.col("tag") == F.col("tag2")), "left").select("doc_id", "tag", "text", "spans", "starts")
-    return found.filter("kind = 0").select("doc_id", "n_words", "n_removed", "sha").unionByName(_finish(waiting, window))
+        raise RuntimeError("paths and windows could not be verified with any seed")
+    return found.filter("kind = 0").select("doc_id", "r1", "r2", "n_words", "n_removed", "sha", "spans").unionByName(_finish(waiting, window))
+
+
+def without_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
+    """``docs`` with the words of repeated windows cut from ``text``; rows and columns unchanged, whatever their names.
+
+    A text that loses words is its kept words, joined by one space; any other
+    is left as it is, null too. Rows are met by their key in the shuffle.
+    """
+    r1, r2, cut = fresh_names(docs, "r1", "r2", "spans")
+    keys = row_key(F.col("doc_id"), text_or_empty("text"))
+    lost = materialize(remove_repeats(docs, window).filter("n_removed > 0").select(F.col("r1").alias(r1), F.col("r2").alias(r2), F.col("spans").alias(cut)).dropDuplicates([r1, r2]), "repeats")
+    met = docs.withColumns({r1: keys[0], r2: keys[1]}).join(lost, [r1, r2], "left")
+
+    @F.pandas_udf("string")
+    def rest(text, spans):
+        import pandas
+
+        out = []
+        for t, s in zip(text, spans, strict=True):
+            words = t.encode().split()
+            out.append(b" ".join(w for w, k in zip(words, _stay(len(words), s).tolist(), strict=True) if k).decode())
+        return pandas.Series(out, dtype=object)
+
+    changed = met.filter(F.col(cut).isNotNull()).withColumn("text", rest("text", cut))
+    return met.filter(F.col(cut).isNull()).select(*docs.columns).unionByName(changed.select(*docs.columns))
 
 
 def op2_debruijn_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -151,6 +151,13 @@ def test_substring_dedup(odd, spark):
         want.append((i, len(w), len(gone), hashlib.sha256(b" ".join(kept)).hexdigest()))
     got = table(substring_dedup.remove_repeats(df).withColumn("s", F.lower(F.hex("sha"))), "doc_id", "n_words", "n_removed", "s")
     assert got == sorted(want, key=key) and sum(x[2] for x in want) > 0
+    clean = substring_dedup.without_repeats(df)
+    assert clean.columns == df.columns
+    left = table(clean.select("doc_id", "text"), "doc_id", "text")
+    digest = {(i, n): d for i, n, g, d in want if g}
+    for (i, t, _), (_, n, g, d) in zip(sorted(rows, key=lambda r: key(r[:2])), sorted(((i, len((t or "").encode().split()), x[2], x[3]) for (i, t, _), x in zip(rows, want, strict=True)), key=lambda r: key(r[:1])), strict=True):
+        assert g or (i, t) in left
+    assert {hashlib.sha256((t or "").encode()).hexdigest() for _, t in left} >= set(digest.values())
 
 
 def test_substring_dedup_random(spark):

@@ -29,11 +29,17 @@ def normalise_tlds(names: list[str]) -> dict[str, str]:
 
 
 def with_country(pages: DataFrame, domains: DataFrame, url: str = "url", non_latin: bool = True) -> DataFrame:
-    """Pages of usable country domains with their country; ``domains(tld, country, usable, script)`` is a fixed list of about 1,500 rows."""
+    """Pages of usable country domains with their country; ``domains(tld, country, usable, script)`` is a fixed list of about 1,500 rows.
+
+    A domain is met in both its forms, the Unicode label and the xn-- label.
+    """
     usable = domains.filter("usable")
     if not non_latin:
         usable = usable.filter("script = 'Latin'")
-    return pages.withColumn("tld", tld(host(F.col(url)))).join(F.broadcast(usable.select("tld", "country")), "tld")
+    rows = usable.select("tld", "country").collect()  # the fixed list
+    forms = sorted({(f, r["country"]) for r in rows for n in [r["tld"].lower()] for f in (n, normalise_tlds([n])[n], n.encode().decode("idna") if n.startswith("xn--") else n)})
+    both = pages.sparkSession.createDataFrame(forms, usable.select("tld", "country").schema)
+    return pages.withColumn("tld", tld(host(F.col(url)))).join(F.broadcast(both), "tld")
 
 
 def drop_reason(tld_: Column) -> Column:

@@ -7,6 +7,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from corpusmap.functions.geo import cap_pages, with_country
 from corpusmap.functions.text import NoiseRules, n_words, paragraphs
 from corpusmap.operators.dedup import unique_samples
 
@@ -24,6 +25,12 @@ class BuildConfig:
         """One length limit for all scripts, Latin domains only, a low page ceiling."""
         return cls(NoiseRules(script_aware=False), non_latin_tlds=False, page_ceiling=50)
 
+    def pages(self, pages: DataFrame, domains: DataFrame | None = None, key: str = "page_id") -> DataFrame:
+        """The pages this corpus is made of: those of a usable country domain of ``domains``, if given, up to the ceiling of each country."""
+        if domains is not None:
+            pages = with_country(pages.drop("country"), domains, non_latin=self.non_latin_tlds).drop("tld")
+        return cap_pages(pages, "country", self.page_ceiling, key) if self.page_ceiling else pages
+
 
 def samples_of(pages: DataFrame, cfg: BuildConfig) -> DataFrame:
     """Kept samples of ``pages(page_id, host, period, html, ...)``: rules, two-scope de-duplication, cleaning, length."""
@@ -39,17 +46,14 @@ def assemble(samples: DataFrame, keys: list[str], text: str = "text", pos: str =
     return samples.groupBy(*keys).agg(F.count(F.lit(1)).alias("n_samples"), F.sum(n_words(F.col(text))).alias("n_words"), F.array_join(F.transform(rows, lambda r: r["t"]), "\n").alias("text"))
 
 
-def build_corpus(pages: DataFrame, cfg: BuildConfig | None = None, label=None) -> DataFrame:
+def build_corpus(pages: DataFrame, cfg: BuildConfig | None = None, label=None, domains: DataFrame | None = None) -> DataFrame:
     """Corpus rows (page_id, url, country, language, n_samples, n_words, text).
 
     ``label`` maps samples to samples with a column ``language``; without it
-    the column ``lang`` of the pages is the label.
+    the column ``lang`` of the pages is the label. ``domains`` gives countries
+    (see ``with_country``); without it the pages have a column ``country``.
     """
-    from corpusmap.functions.geo import cap_pages
-
     cfg = cfg or BuildConfig()
-    if cfg.page_ceiling:
-        pages = cap_pages(pages, "country", cfg.page_ceiling, "page_id")
-    kept = samples_of(pages, cfg)
+    kept = samples_of(cfg.pages(pages, domains), cfg)
     kept = label(kept) if label else kept.withColumn("language", F.col("lang"))
     return assemble(kept, ["page_id", "url", "country", "language"])

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from corpusmap.functions.text import ngrams
+from corpusmap.session import materialize
 
 MAJORITY = ("en", "es", "fr")
 
@@ -38,72 +39,126 @@ def natural_epoch(rows: DataFrame, key: str, share: float, epoch: int = 0) -> Da
     return rows.filter(unit_hash(F.lit(f"natural{epoch}"), F.col(key).cast("string")) < share)
 
 
-def bayes_table(train: DataFrame, label: str, text: str, n: int, least: int = 2, features: DataFrame | None = None) -> DataFrame:
-    """``gram, lang, logp``: Laplace-smoothed character n-grams; languages by grams, bounded by the features."""
-    grams = train.select(F.col(label).alias("lang"), F.explode(ngrams(F.lower(F.col(text)), n)).alias("gram"))
-    counts = grams.groupBy("gram", "lang").agg(F.count(F.lit(1)).alias("n"))
-    vocab = counts.groupBy("gram").agg(F.sum("n").alias("all")).filter(F.col("all") >= least).select("gram")
+def byte_ngrams(text: Column, n: int) -> Column:
+    """Grams of ``n`` UTF-8 bytes as hexadecimal digits."""
+    def of(h: Column) -> Column:
+        last = F.length(h) / 2 - n + 1
+        return F.when(last >= 1, F.transform(F.sequence(F.lit(1), F.greatest(last, F.lit(1)).cast("int")), lambda i: F.substring(h, 2 * i - 1, F.lit(2 * n)))).otherwise(F.array().cast("array<string>"))
+
+    return F.element_at(F.transform(F.array(F.hex(F.encode(text, "UTF-8"))), of), 1)
+
+
+def _grams(text: Column, ns: tuple[int, ...], of) -> Column:
+    """Grams of several lengths; no gram stands for one of another length."""
+    return of(text, ns[0]) if len(ns) == 1 else F.concat(*[of(text, n) for n in ns])
+
+
+def bayes_table(train: DataFrame, label: str, text: str, n: int | tuple[int, ...], least: int = 2, features: DataFrame | None = None, of=ngrams) -> DataFrame:
+    """``gram, logp array<double>``: Laplace-smoothed grams, a row per gram with a place for each language in code-point order.
+
+    The languages are ``bayes_languages(train, label)``; the rows are bounded by the features.
+    """
+    ns = (n,) if isinstance(n, int) else tuple(n)
+    langs = bayes_languages(train, label)
+    counts = train.select(F.col(label).alias("lang"), F.explode(_grams(F.lower(F.col(text)), ns, of)).alias("gram")).groupBy("gram", "lang").agg(F.count(F.lit(1)).alias("n"))
+    rows = counts.groupBy("gram").agg(F.sum("n").alias("all"), F.map_from_entries(F.collect_list(F.struct("lang", "n"))).alias("m")).filter(F.col("all") >= least)
     if features is not None:
-        vocab = vocab.join(features, "gram", "left_semi")
-    counts = counts.join(vocab, "gram", "left_semi")
-    size = vocab.agg(F.count(F.lit(1)).alias("size"))
-    totals = counts.groupBy("lang").agg(F.sum("n").alias("total"))
-    full = vocab.crossJoin(F.broadcast(totals)).crossJoin(F.broadcast(size))  # a row per language and one row
-    return full.join(counts, ["gram", "lang"], "left").select("gram", "lang", F.ln((F.coalesce("n", F.lit(0)) + 1) / (F.col("total") + F.col("size"))).alias("logp"))
+        rows = rows.join(features.select("gram"), "gram", "left_semi")
+    rows = materialize(rows.select("gram", F.array(*[F.coalesce(F.try_element_at("m", F.lit(v)), F.lit(0)) for v in langs]).alias("n")), "bayes-counts")
+    totals = rows.agg(F.count(F.lit(1)).alias("size"), *[F.sum(F.col("n")[i]).alias(f"t{i}") for i in range(len(langs))]).first()  # one row
+    size = int(totals["size"])
+    logs = [F.when(F.lit(bool(totals[f"t{i}"])), F.ln((F.col("n")[i] + 1) / F.lit(float((totals[f"t{i}"] or 0) + size)))).alias(f"l{i}") for i in range(len(langs))]
+    return materialize(rows.select("gram", F.array(*logs).alias("logp")), "bayes-table")
+
+
+def bayes_languages(train: DataFrame, label: str) -> list[str]:
+    """Labels in code-point order; some hundreds at most."""
+    return sorted((r[0] for r in train.select(label).distinct().collect() if r[0] is not None), key=lambda v: v.encode())
+
+
+#: bytes of a table of grams that is broadcast; a larger one is joined by a shuffle
+BROADCAST_BYTES = 64 << 20
 
 
-def bayes_predict(samples: DataFrame, key: list[str], text: str, table: DataFrame, n: int, keep: Column | None = None) -> DataFrame:
-    """``key, predicted, score``: sums of log-probabilities, the largest wins, ties to the smaller label."""
-    grams = samples.select(*key, F.explode(ngrams(F.lower(F.col(text)), n)).alias("gram"))
-    if keep is not None:
-        grams = grams.filter(keep)
-    # a gram seldom repeats in a window: sums are combined once, after the join
-    sums = grams.join(table, "gram").groupBy(*key, F.col("lang").alias("candidate")).agg(F.round(F.sum("logp"), 6).alias("s"))
-    return sums.groupBy(*key).agg(F.max_by(F.struct("candidate", "s"), F.struct("s", (-F.ascii("candidate")).alias("a"))).alias("b")).select(*key, F.col("b.candidate").alias("predicted"), F.col("b.s").alias("score"))
+def _small(table: DataFrame, n_langs: int) -> DataFrame:
+    return F.broadcast(table) if table.count() * (8 * n_langs + 32) <= BROADCAST_BYTES else table
 
 
-def information_gain(train: DataFrame, label: str, text: str, n: int, least: int = 5) -> DataFrame:
+def bayes_scores(samples: DataFrame, key: list[str], text: str, table: DataFrame, n: int | tuple[int, ...], langs: list[str], of=ngrams) -> DataFrame:
+    """``key, s array<double>``: sums of log-probabilities by language, for samples that hold a known gram.
+
+    One row per gram of a sample meets the table; its sums are combined in
+    the task where the table is broadcast, so one row per sample is shuffled,
+    not one per language.
+    """
+    ns = (n,) if isinstance(n, int) else tuple(n)
+    grams = samples.select(*key, F.explode(_grams(F.lower(F.col(text)), ns, of)).alias("gram"))
+    met = grams.join(_small(table, len(langs)), "gram")
+    sums = met.groupBy(*key).agg(*[F.sum(F.col("logp")[i]).alias(f"s{i}") for i in range(len(langs))])
+    return sums.select(*key, F.array(*[F.round(F.col(f"s{i}"), 6) for i in range(len(langs))]).alias("s"))
+
+
+def bayes_predict(samples: DataFrame, key: list[str], text: str, table: DataFrame, n: int | tuple[int, ...], langs: list[str], of=ngrams) -> DataFrame:
+    """``key, predicted, score``: the largest sum wins, ties to the smaller label."""
+    scores = bayes_scores(samples, key, text, table, n, langs, of)
+    best = F.array_max("s")
+    label = F.element_at(F.array(*[F.lit(v) for v in langs]), F.array_position("s", best).cast("int"))  # the first place of the largest
+    return scores.select(*key, label.alias("predicted"), best.alias("score"))
+
+
+def information_gain(train: DataFrame, label: str, text: str, n: int | tuple[int, ...], least: int = 5, of=ngrams) -> DataFrame:
     """``gram, ig``: gain of a gram's presence about ``label``."""
-    present = train.select(F.col(label).alias("y"), F.explode(F.array_distinct(ngrams(F.lower(F.col(text)), n))).alias("gram")).groupBy("gram", "y").agg(F.count(F.lit(1)).alias("k"))
-    sizes = train.groupBy(F.col(label).alias("y")).agg(F.count(F.lit(1)).alias("m"))
-    total = train.agg(F.count(F.lit(1)).alias("t"))
-    often = present.groupBy("gram").agg(F.sum("k").alias("g")).filter(F.col("g") >= least)
-    x = often.crossJoin(F.broadcast(sizes)).crossJoin(F.broadcast(total)).join(present, ["gram", "y"], "left").withColumn("k", F.coalesce("k", F.lit(0)))
-    part = lambda o, e: F.when(o > 0, o / F.col("t") * F.ln(o * F.col("t") / e)).otherwise(0.0)
-    gain = part(F.col("k"), F.col("g") * F.col("m")) + part(F.col("m") - F.col("k"), (F.col("t") - F.col("g")) * F.col("m"))
-    return x.groupBy("gram").agg(F.sum(gain).alias("ig"))
-
-
-def selected_features(train: DataFrame, text: str, n: int, most: int, language: str = "lang", domain: str = "domain") -> DataFrame:
-    """The grams that tell languages, not domains: largest gain for the language less that for the domain."""
-    a, b = information_gain(train, language, text, n), information_gain(train, domain, text, n)
+    ns = (n,) if isinstance(n, int) else tuple(n)
+    present = train.select(F.col(label).alias("y"), F.explode(F.array_distinct(_grams(F.lower(F.col(text)), ns, of))).alias("gram")).groupBy("gram", "y").agg(F.count(F.lit(1)).alias("k"))
+    sizes = {r[0]: r[1] for r in train.groupBy(label).agg(F.count(F.lit(1))).collect()}  # a row per label
+    total = float(sum(sizes.values()))
+    part = lambda o, e: F.when(o > 0, o / total * F.ln(o * total / e)).otherwise(0.0)
+    m = F.element_at(F.create_map(*[x for y, k in sorted(sizes.items(), key=str) for x in (F.lit(y), F.lit(float(k)))]), F.col("y"))
+    # of labels without the gram only their sizes count: their terms add up to those of the rest of all samples
+    seen = present.withColumn("m", m).groupBy("gram").agg(F.sum("k").alias("g"), F.collect_list(F.struct("k", "m")).alias("cells"), F.sum("m").alias("met")).filter(F.col("g") >= least)
+    gain = F.aggregate("cells", F.lit(0.0), lambda s, c: s + part(c["k"], F.col("g") * c["m"]) + part(c["m"] - c["k"], (total - F.col("g")) * c["m"]))
+    rest = F.lit(total) - F.col("met")
+    return seen.select("gram", (gain + F.when(rest > 0, rest / total * F.ln(total / (total - F.col("g")))).otherwise(0.0)).alias("ig"))
+
+
+def selected_features(train: DataFrame, text: str, n: int | tuple[int, ...], most: int, language: str = "lang", domain: str = "domain", of=ngrams) -> DataFrame:
+    """The grams that tell languages, not domains: largest gain for the language less that for the domain, one ranking over all lengths."""
+    a, b = information_gain(train, language, text, n, of=of), information_gain(train, domain, text, n, of=of)
     return a.join(b.withColumnRenamed("ig", "ig_domain"), "gram").select("gram", F.round(F.col("ig") - F.col("ig_domain"), 9).alias("score")).orderBy(F.desc("score"), "gram").limit(most)
 
 
-def profile_predict(samples: DataFrame, key: list[str], text: str, tables: dict[int, DataFrame], trials: int = 5, share: float = 0.5, seed: str = "trial") -> DataFrame:
-    """Naive Bayes over 1-3-grams on random halves of the grams; posteriors are averaged over the trials."""
-    out = None
-    for t in range(trials):
-        sums = None
-        for n, table in tables.items():
-            grams = samples.select(*key, F.explode(ngrams(F.lower(F.col(text)), n)).alias("gram")).groupBy(*key, "gram").agg(F.count(F.lit(1)).alias("c"))
-            part = grams.filter(unit_hash(F.lit(f"{seed}{t}"), *[F.col(k).cast("string") for k in key], F.col("gram")) < share).join(table, "gram").groupBy(*key, F.col("lang").alias("candidate")).agg(F.sum(F.col("c") * F.col("logp")).alias("s"))
-            sums = part if sums is None else sums.unionByName(part)
-        one = sums.groupBy(*key, "candidate").agg(F.sum("s").alias("s"))
-        own = Window.partitionBy(*key)
-        e = F.exp(F.col("s") - F.max("s").over(own))
-        one = one.withColumn("e", e).withColumn("p", F.col("e") / F.sum("e").over(own)).select(*key, "candidate", "p")
-        out = one if out is None else out.unionByName(one)
-    mean = out.groupBy(*key, "candidate").agg((F.sum("p") / trials).alias("p"))
-    return mean.groupBy(*key).agg(F.max_by("candidate", F.struct("p", "candidate")).alias("predicted"))
-
-
-def purge_bootstrap(rows: DataFrame, predicted: str = "predicted", truth: str = "is_truth", label: str = "lang", majority: tuple = MAJORITY, spare_majority: bool = False) -> DataFrame:
-    """Bootstrapped windows that a second identifier calls a majority language go."""
+def profile_predict(samples: DataFrame, key: list[str], text: str, table: DataFrame, ns: tuple[int, ...], langs: list[str], trials: int = 5, share: float = 0.5, seed: str = "trial") -> DataFrame:
+    """Naive Bayes over grams of lengths ``ns`` on random halves of them; posteriors are averaged over the trials.
+
+    The grams of a sample are made once; each trial is a condition on their sums.
+    """
+    grams = samples.select(*key, F.explode(_grams(F.lower(F.col(text)), ns, ngrams)).alias("gram")).join(_small(table, len(langs)), "gram")
+    drawn = [unit_hash(F.lit(f"{seed}{t}"), *[F.col(k).cast("string") for k in key], F.col("gram")) < share for t in range(trials)]
+    grams = grams.withColumns({f"_d{t}": d for t, d in enumerate(drawn)})
+    sums = grams.groupBy(*key).agg(*[F.sum(F.when(F.col(f"_d{t}"), F.col("logp")[i])).alias(f"s{t}_{i}") for t in range(trials) for i in range(len(langs))])
+
+    def posterior(t: int) -> Column:
+        s = F.array(*[F.col(f"s{t}_{i}") for i in range(len(langs))])
+        top = F.array_max(s)
+        e = F.transform(s, lambda x: F.exp(x - top))
+        every = F.aggregate(e, F.lit(0.0), lambda a, b: a + b)
+        return F.transform(e, lambda x: x / every)
+
+    posts = [posterior(t) for t in range(trials)]
+    mean = F.array(*[F.round(sum((F.coalesce(p[i], F.lit(0.0)) for p in posts), F.lit(0.0)) / trials, 9) for i in range(len(langs))])
+    out = sums.select(*key, mean.alias("p"))
+    return out.select(*key, F.element_at(F.array(*[F.lit(v) for v in langs]), F.array_position("p", F.array_max("p")).cast("int")).alias("predicted"))
+
+
+def survives_purge(predicted: str = "predicted", truth: str = "is_truth", label: str = "lang", majority: tuple = MAJORITY, spare_majority: bool = False) -> Column:
+    """False for a bootstrapped window that a second identifier calls a majority language."""
     keep = F.col(truth) | ~F.coalesce(F.col(predicted), F.lit("")).isin(*majority)
-    if spare_majority:
-        keep = keep | F.col(label).isin(*majority)
-    return rows.filter(keep)
+    return keep | F.col(label).isin(*majority) if spare_majority else keep
+
+
+def purge_bootstrap(rows: DataFrame, **how) -> DataFrame:
+    """``rows`` without the windows that :func:`survives_purge` denies."""
+    return rows.filter(survives_purge(**how))
 
 
 def assert_independent(train: DataFrame, other: DataFrame, text: str) -> DataFrame:

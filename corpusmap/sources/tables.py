@@ -5,11 +5,18 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from corpusmap.session import spread
+
 CORPUS_SCHEMA = "language string, url string, n_words long, text string"
 
 
+#: tables whose rows are long texts: worth dealing to all cores where one file holds them
+TEXTS = ("documents", "pages", "conversations")
+
+
 def load(spark: SparkSession, folder: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{folder}/{name}.parquet")
+    table = spark.read.parquet(f"{folder}/{name}.parquet")
+    return spread(table) if name in TEXTS else table
 
 
 def publish_corpus(rows: DataFrame, path: str, files_per_cell: int = 4, rows_per_file: int = 100_000) -> None:
@@ -30,8 +37,10 @@ def read_corpus_csv(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.schema(schema).option("multiLine", True).option("quote", '"').option("escape", '"').csv(path)
 
 
-def publish_unigrams(lists: DataFrame, path: str) -> None:
-    lists.repartition("register", "language").write.mode("overwrite").partitionBy("register", "language").option("compression", "gzip").csv(path)
+def publish_unigrams(lists: DataFrame, path: str, files_per_list: int = 4) -> None:
+    """Gzip CSV of tokens and counts in folders by register and language; salted, so that one long list is written by several tasks."""
+    salt = F.pmod(F.xxhash64("token"), F.lit(files_per_list))
+    lists.repartition("register", "language", salt).write.mode("overwrite").partitionBy("register", "language").option("compression", "gzip").csv(path)
 
 
 def read_json(spark: SparkSession, path: str, schema: str) -> DataFrame:

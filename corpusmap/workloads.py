@@ -467,6 +467,131 @@ def q_assemble(spark, d):
     return build.assemble(text.paragraphs(surrogate.pages(spark, d)), ["page_id"]).select("page_id", "n_samples", "n_words", F.md5("text").alias("text_md5"))
 
 
+#: stand-in table of country domains: the three domains of the given pages; one of them stands for a domain in another script
+DOMAINS = (("com", 0, True, "Latin"), ("net", 1, True, "Latin"), ("org", 2, True, "Arabic"), ("tv", 3, False, "Latin"))
+
+
+def _domains(spark) -> DataFrame:
+    return spark.createDataFrame(list(DOMAINS), "tld string, country int, usable boolean, script string")
+
+
+def _built(spark, d, cfg=None) -> DataFrame:
+    """Corpus of either version, with countries from the table of domains."""
+    return build.build_corpus(surrogate.pages(spark, d), cfg or build.BuildConfig(), domains=_domains(spark))
+
+
+def _built_sql(earlier: bool) -> str:
+    """SQL tables up to ``b``, the samples of one version."""
+    of = PAGE.replace("pc AS (SELECT *, (('0x' || substr(md5(host), 1, 8))::BIGINT % 25)::INT AS country FROM p)",
+                      "dm AS (SELECT * FROM (VALUES ('com', 0), ('net', 1)" + ("" if earlier else ", ('org', 2)") + ") v(tld, country)), pd_ AS (SELECT p.*, country FROM p JOIN dm ON tld = lower(regexp_extract(host, '\\.([^.]+)$', 1))), "
+                      + "pc AS (SELECT * FROM pd_" + (" QUALIFY row_number() OVER (PARTITION BY country ORDER BY md5(page_id::VARCHAR), page_id) <= 50" if earlier else "") + ")")
+    return of + PARA[len(PAGE):] + ", ok AS (SELECT * FROM para WHERE text <> '' AND " + REASON + " IS NULL), a AS (SELECT * FROM (SELECT *, count(*) OVER (PARTITION BY period, host, text) AS k FROM ok) WHERE k = 1), b AS (SELECT * REPLACE (" + CLEAN.format("text") + " AS text) FROM (SELECT *, count(*) OVER (PARTITION BY period, text) AS k2 FROM a) WHERE k2 = 1)"
+
+
+BUILT = " SELECT country, lang AS language, count(DISTINCT page_id) AS n_pages, sum(len(regexp_extract_all(text, '\\p{L}+')))::BIGINT AS n_words FROM b GROUP BY ALL"
+
+
+@query("WITH " + _built_sql(False) + BUILT)
+def q_build_by_domain(spark, d):
+    """The current version with countries from the table of domains, those in other scripts too."""
+    return _built(spark, d).groupBy("country", "language").agg(F.count(F.lit(1)).alias("n_pages"), F.sum("n_words").alias("n_words"))
+
+
+@query("WITH " + _built_sql(True) + BUILT)
+def q_build_earlier(spark, d):
+    """The earlier version: Latin domains, one length limit, a low page ceiling."""
+    return _built(spark, d, build.BuildConfig.earlier()).groupBy("country", "language").agg(F.count(F.lit(1)).alias("n_pages"), F.sum("n_words").alias("n_words"))
+
+
+THREE = CELL + """, c3 AS (SELECT register AS corpus, lang, country, sum(n_words) AS n_words FROM cell GROUP BY ALL UNION ALL SELECT 'earlier', lang, country, sum(w) FROM d WHERE v3 AND register = 'web' GROUP BY lang, country)"""
+
+
+def _three(spark, d, keys: list[str]) -> DataFrame:
+    """Words of the current web corpus, its earlier version and the social corpus by ``keys``."""
+    docs = surrogate.documents(spark, d)
+    both = inventory.word_counts(docs, ["register", *keys]).withColumnRenamed("register", "corpus")
+    old = inventory.word_counts(docs.filter("v3 and register = 'web'"), keys).withColumn("corpus", F.lit("earlier"))
+    return both.unionByName(old)
+
+
+@query("WITH " + THREE + """, g AS (SELECT r_name, coalesce(sum(n_words) FILTER (corpus = 'earlier'), 0)::BIGINT AS earlier_words, coalesce(sum(n_words) FILTER (corpus = 'web'), 0)::BIGINT AS web_words, coalesce(sum(n_words) FILTER (corpus = 'social'), 0)::BIGINT AS social_words FROM c3 JOIN nation ON n_nationkey = country JOIN region ON r_regionkey = n_regionkey GROUP BY ALL)
+ SELECT *, round(100.0 * earlier_words / sum(earlier_words) OVER (), 6) AS earlier_pct, round(100.0 * web_words / sum(web_words) OVER (), 6) AS web_pct, round(100.0 * social_words / sum(social_words) OVER (), 6) AS social_pct FROM g""")
+def q_three_corpora_by_region(spark, d):
+    counts = _three(spark, d, ["country"]).join(F.broadcast(surrogate.nations(spark, d)), "country")
+    return _rounded(inventory.words_by_region(counts, "r_name", ["earlier", "web", "social"], "corpus"), "earlier_pct", "web_pct", "social_pct")
+
+
+@query("WITH " + THREE + """, k AS (SELECT corpus, country, sum(n_words)::DOUBLE AS w FROM c3 GROUP BY ALL), x AS (SELECT a.corpus AS a, b.corpus AS b, a.w AS x, b.w AS y FROM k a JOIN k b ON a.country = b.country AND a.corpus < b.corpus)
+ SELECT a, b, round(corr(x, y), 6) AS r, count(*) AS n FROM x GROUP BY ALL""")
+def q_density_corr_three(spark, d):
+    """Correlation of words per country for each pair of the three corpora."""
+    c = _three(spark, d, ["country"])
+    out = None
+    for a, b in (("earlier", "social"), ("earlier", "web"), ("social", "web")):
+        one = inventory.density_correlation(c.filter(F.col("corpus") == a), c.filter(F.col("corpus") == b), "country").select(F.lit(a).alias("a"), F.lit(b).alias("b"), "r", "n")
+        out = one if out is None else out.unionByName(one)
+    return _rounded(out, "r")
+
+
+@query("WITH " + THREE + ", " + DEMO + " SELECT corpus, round(corr(w, population), 6) AS r_pop, round(corr(w, gdp_pc), 6) AS r_gdp, round(corr(w, internet), 6) AS r_net, round(corr(w, population * internet), 6) AS r_pop_net, round(corr(w, population * gdp_pc), 6) AS r_pop_gdp, round(corr(w, internet * gdp_pc), 6) AS r_net_gdp, round(corr(w, population * gdp_pc * internet), 6) AS r_all, count(*) AS n FROM (SELECT corpus, country, sum(n_words)::DOUBLE AS w FROM c3 GROUP BY ALL) JOIN demo USING (country) GROUP BY ALL")
+def q_factor_grid_three(spark, d):
+    return _rounded(inventory.factor_grid(_three(spark, d, ["country"]), surrogate.demography(spark, d), "corpus"), "r_pop", "r_gdp", "r_net", "r_pop_net", "r_pop_gdp", "r_net_gdp", "r_all")
+
+
+COMP3 = """, s3 AS (SELECT corpus, country, lang, 100.0 * n_words / sum(n_words) OVER (PARTITION BY corpus, country) AS pct FROM c3), tg AS (SELECT DISTINCT lang FROM s3 WHERE corpus IN ('web', '{o}')),
+ pl AS (SELECT DISTINCT country FROM s3 WHERE corpus = 'web' INTERSECT SELECT DISTINCT country FROM s3 WHERE corpus = '{o}'),
+ cm AS (SELECT country, lang, coalesce(a.pct, 0) AS x, coalesce(b.pct, 0) AS y FROM pl CROSS JOIN tg LEFT JOIN (SELECT * FROM s3 WHERE corpus = 'web') a USING (country, lang) LEFT JOIN (SELECT * FROM s3 WHERE corpus = '{o}') b USING (country, lang))"""
+
+
+@query("WITH " + THREE + COMP3.format(o="earlier") + " SELECT lang, round(corr(x, y), 6) AS r, count(*) AS n_countries FROM cm GROUP BY ALL")
+def q_composition_corr_earlier(spark, d):
+    """Correlation of each language's share of a country between the web corpus and its earlier version."""
+    c = _three(spark, d, ["lang", "country"])
+    both = inventory.composition(c.filter("corpus = 'web'").drop("corpus"), c.filter("corpus = 'earlier'").drop("corpus"))
+    return both.groupBy("lang").agg(F.round(similarity.safe_corr("x", "y"), 6).alias("r"), F.count(F.lit(1)).alias("n_countries"))
+
+
+@query("WITH " + PARA + ", r AS (SELECT page_id, " + REASON + """ AS reason, period, host, text FROM para WHERE text <> ''), ok AS (SELECT * FROM r WHERE reason IS NULL), a AS (SELECT * FROM (SELECT *, count(*) OVER (PARTITION BY period, host, text) AS k FROM ok) WHERE k = 1), b AS (SELECT * FROM (SELECT *, count(*) OVER (PARTITION BY period, text) AS k2 FROM a) WHERE k2 = 1)
+ SELECT 'samples' AS stage, count(*) AS n_samples, count(DISTINCT page_id) AS n_pages FROM r UNION ALL SELECT 'after rules', count(*), count(DISTINCT page_id) FROM ok UNION ALL SELECT 'after site', count(*), count(DISTINCT page_id) FROM a UNION ALL SELECT 'after period', count(*), count(DISTINCT page_id) FROM b""")
+def q_attrition(spark, d):
+    """What every stage of the build leaves."""
+    seen = text.paragraphs(surrogate.pages(spark, d), rules=text.NoiseRules())
+    good = seen.filter("reason IS NULL")
+    stages = {"samples": seen, "after rules": good, **{f"after {n}": dedup.unique_samples(good, ["page_id", "pos"], site="host", scopes=s) for n, s in (("site", "site"), ("period", "both"))}}
+    out = None
+    for name, df in stages.items():
+        one = df.agg(F.lit(name).alias("stage"), F.count(F.lit(1)).alias("n_samples"), F.countDistinct("page_id").alias("n_pages"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query("SELECT lang AS language, 'doc-' || doc_id AS url, len(regexp_extract_all(text, '\\p{L}+'))::BIGINT AS n_words, md5(text) AS text_md5, (doc_id % 20)::INT AS country FROM documents")
+def q_csv_roundtrip(spark, d):
+    """The corpus written as gzip CSV by region, country and language, and read again."""
+    from corpusmap.session import fresh_path
+    from corpusmap.sources import tables
+
+    docs = surrogate.documents(spark, d)
+    path = fresh_path(spark, "corpus-csv")
+    tables.publish_corpus(docs.select(F.lit("all").alias("region"), "country", F.col("lang").alias("language"), F.concat(F.lit("doc-"), "doc_id").alias("url"), text.n_words(F.col("text")).alias("n_words"), "text"), path)
+    return tables.read_corpus_csv(spark, path).select("language", "url", "n_words", F.md5("text").alias("text_md5"), F.col("country").cast("int").alias("country"))
+
+
+@query("SELECT event_id FROM events QUALIFY row_number() OVER (PARTITION BY user_id, event_type, value ORDER BY event_id) = 1")
+def q_stream_dedup(spark, d):
+    """Events through a file stream that keeps the first of each user, type and value; equal keys are few and close, so which one is first is settled by the batch."""
+    from corpusmap.session import fresh_path
+    from corpusmap.streaming import ingest
+
+    feed, out = fresh_path(spark, "events-feed"), fresh_path(spark, "events-out")
+    table = load(spark, d, "events")
+    table.write.parquet(feed)
+    stream = ingest.keep_first(ingest.with_lateness(ingest.read_feed(spark, feed, table.schema), "ts", "100000 days"), ["user_id", "event_type", "value"])
+    ingest.run_available(stream, out, fresh_path(spark, "events-state"))
+    kept = spark.read.parquet(out)
+    return kept.select("event_id")
+
+
 # --- social corpus -----------------------------------------------------------------------------
 
 GEO = """h AS (SELECT *, (conv_id % 25)::INT AS country, md5(conv_id::VARCHAR) AS m FROM conversations),
@@ -530,7 +655,7 @@ def _f1(pred: DataFrame) -> DataFrame:
 
 def _nb(spark, d, n: int) -> DataFrame:
     train, ev = _parts(spark, d)
-    pred = lid.bayes_predict(ev, ["doc_id", "win"], "window", lid.bayes_table(train, "lang", "window", n), n)
+    pred = lid.bayes_predict(ev, ["doc_id", "win"], "window", lid.bayes_table(train, "lang", "window", n), n, lid.bayes_languages(train, "lang"))
     return ev.join(pred, ["doc_id", "win"], "left")
 
 
@@ -591,33 +716,88 @@ def q_nb_confusion(spark, d):
     return _nb(spark, d, 3).groupBy("lang", "predicted").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query()
+#: grams of a window as SQL lists: characters and UTF-8 bytes in hexadecimal digits
+CHARS = "list_transform(range(1, length({w}) - {m}), lambda i: substr(lower({w}), i, {n}))"
+BYTES = "list_transform(range(1, length(hex(encode(lower({w})))) // 2 - {m}), lambda i: substr(hex(encode(lower({w}))), 2 * i - 1, 2 * {n}))"
+
+
+def _gram_list(of: str, ns: tuple, w: str = '"window"') -> str:
+    """SQL list of the grams of all lengths ``ns``."""
+    return "flatten([" + ", ".join(of.format(w=w, n=n, m=n - 2) for n in ns) + "])"
+
+
+BYTE4 = _gram_list(BYTES, (1, 2, 3, 4))
+#: most features of the selecting model
+SELECTED = 20_000
+#: SQL tables of the selecting model: presence, gain for language and domain, the features, their log-probabilities
+NBSEL = SPLIT + f""", pg AS (SELECT lang, domain, unnest(list_distinct({BYTE4})) AS gram FROM tr), tt AS (SELECT count(*)::DOUBLE AS t FROM tr),
+ og AS (SELECT gram, count(*) AS g FROM pg GROUP BY ALL HAVING count(*) >= 5),
+ sl AS (SELECT lang AS y, count(*) AS m FROM tr GROUP BY ALL), sd AS (SELECT domain AS y, count(*) AS m FROM tr GROUP BY ALL),
+ kl AS (SELECT gram, lang AS y, count(*) AS k FROM pg GROUP BY ALL), kd AS (SELECT gram, domain AS y, count(*) AS k FROM pg GROUP BY ALL),
+ xl AS (SELECT gram, g, y, m, coalesce(k, 0) AS k, t FROM og CROSS JOIN sl CROSS JOIN tt LEFT JOIN kl USING (gram, y)),
+ xd AS (SELECT gram, g, y, m, coalesce(k, 0) AS k, t FROM og CROSS JOIN sd CROSS JOIN tt LEFT JOIN kd USING (gram, y)),
+ gl AS (SELECT gram, sum(CASE WHEN k > 0 THEN k / t * ln(k * t / (g * m)) ELSE 0 END + CASE WHEN m > k THEN (m - k) / t * ln((m - k) * t / ((t - g) * m)) ELSE 0 END) AS ig FROM xl GROUP BY ALL),
+ gd AS (SELECT gram, sum(CASE WHEN k > 0 THEN k / t * ln(k * t / (g * m)) ELSE 0 END + CASE WHEN m > k THEN (m - k) / t * ln((m - k) * t / ((t - g) * m)) ELSE 0 END) AS ig FROM xd GROUP BY ALL),
+ se AS (SELECT gram FROM gl JOIN gd USING (gram) ORDER BY round(gl.ig - gd.ig, 9) DESC, gram LIMIT {SELECTED}),
+ c2 AS (SELECT gram, lang, count(*) AS n FROM (SELECT lang, unnest({BYTE4}) AS gram FROM tr) SEMI JOIN se USING (gram) GROUP BY ALL),
+ vo AS (SELECT gram FROM c2 GROUP BY gram HAVING sum(n) >= 2), to_ AS (SELECT lang, sum(n) AS total FROM c2 SEMI JOIN vo USING (gram) GROUP BY ALL),
+ tb AS (SELECT vo.gram, to_.lang AS cand, ln((coalesce(c2.n, 0) + 1) / (total + (SELECT count(*) FROM vo))) AS lp FROM vo CROSS JOIN to_ LEFT JOIN c2 ON c2.gram = vo.gram AND c2.lang = to_.lang)"""
+PREDICT = """, eg AS (SELECT {key}, unnest({grams}) AS gram FROM {of}), ss AS (SELECT {key}, cand, round(sum(lp), 6) AS s FROM eg JOIN tb USING (gram) GROUP BY ALL),
+ pr AS (SELECT {key}, arg_max(cand, s) AS predicted, max(s) AS s FROM (SELECT * FROM ss ORDER BY cand) GROUP BY ALL)"""
+
+
+def _selecting_model(train: DataFrame) -> tuple[DataFrame, list[str]]:
+    """Grams of one to four bytes that tell languages rather than domains, under one ranking."""
+    ns = (1, 2, 3, 4)
+    features = lid.selected_features(train, "window", ns, SELECTED, of=lid.byte_ngrams)
+    return lid.bayes_table(train, "lang", "window", ns, features=features, of=lid.byte_ngrams), lid.bayes_languages(train, "lang")
+
+
+def _selected(samples: DataFrame, key: list[str], model: tuple[DataFrame, list[str]]) -> DataFrame:
+    return lid.bayes_predict(samples, key, "window", model[0], (1, 2, 3, 4), model[1], of=lid.byte_ngrams)
+
+
+@query("WITH " + NB.format(n=3, m=1) + ", pd AS (SELECT ev.*, predicted FROM ev LEFT JOIN pr USING (doc_id, win)), " + F1)
+def q_nb_f1(spark, d):
+    return _f1(_nb(spark, d, 3))
+
+
+@query("WITH " + NB.format(n=3, m=1) + " SELECT doc_id, win, cand AS lang, round(s * 1000000)::BIGINT AS score_millionths FROM ss")
+def q_nb_scores(spark, d):
+    """The score of every language for every evaluated window."""
+    train, ev = _parts(spark, d)
+    langs = lid.bayes_languages(train, "lang")
+    s = lid.bayes_scores(ev, ["doc_id", "win"], "window", lid.bayes_table(train, "lang", "window", 3), 3, langs)
+    return s.select("doc_id", "win", F.posexplode("s").alias("i", "score")).select("doc_id", "win", F.element_at(F.array(*[F.lit(v) for v in langs]), F.col("i") + 1).alias("lang"), F.round(F.col("score") * 1e6).cast("long").alias("score_millionths"))
+
+
+@query("WITH " + NBSEL + PREDICT.format(key="doc_id, win", grams=BYTE4, of="ev") + ", pd AS (SELECT ev.*, predicted FROM ev LEFT JOIN pr USING (doc_id, win)), " + F1)
 def q_nb_selected_f1(spark, d):
-    """Features that tell languages rather than domains, 1-4-grams; features are at most 20,000."""
     train, ev = _parts(spark, d)
-    table = None
-    for n in (1, 2, 3, 4):
-        some = lid.bayes_table(train, "lang", "window", n, features=lid.selected_features(train, "window", n, 5000))
-        table = some if table is None else table.unionByName(some)
-    sums = None
-    for n in (1, 2, 3, 4):
-        g = ev.select("doc_id", "win", F.explode(text.ngrams(F.lower("window"), n)).alias("gram"))
-        sums = g if sums is None else sums.unionByName(g)
-    scores = sums.join(F.broadcast(table), "gram").groupBy("doc_id", "win", F.col("lang").alias("c")).agg(F.round(F.sum("logp"), 6).alias("s"))
-    pred = scores.groupBy("doc_id", "win").agg(F.max_by("c", F.struct("s", "c")).alias("predicted"))
-    return _f1(ev.join(pred, ["doc_id", "win"], "left"))
+    return _f1(ev.join(_selected(ev, ["doc_id", "win"], _selecting_model(train)), ["doc_id", "win"], "left"))
 
 
-@query()
+CHAR3 = _gram_list(CHARS, (1, 2, 3))
+
+
+@query("WITH " + SPLIT + f""", gc AS (SELECT gram, lang, count(*) AS n FROM (SELECT lang, unnest({CHAR3}) AS gram FROM tr) GROUP BY ALL), vo AS (SELECT gram FROM gc GROUP BY gram HAVING sum(n) >= 2),
+ c2 AS (SELECT gc.* FROM gc SEMI JOIN vo USING (gram)), to_ AS (SELECT lang, sum(n) AS total FROM c2 GROUP BY ALL),
+ tb AS (SELECT vo.gram, to_.lang AS cand, ln((coalesce(c2.n, 0) + 1) / (total + (SELECT count(*) FROM vo))) AS lp FROM vo CROSS JOIN to_ LEFT JOIN c2 ON c2.gram = vo.gram AND c2.lang = to_.lang),
+ eg AS (SELECT doc_id, win, unnest({CHAR3}) AS gram FROM ev), dr AS (SELECT *, unnest([0, 1, 2]) AS trial FROM eg),
+ ss AS (SELECT doc_id, win, trial, cand, sum(lp) AS s FROM dr JOIN tb USING (gram) WHERE ('0x' || substr(md5('trial' || trial || '|' || doc_id || '|' || win || '|' || gram), 1, 8))::BIGINT / 4294967296.0 < 0.5 GROUP BY ALL),
+ ex AS (SELECT *, exp(s - max(s) OVER (PARTITION BY doc_id, win, trial)) AS e FROM ss), po AS (SELECT *, e / sum(e) OVER (PARTITION BY doc_id, win, trial) AS p FROM ex),
+ me AS (SELECT doc_id, win, cand, round(sum(p) / 3, 9) AS p FROM po GROUP BY ALL), pr AS (SELECT doc_id, win, arg_max(cand, p) AS predicted FROM (SELECT * FROM me ORDER BY cand) GROUP BY ALL),
+ pd AS (SELECT ev.*, predicted FROM ev LEFT JOIN pr USING (doc_id, win)), """ + F1)
 def q_profile_f1(spark, d):
     train, ev = _parts(spark, d)
-    tables = {n: lid.bayes_table(train, "lang", "window", n) for n in (1, 2, 3)}
-    return _f1(ev.join(lid.profile_predict(ev, ["doc_id", "win"], "window", tables, trials=3), ["doc_id", "win"], "left"))
+    table = lid.bayes_table(train, "lang", "window", (1, 2, 3))
+    return _f1(ev.join(lid.profile_predict(ev, ["doc_id", "win"], "window", table, (1, 2, 3), lid.bayes_languages(train, "lang"), trials=3), ["doc_id", "win"], "left"))
 
 
 @query()
 def q_mlp_f1(spark, d):
-    return _f1(_mlp(spark, d))
+    """The neural identifier at its full size: 1,000 windows a pair, 216,000 buckets."""
+    return _f1(_mlp(spark, d, per_pair=1000))
 
 
 def _mlp(spark, d, size: int = 50, per_pair: int = 100, epochs: int = 3, dims: int = 216_000, by=("lang", "domain")) -> DataFrame:
@@ -643,21 +823,48 @@ def q_mlp_window_sizes(spark, d):
     return _f1(out).withColumnRenamed("domain", "window_size")
 
 
-@query()
+@query("WITH " + NBSEL + PREDICT.format(key="doc_id, win", grams=BYTE4, of="ev") + """, pd AS (SELECT ev.lang, predicted FROM ev LEFT JOIN pr USING (doc_id, win)),
+ su AS (SELECT lang, count(*) AS support, count(*) FILTER (lang = predicted) AS tp FROM pd GROUP BY ALL), na AS (SELECT predicted AS lang, count(*) AS named FROM pd GROUP BY ALL)
+ SELECT lang, round(2 * tp / (support + coalesce(named, 0)), 2) AS f1 FROM su LEFT JOIN na USING (lang) WHERE round(2 * tp / (support + coalesce(named, 0)), 2) >= 0.95""")
 def q_languages_above(spark, d):
-    return lid.languages_above(_nb(spark, d, 3))
+    train, ev = _parts(spark, d)
+    return lid.languages_above(ev.join(_selected(ev, ["doc_id", "win"], _selecting_model(train)), ["doc_id", "win"], "left"))
 
 
-@query()
+@query("WITH " + NBSEL + ", " + PARA + """, bo AS (SELECT page_id, pos, lang, text, unnest(range(0, length(text) // 50)) AS win FROM para WHERE text <> ''),
+ bw AS (SELECT page_id, pos, lang, win, substr(text, win * 50 + 1, 50) AS "window" FROM bo)""" + PREDICT.format(key="page_id, pos, win", grams=BYTE4, of="bw") + """
+ SELECT lang, count(*) AS n_windows, count(*) FILTER (coalesce(predicted, '') NOT IN ('en', 'es', 'fr')) AS n_kept, count(*) FILTER (coalesce(predicted, '') NOT IN ('en', 'es', 'fr') OR lang IN ('en', 'es', 'fr')) AS n_kept_spared
+ FROM bw LEFT JOIN pr USING (page_id, pos, win) GROUP BY ALL""")
 def q_purge_bootstrap(spark, d):
-    """Windows of pages, labelled by their address; those that the Bayes model calls a majority language go."""
+    """Windows of pages, labelled by their address; those that the selecting model calls a majority language go."""
     train, _ = _parts(spark, d)
     boot = text.windows(text.paragraphs(surrogate.pages(spark, d)).select("page_id", "pos", "lang", "text")).withColumn("is_truth", F.lit(False))
-    pred = lid.bayes_predict(boot, ["page_id", "pos", "win"], "window", lid.bayes_table(train, "lang", "window", 3), 3)
-    seen = boot.join(pred, ["page_id", "pos", "win"], "left")
-    kept = lid.purge_bootstrap(seen).groupBy("lang").agg(F.count(F.lit(1)).alias("n_kept"))
-    spared = lid.purge_bootstrap(seen, spare_majority=True).groupBy("lang").agg(F.count(F.lit(1)).alias("n_kept_spared"))
-    return seen.groupBy("lang").agg(F.count(F.lit(1)).alias("n_windows")).join(kept, "lang", "left").join(spared, "lang", "left").na.fill(0)
+    seen = boot.join(_selected(boot, ["page_id", "pos", "win"], _selecting_model(train)), ["page_id", "pos", "win"], "left")
+    kept = lambda **how: F.count_if(lid.survives_purge(**how))
+    return seen.groupBy("lang").agg(F.count(F.lit(1)).alias("n_windows"), kept().alias("n_kept"), kept(spare_majority=True).alias("n_kept_spared"))
+
+
+SOCIAL = "substr(md5(doc_id::VARCHAR), 1, 1) >= '8'"
+
+
+@query("WITH " + NB.format(n=4, m=2).replace("tr AS (SELECT * FROM sp WHERE u < 0.8)", f"tr AS (SELECT * FROM sp WHERE u < 0.8 AND NOT {SOCIAL})").replace("ev AS (SELECT * FROM sp WHERE u >= 0.9)", f"ev AS (SELECT * FROM sp WHERE u >= 0.9 AND {SOCIAL})") + ", pd AS (SELECT ev.* REPLACE ('social' AS domain), predicted FROM ev LEFT JOIN pr USING (doc_id, win)), " + F1)
+def q_social_f1(spark, d):
+    """A register that training never saw: trained on web documents, evaluated on social ones."""
+    train, ev = _parts(spark, d)
+    social = F.substring(F.md5(F.col("doc_id").cast("string")), 1, 1) >= "8"
+    train, ev = train.filter(~social), ev.filter(social).withColumn("domain", F.lit("social"))
+    pred = lid.bayes_predict(ev, ["doc_id", "win"], "window", lid.bayes_table(train, "lang", "window", 4), 4, lid.bayes_languages(train, "lang"))
+    return _f1(ev.join(pred, ["doc_id", "win"], "left"))
+
+
+@query("WITH " + NB.format(n=4, m=2).replace("eg AS (SELECT doc_id, win, domain, lang, ", "x AS (SELECT 'conversations' AS source, conv_id * 1000 + turn AS doc_id, text FROM conversations UNION ALL SELECT 'benchmark', item_id, text FROM benchmark), xi AS (SELECT *, unnest(range(0, length(text) // 50)) AS win FROM x), xw AS (SELECT source, doc_id, win, substr(text, win * 50 + 1, 50) AS \"window\" FROM xi), eg AS (SELECT source, doc_id, win, ").replace("FROM ev)", "FROM xw)").replace("SELECT doc_id, win, cand, round", "SELECT source, doc_id, win, cand, round").replace("SELECT doc_id, win, arg_max", "SELECT source, doc_id, win, arg_max") + " SELECT source, predicted, count(*) AS n_windows FROM xw LEFT JOIN pr USING (source, doc_id, win) GROUP BY ALL")
+def q_independent_sets(spark, d):
+    """Languages that the first baseline gives to windows of texts of another origin."""
+    train, _ = _parts(spark, d)
+    c = load(spark, d, "conversations").select(F.lit("conversations").alias("source"), (F.col("conv_id") * 1000 + F.col("turn")).cast("long").alias("doc_id"), "text")
+    x = text.windows(c.unionByName(load(spark, d, "benchmark").select(F.lit("benchmark").alias("source"), F.col("item_id").cast("long").alias("doc_id"), "text")))
+    pred = lid.bayes_predict(x, ["source", "doc_id", "win"], "window", lid.bayes_table(train, "lang", "window", 4), 4, lid.bayes_languages(train, "lang"))
+    return x.join(pred, ["source", "doc_id", "win"], "left").groupBy("source", "predicted").agg(F.count(F.lit(1)).alias("n_windows"))
 
 
 @query("WITH pd AS (SELECT source AS domain, lang, CASE WHEN doc_id % 7 = 0 THEN 'xx' WHEN doc_id % 11 = 0 THEN 'en' ELSE lang END AS predicted FROM documents), " + F1)

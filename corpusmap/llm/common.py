@@ -2,14 +2,10 @@
 
 from __future__ import annotations
 
-import tempfile
-import threading
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from corpusmap.session import ship
+from corpusmap.session import fresh_path, materialize, release, shared_dir, ship
 
 __all__ = ["WORD", "documents", "fresh_names", "fresh_path", "held_out", "keep_by_fate", "materialize", "release", "row_key", "shared_dir", "ship", "text_or_empty", "thinned", "without_separators", "word_count"]
 
@@ -19,29 +15,6 @@ WORD = r"[^\x20\x09-\x0D]+"
 SEPARATORS = ("\x20", "\x09", "\x0a", "\x0b", "\x0c", "\x0d")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share.
-
-    Where the session names none, a local master (tests) gets a temporary
-    folder; on a cluster that folder would be each machine's own, so it is an error.
-    """
-    sc = spark.sparkContext
-    told = sc.getConf().get("spark.checkpoint.dir")
-    if told:
-        return told
-    held = sc._jsc.sc().getCheckpointDir()
-    if held.isDefined():
-        return held.get()
-    if not sc.master.startswith("local"):
-        raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
-    sc.setCheckpointDir(tempfile.mkdtemp(prefix="corpusmap_"))
-    return sc._jsc.sc().getCheckpointDir().get()
-
-
-def fresh_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_dir(spark).rstrip('/')}/corpusmap/{name}-{uuid.uuid4().hex}"
-
-
 def fresh_names(df: DataFrame, *names: str) -> list[str]:
     """``names``, each with underscores before it until no column of ``df`` is called so, in any case of letters."""
     taken, out = {c.lower() for c in df.columns}, []
@@ -53,46 +26,6 @@ def fresh_names(df: DataFrame, *names: str) -> list[str]:
     return out
 
 
-_CLEAN_UP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
-_writing = {"lock": threading.Lock(), "n": 0, "before": None}
-
-
-def materialize(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` to the shared folder and read it back: cuts lineage, survives lost executors.
-
-    The shuffle files of the step are removed as soon as its table is written.
-    Several threads may write at once: the setting is restored by the last.
-    The table stays until :func:`release` is called on the result.
-    """
-    spark = df.sparkSession
-    path = fresh_path(spark, name)
-    with _writing["lock"]:
-        if not _writing["n"]:
-            _writing["before"] = spark.conf.get(_CLEAN_UP)
-            spark.conf.set(_CLEAN_UP, "true")
-        _writing["n"] += 1
-    try:
-        df.write.parquet(path)
-    finally:
-        with _writing["lock"]:
-            _writing["n"] -= 1
-            if not _writing["n"]:
-                spark.conf.set(_CLEAN_UP, _writing["before"])
-    found = spark.read.schema(df.schema).parquet(path)
-    found._written_to = path
-    return found
-
-
-def release(*tables: DataFrame) -> None:
-    """Delete tables that :func:`materialize` wrote. Only for those that nothing unwritten is still built on."""
-    for t in tables:
-        path = t.__dict__.pop("_written_to", None)
-        if path:
-            spark = t.sparkSession
-            where = spark._jvm.org.apache.hadoop.fs.Path(path)
-            where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
-
-
 def text_or_empty(col: str | Column = "text") -> Column:
     """Null counts as the empty text."""
     return F.coalesce(F.col(col) if isinstance(col, str) else col, F.lit(""))

@@ -331,7 +331,7 @@ def train_pass(ids: DataFrame, model: Model, p: Params) -> float | None:
     """
     spark, h = ids.sparkSession, p.states
     held = spark.sparkContext.broadcast((model.start, model.move, model.emit))
-    names = ["c", *(f"s{k}" for k in range(h))]
+    names = ["c", *(f"s{k}" for k in range(h)), "gain"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         start, move, emit = held.value
@@ -353,17 +353,19 @@ def train_pass(ids: DataFrame, model: Model, p: Params) -> float | None:
             sums = add()
         if sums is not None:
             full = np.flatnonzero(sums[2].any(axis=1))
-            keys = np.concatenate((full, [-1], -2 - np.arange(h), [-2 - h])).astype(np.int32)
-            rows = np.concatenate((sums[2][full], sums[0][None], sums[1], np.full((1, h), sums[3])))
-            yield pa.RecordBatch.from_arrays([pa.array(keys), *(pa.array(rows[:, k]) for k in range(h))], names=names)
+            keys = np.concatenate((full, [-1], -2 - np.arange(h))).astype(np.int32)
+            rows = np.concatenate((sums[2][full], sums[0][None], sums[1])).astype(np.float32)  # of one task; they are added up in double precision
+            gain = np.zeros(len(keys))
+            gain[len(full)] = sums[3]
+            yield pa.RecordBatch.from_arrays([pa.array(keys), *(pa.array(np.ascontiguousarray(rows[:, k])) for k in range(h)), pa.array(gain)], names=names)
 
-    schema = "c int, " + ", ".join(f"{n} double" for n in names[1:])
+    schema = "c int, " + ", ".join(f"{n} float" for n in names[1:-1]) + ", gain double"
     got = ids.select("ids").mapInArrow(run, schema).groupBy("c").agg(*[F.sum(n).alias(n) for n in names[1:]]).toArrow()
     held.unpersist()
     if not got.num_rows:
         return None
-    keys = got.column("c").to_numpy()
-    rows = np.stack([got.column(n).to_numpy() for n in names[1:]], axis=1)
+    keys, gain = got.column("c").to_numpy(), got.column("gain").to_numpy()
+    rows = np.stack([got.column(n).to_numpy() for n in names[1:-1]], axis=1)
     g_start, g_move, g_emit = np.zeros(h), np.zeros((h, h)), np.zeros((model.classes, h))
     g_emit[keys[keys >= 0]] = rows[keys >= 0]
     g_start[:] = rows[keys == -1].sum(axis=0)
@@ -371,7 +373,7 @@ def train_pass(ids: DataFrame, model: Model, p: Params) -> float | None:
         g_move[k] = rows[keys == -2 - k].sum(axis=0)
     maximise(model, g_start, g_move, g_emit, p.smoothing)
     model.uid = uuid.uuid4().hex
-    return float(rows[keys == -2 - h][0, 0])
+    return float(gain.sum())
 
 
 def train(docs: DataFrame, p: Params | None = None) -> tuple[Model, DataFrame]:

@@ -465,6 +465,20 @@ def test_oracles(spark):
         assert sorted(map(tuple, df.select(*want.columns).collect())) == sorted(want.fetchall())
 
 
+def test_every_stage_takes_odd_rows(odd, spark, tmp_path):
+    """Nulls, empty and long texts, repeated rows, clashing names, and no row at all."""
+    import corpus_pipeline
+
+    df, rows = odd
+    spark.createDataFrame([(i, int(t is not None), i % 2) for i, t, _ in rows if i is not None], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    for name, stage in corpus_pipeline.STAGES:
+        for docs in (df, df.limit(0)):
+            out = stage(spark, docs, str(tmp_path))
+            assert name == "packing" or out.columns == docs.columns
+            n = out.count()
+            assert n == 0 if docs is not df else n > 0
+
+
 def test_pipeline(spark):
     import corpus_pipeline
 

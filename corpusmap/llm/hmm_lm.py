@@ -31,6 +31,7 @@ from corpusmap.llm.common import documents, held_out, materialize, release, row_
 
 END = b" "  # no token holds a blank
 TAIL_CLASSES, TAIL_BYTES = 4096, 3
+BLOCK = 1024  # classes whose sums travel together between tasks
 LONG = 64  # bytes; a longer heavy token is held by its digest, so that memory is bounded
 
 
@@ -213,11 +214,18 @@ def _transfers(seqs: list[np.ndarray], move: np.ndarray, emit: np.ndarray) -> np
     at = np.concatenate(([0], np.cumsum(lens)[:-1]))
     alive = np.searchsorted(-lens, -np.arange(lens[0]), side="left")
     got = np.broadcast_to(np.eye(h), (len(seqs), h, h)).copy()
+    moved = np.empty_like(got)
     for t in range(int(lens[0])):
         n = alive[t]
-        m = got[:n] if t == 0 else (got[:n].reshape(-1, h) @ move).reshape(n, h, h)
-        m = m * emit[flat[at[:n] + t]][:, None, :]
-        got[:n] = m / m.sum(axis=(1, 2), keepdims=True)
+        now = got[:n]
+        if t:
+            np.matmul(now.reshape(-1, h), move, out=moved[:n].reshape(-1, h))
+            np.multiply(moved[:n], emit[flat[at[:n] + t]][:, None, :], out=now)
+        else:
+            now *= emit[flat[at[:n]]][:, None, :]
+        if t % 8 == 7:  # eight emissions stay far above the smallest double
+            now /= now.sum(axis=(1, 2), keepdims=True)
+    got /= got.sum(axis=(1, 2), keepdims=True)
     out = np.empty_like(got)
     out[order] = got
     return out
@@ -324,14 +332,30 @@ def encoded(texts: DataFrame, model: Model) -> DataFrame:
     return texts.mapInArrow(run, "ids binary, drawn boolean")
 
 
+def _packed(sums: np.ndarray, kind: str, first: int = 0) -> list[tuple[int, bytes, bytes]]:
+    """Rows of ``sums`` that are not all zero, by blocks of BLOCK classes: (block, places in it, values)."""
+    out = []
+    for at in range(0, len(sums), BLOCK):
+        part = sums[at: at + BLOCK]
+        full = np.flatnonzero(part.any(axis=1))
+        if len(full):
+            out.append((first + at // BLOCK, full.astype("<u2").tobytes(), part[full].astype(kind).tobytes()))
+    return out
+
+
+def _blocks(rows: list[tuple[int, bytes, bytes]]) -> pa.RecordBatch:
+    block, at, sums = zip(*rows, strict=True) if rows else ((), (), ())
+    return pa.RecordBatch.from_arrays([pa.array(block, pa.int32()), pa.array(at, pa.binary()), pa.array(sums, pa.binary())], names=["block", "at", "sums"])
+
+
 def train_pass(ids: DataFrame, model: Model, p: Params) -> float | None:
-    """One Baum-Welch iteration over every text of ``ids``; expected counts are added up by class across partitions.
+    """One Baum-Welch iteration over every text of ``ids``; expected counts are added up by blocks of classes across partitions.
 
     Returns the natural log-likelihood of the texts before it, none where there is no text.
     """
     spark, h = ids.sparkSession, p.states
     held = spark.sparkContext.broadcast((model.start, model.move, model.emit))
-    names = ["c", *(f"s{k}" for k in range(h)), "gain"]
+    ship(spark)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         start, move, emit = held.value
@@ -352,28 +376,40 @@ def train_pass(ids: DataFrame, model: Model, p: Params) -> float | None:
         if seqs:
             sums = add()
         if sums is not None:
-            full = np.flatnonzero(sums[2].any(axis=1))
-            keys = np.concatenate((full, [-1], -2 - np.arange(h))).astype(np.int32)
-            rows = np.concatenate((sums[2][full], sums[0][None], sums[1])).astype(np.float32)  # of one task; they are added up in double precision
-            gain = np.zeros(len(keys))
-            gain[len(full)] = sums[3]
-            yield pa.RecordBatch.from_arrays([pa.array(keys), *(pa.array(np.ascontiguousarray(rows[:, k])) for k in range(h)), pa.array(gain)], names=names)
-
-    schema = "c int, " + ", ".join(f"{n} float" for n in names[1:-1]) + ", gain double"
-    got = ids.select("ids").mapInArrow(run, schema).groupBy("c").agg(*[F.sum(n).alias(n) for n in names[1:]]).toArrow()
+            whole = np.concatenate((sums[0], sums[1].ravel(), [sums[3]]))
+            yield _blocks([(-1, b"", whole.astype("<f8").tobytes())])
+            yield _blocks(_packed(sums[2], "<f4"))  # of one task; they are added up in double precision
+
+    def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        whole, held_sums = None, {}
+        for batch in batches:
+            for block, at, part in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if block < 0:
+                    part = np.frombuffer(part, dtype="<f8")
+                    whole = part if whole is None else whole + part
+                else:
+                    into = held_sums.setdefault(block, np.zeros((BLOCK, h)))
+                    into[np.frombuffer(at, dtype="<u2")] += np.frombuffer(part, dtype="<f4").reshape(-1, h)
+        if whole is not None:
+            yield _blocks([(-1, b"", whole.astype("<f8").tobytes())])
+        for block, into in held_sums.items():
+            yield _blocks(_packed(into, "<f8", block))
+
+    schema = "block int, at binary, sums binary"
+    got = ids.select("ids").mapInArrow(run, schema).repartition("block").mapInArrow(merge, schema).toArrow()
     held.unpersist()
     if not got.num_rows:
         return None
-    keys, gain = got.column("c").to_numpy(), got.column("gain").to_numpy()
-    rows = np.stack([got.column(n).to_numpy() for n in names[1:-1]], axis=1)
-    g_start, g_move, g_emit = np.zeros(h), np.zeros((h, h)), np.zeros((model.classes, h))
-    g_emit[keys[keys >= 0]] = rows[keys >= 0]
-    g_start[:] = rows[keys == -1].sum(axis=0)
-    for k in range(h):
-        g_move[k] = rows[keys == -2 - k].sum(axis=0)
+    g_emit = np.zeros((model.classes, h))
+    for block, at, part in zip(*(c.to_pylist() for c in got.columns), strict=True):
+        part = np.frombuffer(part, dtype="<f8")
+        if block < 0:
+            g_start, g_move, gain = part[:h], part[h:-1].reshape(h, h), part[-1]
+        else:
+            g_emit[block * BLOCK + np.frombuffer(at, dtype="<u2")] = part.reshape(-1, h)
     maximise(model, g_start, g_move, g_emit, p.smoothing)
     model.uid = uuid.uuid4().hex
-    return float(gain.sum())
+    return float(gain)
 
 
 def train(docs: DataFrame, p: Params | None = None) -> tuple[Model, DataFrame]:

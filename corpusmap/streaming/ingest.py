@@ -23,6 +23,14 @@ def keep_first(feed: DataFrame, keys: list[str]) -> DataFrame:
     return feed.dropDuplicatesWithinWatermark(keys)
 
 
+def keep_least(feed: DataFrame, keys: list[str], order: str) -> DataFrame:
+    """The smallest ``order`` of each key so far, whatever the order in which rows, files and batches come; for :func:`run_updates`.
+
+    One state per key, as for a stream without a watermark; a null ``order`` comes last.
+    """
+    return feed.groupBy(*keys).agg(F.min(order).alias(order))
+
+
 def keep_singletons(feed: DataFrame, keys: list[str], time: str = "ts", period: str = "1 day") -> DataFrame:
     """Keys that one period holds exactly once, given out when the watermark has passed the period."""
     return (feed.groupBy(F.window(time, period).alias("period"), *keys).agg(F.count(F.lit(1)).alias("n")).filter("n = 1")
@@ -42,6 +50,20 @@ def run_available(out: DataFrame, path: str, checkpoint: str, mode: str = "appen
     query.awaitTermination()
 
 
+def run_updates(least: DataFrame, path: str, checkpoint: str) -> None:
+    """Write what :func:`keep_least` changes to a folder per micro-batch; a retried batch replaces its own, a second run goes on from the checkpoint."""
+    def batch(df: DataFrame, n: int) -> None:
+        df.write.mode("overwrite").parquet(f"{path}/batch={n}")
+
+    query = least.writeStream.option("checkpointLocation", checkpoint).outputMode("update").foreachBatch(batch).trigger(availableNow=True).start()
+    query.awaitTermination()
+
+
+def read_least(spark: SparkSession, path: str, least: DataFrame, keys: list[str], order: str) -> DataFrame:
+    """What :func:`run_updates` wrote, brought to one row per key."""
+    return spark.read.schema(least.schema).parquet(f"{path}/batch=*").groupBy(*keys).agg(F.min(order).alias(order))
+
+
 def ingest_periods(feed: DataFrame, path: str, checkpoint: str, survivors) -> None:
     """Each micro-batch is one or more whole periods: ``survivors`` is applied and their partitions are replaced, so a retry changes nothing."""
     def batch(df: DataFrame, _: int) -> None:

@@ -89,21 +89,34 @@ def bayes_scores(samples: DataFrame, key: list[str], text: str, table: DataFrame
 
     One row per gram of a sample meets the table; its sums are combined in
     the task where the table is broadcast, so one row per sample is shuffled,
-    not one per language.
+    not one per language. Sums are exact and rounded once: neither the order
+    of the grams nor the partitions change them.
     """
     ns = (n,) if isinstance(n, int) else tuple(n)
     grams = samples.select(*key, F.explode(_grams(F.lower(F.col(text)), ns, of)).alias("gram"))
-    met = grams.join(_small(table, len(langs)), "gram")
-    sums = met.groupBy(*key).agg(*[F.sum(F.col("logp")[i]).alias(f"s{i}") for i in range(len(langs))])
-    return sums.select(*key, F.array(*[F.round(F.col(f"s{i}"), 6) for i in range(len(langs))]).alias("s"))
+    halves = table.select("gram", F.transform("logp", lambda x: F.floor(x * UNIT)).alias("whole"), F.transform("logp", lambda x: x * UNIT - F.floor(x * UNIT)).alias("rest"))
+    met = grams.join(_small(halves, 2 * len(langs)), "gram")
+    sums = met.groupBy(*key).agg(*[F.sum(F.col(c)[i]).alias(f"{c}{i}") for i in range(len(langs)) for c in ("whole", "rest")])
+    return sums.select(*key, _rounded_sums(len(langs)).alias("s"))
+
+
+#: log-probabilities are added in whole units of 1 / UNIT and their rests apart; both sums are exact in double precision
+UNIT = float(1 << 30)
+
+
+def _rounded_sums(n_langs: int) -> Column:
+    """Scores from the columns ``whole<i>`` and ``rest<i>``."""
+    return F.array(*[F.round((F.col(f"whole{i}") + F.col(f"rest{i}")) / UNIT, 6) for i in range(n_langs)])
+
+
+def _best_label(s: Column, langs: list[str]) -> Column:
+    return F.element_at(F.array(*[F.lit(v) for v in langs]), F.array_position(s, F.array_max(s)).cast("int"))  # the first place of the largest
 
 
 def bayes_predict(samples: DataFrame, key: list[str], text: str, table: DataFrame, n: int | tuple[int, ...], langs: list[str], of=ngrams) -> DataFrame:
     """``key, predicted, score``: the largest sum wins, ties to the smaller label."""
     scores = bayes_scores(samples, key, text, table, n, langs, of)
-    best = F.array_max("s")
-    label = F.element_at(F.array(*[F.lit(v) for v in langs]), F.array_position("s", best).cast("int"))  # the first place of the largest
-    return scores.select(*key, label.alias("predicted"), best.alias("score"))
+    return scores.select(*key, _best_label(F.col("s"), langs).alias("predicted"), F.array_max("s").alias("score"))
 
 
 def information_gain(train: DataFrame, label: str, text: str, n: int | tuple[int, ...], least: int = 5, of=ngrams) -> DataFrame:

@@ -202,3 +202,16 @@ def test_udaf_and_sql_surface(spark):
     register_sql(spark, "/root/testdata/sf0.001")
     assert spark.sql("SELECT count(*) FROM corpus_documents d, LATERAL text_windows(d.text, 50)").first()[0] == text.windows(spark.table("corpus_documents").select("doc_id", "text")).count()
     assert np.isfinite(spark.table("corpus_unigrams").agg(F.sum("n")).first()[0])
+
+
+def test_bayes_scores_do_not_depend_on_the_order_of_grams(spark):
+    """One set of grams in many orders, its sum next to half a millionth: plain addition gives two scores."""
+    rng = random.Random(5)
+    logp = {chr(97 + i): -rng.random() * 9 for i in range(25)}
+    grams = [rng.choice("abcdefghijklmnopqrstuvwxy") for _ in range(60)]
+    logp["z"] = -(500 + 5e-7) - math.fsum(map(logp.get, grams))
+    grams.append("z")
+    table = spark.createDataFrame([(g, [v]) for g, v in logp.items()], "gram string, logp array<double>")
+    rows = spark.createDataFrame([(i, "".join(rng.sample(grams, len(grams)))) for i in range(400)], "k int, t string")
+    found = {r["s"][0] for r in lid.bayes_scores(rows, ["k"], "t", table, 1, ["en"]).collect()}
+    assert len(found) == 1 and abs(found.pop() - math.fsum(map(logp.get, grams))) < 1e-6

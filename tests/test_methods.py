@@ -215,3 +215,45 @@ def test_bayes_scores_do_not_depend_on_the_order_of_grams(spark):
     rows = spark.createDataFrame([(i, "".join(rng.sample(grams, len(grams)))) for i in range(400)], "k int, t string")
     found = {r["s"][0] for r in lid.bayes_scores(rows, ["k"], "t", table, 1, ["en"]).collect()}
     assert len(found) == 1 and abs(found.pop() - math.fsum(map(logp.get, grams))) < 1e-6
+
+
+def _odd_windows(spark, n=300):
+    rng = random.Random(1)
+    words = {"en": ["the", "and", "House"], "fr": ["été", "les", "Maison"], "de": ["straße", "und", "Haus"], None: ["x", "zz"]}
+    rows = [(i // 2 if i % 11 else None, i % 3, lang := rng.choice(list(words)), rng.choice(["a", "b", None]), None if i % 29 == 0 else "" if i % 31 == 0 else " ".join(rng.choices(words[lang], k=6))) for i in range(n)]
+    return spark.createDataFrame(rows, "doc_id int, win int, lang string, domain string, window string").repartition(3)
+
+
+def test_selecting_model_of_one_pass_equals_its_parts(spark):
+    """Null and empty texts, null labels, several bytes a letter; no row per gram leaves a task."""
+    rows, ns = _odd_windows(spark), (1, 2, 3, 4)
+    counts = lid.byte_gram_counts(rows, ["lang", "domain"], "window")
+    assert "Generate" not in counts._jdf.queryExecution().executedPlan().toString()
+    grams = F.concat(*[lid.byte_ngrams(F.lower("window"), n) for n in ns])
+    n = rows.select("lang", "domain", F.explode(grams).alias("gram")).groupBy("gram", "lang", "domain").agg(F.count(F.lit(1)).alias("n"))
+    k = rows.select("lang", "domain", F.explode(F.array_distinct(grams)).alias("gram")).groupBy("gram", "lang", "domain").agg(F.count(F.lit(1)).alias("k"))
+    of = lambda df, c: sorted(((r["gram"], r["lang"] or "", r["domain"] or "", r[c]) for r in df.collect()))
+    held = counts.filter("gram <> ''")
+    assert of(held, "n") == of(n, "n") and of(held, "k") == of(k, "k")
+    assert counts.filter("gram = ''").agg(F.sum("k")).first()[0] == rows.count()
+    known = rows.filter("lang is not null and domain is not null")
+    table, langs = lid.selecting_model(known, "window", 150)
+    features = lid.selected_features(known, "window", ns, 150, of=lid.byte_ngrams)
+    want = lid.bayes_table(known, "lang", "window", ns, features=features, of=lid.byte_ngrams)
+    assert {r[0]: r[1] for r in table.collect()} == {r[0]: r[1] for r in want.collect()} and langs == ["de", "en", "fr"]
+    assert lid.selecting_model(rows, "window", 150)[1] == langs
+
+
+@pytest.mark.parametrize("unique", [False, True])
+def test_prediction_inside_the_task_equals_the_join(spark, unique):
+    rows = _odd_windows(spark)
+    rows = rows.dropDuplicates(["doc_id", "win"]) if unique else rows.unionByName(rows.limit(50))
+    rows = rows.localCheckpoint()
+    train = rows.filter("lang is not null and domain is not null")
+    table, langs = lid.selecting_model(train, "window", 100)
+    got = lid.with_prediction(rows, ["doc_id", "win"], "window", table, langs, unique=unique)
+    want = rows.join(lid.bayes_predict(rows, ["doc_id", "win"], "window", table, (1, 2, 3, 4), langs, of=lid.byte_ngrams), ["doc_id", "win"], "left")
+    cols = ["doc_id", "win", "lang", "domain", "predicted"]
+    assert sorted(map(str, got.select(*cols).collect())) == sorted(map(str, want.select(*cols).collect()))
+    if unique:
+        assert "Exchange hash" not in got._jdf.queryExecution().executedPlan().toString()

@@ -218,29 +218,46 @@ def _kept(words: list[bytes], spans: list) -> tuple[int, int, bytes, list[list[i
     return len(words), int((~stay).sum()), _digest([w for w, k in zip(words, stay.tolist(), strict=True) if k]), edge.reshape(-1, 2).tolist()
 
 
-def _window_digests(waiting: DataFrame, window: int) -> DataFrame:
-    """``(k1, k2, sha)`` of every repeated window, read at its source."""
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            out = [(s["k1"], s["k2"], _digest(words[s["start"]: s["start"] + window])) for t, starts in zip(b.column(0), b.column(1).to_pylist(), strict=True) if starts for words in [t.as_py().split()] for s in starts]
-            cols = list(zip(*out, strict=True)) if out else [(), (), ()]
-            yield pa.RecordBatch.from_arrays([pa.array(cols[0], type=pa.int64()), pa.array(cols[1], type=pa.int64()), pa.array(cols[2], type=pa.binary())], names=["k1", "k2", "sha"])
-
-    return waiting.select("text", "starts").mapInArrow(run, "k1 long, k2 long, sha binary")
+def _finish(waiting: DataFrame, window: int) -> DataFrame:
+    """``(doc_id, r1, r2, text, spans, starts)`` -> the settled rows, and a row ``(k1, k2, d1, d2, d3, d4)`` for every repeated window, read at its source.
 
+    The digest of a window comes as four longs, which a hash aggregate can hold. ``k1`` is null in settled rows only.
+    """
+    marks = ["k1", "k2", "d1", "d2", "d3", "d4"]
+    names = ["doc_id", "r1", "r2", "n_words", "n_removed", "sha", "spans", *marks]
+    kinds = [pa.int64(), pa.int64(), pa.binary(), pa.list_(pa.list_(pa.int32()))]
 
-def _finish(waiting: DataFrame, window: int) -> DataFrame:
-    """``(doc_id, r1, r2, text, spans, starts)`` -> the settled row."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            out = []
-            for t, spans, starts in zip(*(b.column(i).to_pylist() for i in (3, 4, 5)), strict=True):
-                out.append(_kept(t.split(), [*spans, *([s["start"], s["start"] + window] for s in starts or ())]))
-            n, gone, sha, cut = zip(*out, strict=True) if out else ((), (), (), ())
-            yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array(n, type=pa.int64()), pa.array(gone, type=pa.int64()), pa.array(sha, type=pa.binary()), pa.array(cut, type=pa.list_(pa.list_(pa.int32())))], names=["doc_id", "r1", "r2", "n_words", "n_removed", "sha", "spans"])
+            for at in range(0, b.num_rows, 256):
+                part = b.slice(at, 256)
+                out, keys, digests = [], [], []
+                for t, spans, starts in zip(part.column(3), part.column(4).to_pylist(), part.column(5), strict=True):
+                    words, first = t.as_py().split(), []
+                    if starts.is_valid and len(starts):
+                        first, *key = (starts.values.field(i).to_numpy(zero_copy_only=False) for i in range(3))
+                        first = first.tolist()
+                        keys.append(key)
+                        digests += [_digest(words[i: i + window]) for i in first]
+                    out.append(_kept(words, [*spans, *([i, i + window] for i in first)]))
+                cols = zip(*out, strict=True) if out else ((), (), (), ())
+                yield pa.RecordBatch.from_arrays([*part.columns[:3], *(pa.array(x, type=k) for x, k in zip(cols, kinds, strict=True)), *(pa.nulls(len(out), pa.int64()) for _ in marks)], names=names)
+                if keys:
+                    n, told = len(digests), np.frombuffer(b"".join(digests), dtype="<i8").reshape(-1, 4)
+                    heads = [pa.nulls(n, x.type) for x in part.columns[:3]]
+                    yield pa.RecordBatch.from_arrays([*heads, *(pa.nulls(n, k) for k in kinds), *(pa.array(np.concatenate([k[i] for k in keys])) for i in (0, 1)), *(pa.array(told[:, i]) for i in range(4))], names=names)
 
     head = waiting.select("doc_id", "r1", "r2").schema.simpleString()[7:-1]
-    return waiting.mapInArrow(run, f"{head}, n_words long, n_removed long, sha binary, spans array<array<int>>")
+    return waiting.mapInArrow(run, f"{head}, n_words long, n_removed long, sha binary, spans array<array<int>>, {', '.join(f'{m} long' for m in marks)}")
+
+
+def _any(rows: DataFrame) -> bool:
+    """Whether there is a row; through a written table, so that the shuffle files of the question go at once."""
+    asked = materialize(rows.select(F.lit(1).alias("one")).limit(1), "any")
+    try:
+        return bool(asked.collect())
+    finally:
+        release(asked)
 
 
 def remove_repeats(docs: DataFrame, window: int = WINDOW, k: int = NODE_WORDS, seeds: tuple = (11, 12, 13)) -> DataFrame:
@@ -259,28 +276,32 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, k: int = NODE_WORDS, s
     ship(spark)
     keyed = _keyed(docs)
     for seed in seeds:
-        seen = node_occurrences(keyed, window, k, seed)
+        seen = materialize(node_occurrences(keyed, window, k, seed), "occurrences")  # read twice
         nodes = (seen.groupBy("h").agg(F.count(F.lit(1)).alias("n"), F.min("ctx").alias("a"), F.max("ctx").alias("b"))
                  .filter("n > 1").select("h", (F.col("a") == F.col("b")).alias("solid")))
         nodes = materialize(nodes, "nodes")  # a table of its own: joins with it can be split where a node is hot
         lists = seen.drop("ctx").join(nodes, "h").groupBy("r1", "r2").agg(F.array_sort(F.collect_set(F.struct("pos", "solid"))).alias("nodes"))
         joined = keyed.join(lists, ["r1", "r2"], "left").select("doc_id", "r1", "r2", "text", "nodes")
         found = materialize(_paths(joined, window, k, seed), "paths")
+        release(seen, nodes)
         paths = found.filter("kind = 3").groupBy("k1").agg(F.min("sha").alias("a"), F.max("sha").alias("b"), F.count(F.lit(1)).alias("n"))
-        if paths.filter("a <> b or n < 2").limit(1).collect():
-            release(nodes, found)
+        if _any(paths.filter("a <> b or n < 2")):
+            release(found)
             continue
         windows = found.filter("kind = 2").select("r1", "r2", "start", "k1", "k2")
         twice = materialize(windows.groupBy("k1", "k2").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").drop("n"), "windows")
         starts = materialize(windows.join(twice, ["k1", "k2"]).groupBy("r1", "r2").agg(F.collect_set(F.struct("start", "k1", "k2")).alias("starts")), "starts")
         waiting = found.filter("kind = 1").select("doc_id", "r1", "r2", "text", "spans").join(starts, ["r1", "r2"], "left").select("doc_id", "r1", "r2", "text", "spans", "starts")
-        shas = _window_digests(waiting.filter("starts is not null"), window).groupBy("k1", "k2").agg(F.min("sha").alias("a"), F.max("sha").alias("b"))
-        if not shas.filter("a <> b").limit(1).collect():
+        ended = materialize(_finish(waiting, window), "ended")
+        release(twice, starts)
+        told = ended.filter("k1 is not null").groupBy("k1", "k2").agg(*[f(f"d{i}").alias(f"{n}{i}") for i in range(1, 5) for n, f in (("a", F.min), ("b", F.max))])
+        if not _any(told.filter(" or ".join(f"a{i} <> b{i}" for i in range(1, 5)))):
             break
-        release(nodes, found, twice, starts)
+        release(found, ended)
     else:
         raise RuntimeError("paths and windows could not be verified with any seed")
-    return found.filter("kind = 0").select("doc_id", "r1", "r2", "n_words", "n_removed", "sha", "spans").unionByName(_finish(waiting, window))
+    names = ["doc_id", "r1", "r2", "n_words", "n_removed", "sha", "spans"]
+    return found.filter("kind = 0").select(*names).unionByName(ended.filter("k1 is null").select(*names))
 
 
 def without_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:

@@ -23,6 +23,7 @@ from corpusmap.llm.common import documents, materialize, ship, text_or_empty
 WINDOW = 2048
 END_ID = 1
 CACHE = 500_000
+SLICE = 512  # documents whose ids are held at once
 
 
 class CapacityTree:
@@ -194,7 +195,7 @@ def pieces(docs: DataFrame, path: str, window: int = WINDOW, with_ids: bool = Fa
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode = _encoder(path)
-        for b in batches:
+        for b in (whole.slice(at, SLICE) for whole in batches for at in range(0, whole.num_rows, SLICE)):
             rows: list[tuple] = []
             for doc, text in zip(b.column(0).to_pylist(), b.column(1), strict=True):
                 ids = encode(text.as_py()) + end

@@ -2,12 +2,18 @@
 
 from __future__ import annotations
 
+import ctypes
+import functools
+import sys
+from collections.abc import Callable, Iterator
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from corpusmap.session import fresh_path, materialize, release, shared_dir, ship
 
-__all__ = ["WORD", "documents", "fresh_names", "fresh_path", "held_out", "keep_by_fate", "materialize", "release", "row_key", "shared_dir", "ship", "text_or_empty", "thinned", "without_separators", "word_count"]
+__all__ = ["WORD", "documents", "fresh_names", "fresh_path", "held_out", "keep_by_fate", "lean", "materialize", "release", "row_key", "shared_dir", "ship", "short_batches", "text_or_empty", "thinned", "without_separators", "word_count"]
 
 #: fixed value: the separators between words, everywhere in this subpackage
 WORD = r"[^\x20\x09-\x0D]+"
@@ -15,6 +21,45 @@ WORD = r"[^\x20\x09-\x0D]+"
 SEPARATORS = ("\x20", "\x09", "\x0a", "\x0b", "\x0c", "\x0d")
 
 
+#: what operators keep in a worker process from task to task, under these names in ``sys``
+KEPT = ("_corpusmap_encoders", "_corpusmap_hmm")
+#: rows of an Arrow batch in stages that carry whole rows
+BATCH_ROWS = 1024
+
+
+def lean(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], keeps: str = "") -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """``run`` in a worker that outlives its tasks: what other operators left there goes first, free memory goes back to the system at the end.
+
+    Of ``KEPT`` only ``keeps`` stays.
+    """
+
+    @functools.wraps(run)
+    def over(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for name in KEPT:
+            if name != keeps:
+                sys.__dict__.pop(name, None)
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc alone has it
+            if trim is not None:
+                trim(0)
+
+    return over
+
+
+def short_batches(spark: SparkSession) -> None:
+    """Arrow batches of this session hold at most BATCH_ROWS rows from here on; a smaller setting stays.
+
+    Executors and their workers hold some batches of whole rows at once for
+    each task, outside the heap.
+    """
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key)) <= BATCH_ROWS:
+        spark.conf.set(key, str(BATCH_ROWS))
+
+
 def fresh_names(df: DataFrame, *names: str) -> list[str]:
     """``names``, each with underscores before it until no column of ``df`` is called so, in any case of letters."""
     taken, out = {c.lower() for c in df.columns}, []

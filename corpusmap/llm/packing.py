@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from corpusmap.llm.common import documents, materialize, ship, text_or_empty
+from corpusmap.llm.common import documents, lean, materialize, ship, text_or_empty
 
 WINDOW = 2048
 END_ID = 1
@@ -176,7 +176,7 @@ class CachedEncoder:
 
 
 def _encoder(path: str) -> CachedEncoder:
-    """One per worker process: workers outlive tasks."""
+    """One per worker process: workers outlive tasks. Tasks of other operators drop it."""
     held = sys.__dict__.setdefault("_corpusmap_encoders", {})
     if path not in held:
         held[path] = CachedEncoder(path)
@@ -210,7 +210,7 @@ def pieces(docs: DataFrame, path: str, window: int = WINDOW, with_ids: bool = Fa
     kept = docs.select("doc_id", text_or_empty("text").alias("text"))
     like = kept.select("doc_id").withColumns({n: F.lit(0).cast("long") for n in names[1:5]})
     schema = (like.withColumn("ids", F.array(F.lit(0))) if with_ids else like).schema
-    return kept.mapInArrow(run, schema)
+    return kept.mapInArrow(lean(run, "_corpusmap_encoders"), schema)
 
 
 def pack(found: DataFrame, window: int = WINDOW, group_tokens: int = 4_000_000) -> DataFrame:

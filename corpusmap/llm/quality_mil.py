@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from corpusmap.llm.common import documents, fresh_names, held_out, release, ship, text_or_empty
+from corpusmap.llm.common import documents, fresh_names, held_out, lean, release, ship, text_or_empty
 from corpusmap.llm.labelled import labelled_sample
 
 PASSAGE_WORDS = 64
@@ -206,7 +206,7 @@ def train(docs: DataFrame, labels: DataFrame, allowed=None, p: MilParams | None
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *(pa.array(c, type=pa.binary()) for c in (zip(*rows, strict=True) if rows else [()] * 4))], names=["doc_id", "y", *names])
 
     head = sample.select("doc_id", "y").schema.simpleString()[7:-1]
-    got = sample.mapInArrow(run, f"{head}, " + ", ".join(f"{n} binary" for n in names)).toArrow().sort_by([("doc_id", "ascending"), ("x", "ascending")])
+    got = sample.mapInArrow(lean(run), f"{head}, " + ", ".join(f"{n} binary" for n in names)).toArrow().sort_by([("doc_id", "ascending"), ("x", "ascending")])
     bags = [np.frombuffer(x, dtype=np.float32).reshape(-1, N_FEATURES) for x in got.column("x").to_pylist()]
     pairs = [Grams(np.frombuffer(i, dtype=np.uint16), np.frombuffer(s, dtype="<f2").astype(np.float32), np.frombuffer(a, dtype="<i4").astype(np.int64)) for i, s, a in zip(*(got.column(n).to_pylist() for n in names[1:]), strict=True)]
     release(sample)
@@ -237,7 +237,7 @@ def score(docs: DataFrame, model: dict[str, np.ndarray], keep: list[str] | None
                     bags, at = [], []
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(np.concatenate(out) if out else np.zeros(0))], names=[*keep, name])
 
-    return kept.mapInArrow(run, kept.drop(text).withColumn(name, F.lit(0.0)).schema)
+    return kept.mapInArrow(lean(run), kept.drop(text).withColumn(name, F.lit(0.0)).schema)
 
 
 def accepted(docs: DataFrame, labels: DataFrame, threshold: float = 0.3) -> DataFrame:

@@ -21,6 +21,7 @@ import zlib
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -32,6 +33,7 @@ from corpusmap.llm.common import documents, held_out, materialize, release, row_
 END = b" "  # no token holds a blank
 TAIL_CLASSES, TAIL_BYTES = 4096, 3
 BLOCK = 1024  # classes whose sums travel together between tasks
+GROUP, BUFFER = 1 << 19, 1 << 21  # tokens worked abreast, and tokens held to choose sequences of like lengths from
 LONG = 64  # bytes; a longer heavy token is held by its digest, so that memory is bounded
 
 
@@ -97,19 +99,19 @@ def _index(model: Model) -> dict[bytes, int]:
     return held[model.uid]
 
 
-def encode(text: bytes, index: dict[bytes, int], first_tail: int) -> tuple[list[int], list[bytes]]:
+def encode(text: bytes, index: dict[bytes, int], first_tail: int) -> tuple[np.ndarray, list[bytes]]:
     """Classes of all tokens, the end last, and the tokens that are not heavy."""
     words = tokens_of(text)
-    ids = [index.get(w, -1) for w in words]
+    words.append(END)
+    ids = np.fromiter(map(index.get, words, repeat(-1)), dtype="<i4", count=len(words))
     tail = []
-    if -1 in ids:
-        for i, c in enumerate(ids):
-            if c < 0 and len(words[i]) > LONG:
-                c = ids[i] = index.get(held_as(words[i]), -1)
-            if c < 0:
-                ids[i] = first_tail + tail_class(words[i])
-                tail.append(words[i])
-    ids.append(index[END])
+    for i in np.flatnonzero(ids < 0).tolist():
+        w = words[i]
+        c = index.get(held_as(w), -1) if len(w) > LONG else -1
+        if c < 0:
+            c = first_tail + tail_class(w)
+            tail.append(w)
+        ids[i] = c
     return ids, tail
 
 
@@ -126,23 +128,67 @@ class _Abreast:
         self.ids = np.empty_like(flat)
         self.ids[slot] = flat
 
-    def forward(self, enter: np.ndarray, move: np.ndarray, emit: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Scaled forward messages, scales, and what each token emits; ``enter`` is what comes before the first tokens."""
-        out = emit[self.ids]
-        a, s, ones = np.empty_like(out), np.empty(len(out)), np.ones(emit.shape[1])
+    def unscaled(self, t: int) -> int:
+        """How many sequences keep their messages as they are at step ``t``: none at every fourth, else those that go on.
+
+        Four emissions stay far above the smallest double; where a message is
+        left unscaled its scale is one.
+        """
+        return 0 if t % 4 == 3 else int(self.alive[t + 1]) if t + 1 < len(self.alive) else 0
+
+    def forward(self, enter: np.ndarray, move: np.ndarray, emit: np.ndarray, room: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Scaled forward messages, scales, and what each token emits; ``enter`` is what comes before the first tokens.
+
+        Here and below arrays lie state by state: ``emit`` is states by
+        classes, messages are states by tokens, ``enter`` is states by sequences.
+        """
+        h, size = emit.shape[0], len(self.ids)
+        out, a, s = _by_state(h, size, room, "out"), _by_state(h, size, room, "a"), np.ones(size)
+        for k in range(h):
+            np.take(emit[k], self.ids, out=out[k], mode="clip")
+        step = np.ascontiguousarray(move.T)
         for t in range(len(self.alive)):
             n, lo = self.alive[t], self.off[t]
-            now = a[lo: lo + n]
+            now, scale = a[:, lo: lo + n], s[lo: lo + n]
             if t:
                 before = self.off[t - 1]
-                np.matmul(a[before: before + n], move, out=now)
-                now *= out[lo: lo + n]
+                np.matmul(step, a[:, before: before + n], out=now)
+                now *= out[:, lo: lo + n]
             else:
-                np.multiply(enter, out[:n], out=now)
-            scale = s[lo: lo + n] = now @ ones
-            now /= scale[:, None]
+                np.multiply(enter, out[:, :n], out=now)
+            keep = self.unscaled(t)
+            if keep < n:
+                now, scale = now[:, keep:], scale[keep:]
+                np.add.reduce(now, axis=0, out=scale)
+                now /= scale
         return a, s, out
 
+    def scales(self, start: np.ndarray, move: np.ndarray, emit: np.ndarray) -> np.ndarray:
+        """The scales of :meth:`forward` alone; messages are held for one step."""
+        s, step, now = np.ones(len(self.ids)), np.ascontiguousarray(move.T), None
+        for t in range(len(self.alive)):
+            n, lo = self.alive[t], self.off[t]
+            out = np.take(emit, self.ids[lo: lo + n], axis=1)
+            out *= start[:, None] if now is None else step @ now[:, :n]
+            now, keep = out, self.unscaled(t)
+            if keep < n:
+                out, scale = out[:, keep:], s[lo + keep: lo + n]
+                np.add.reduce(out, axis=0, out=scale)
+                out /= scale
+        return s
+
+
+def _by_state(states: int, size: int, room: dict, name: str) -> np.ndarray:
+    """Room for ``states`` rows of ``size``, kept in ``room`` for the next call: fresh pages cost more than the work in them.
+
+    Rows begin at different places of a page, so that they do not crowd each other out of the cache.
+    """
+    wide = (size // 512 + 1) * 512 + 24
+    if name not in room or len(room[name]) < states * wide:
+        room.pop(name, None)
+        room[name] = np.empty(states * wide)
+    return room[name][: states * wide].reshape(states, wide)[:, :size]
+
 
 def forward(seqs: list[np.ndarray], start: np.ndarray, move: np.ndarray, emit: np.ndarray) -> np.ndarray:
     """Natural log-likelihood of each sequence, exactly, by the scaled forward recursion, all sequences abreast."""
@@ -151,19 +197,19 @@ def forward(seqs: list[np.ndarray], start: np.ndarray, move: np.ndarray, emit: n
     if not len(order) or not len(seqs[order[0]]):
         return out
     side = _Abreast([seqs[i] for i in order])
-    _, s, _ = side.forward(start, move, emit)
+    s = side.scales(start, move, np.ascontiguousarray(emit.T))
     owner = np.arange(len(s)) - np.repeat(side.off[:-1], side.alive)
     out[order] = np.bincount(owner, weights=np.log(s), minlength=len(order))
     return out
 
 
-def expected_counts(seqs: list[np.ndarray], first: list[bool], start, move, emit, group: int = 1 << 19):
+def expected_counts(seqs: list[np.ndarray], first: list[bool], start, move, emit, group: int = GROUP):
     """Baum-Welch expectations: (start counts, transition counts, emission counts by class); first: counts towards start."""
-    return _counts(seqs, first, start, move, emit, group)[:3]
+    return _counts(seqs, first, start, move, np.ascontiguousarray(emit.T), group)[:3]
 
 
-def _counts(seqs: list[np.ndarray], first: list[bool], start, move, emit, group: int = 1 << 19, before: np.ndarray | None = None, after: np.ndarray | None = None):
-    """:func:`expected_counts` and the log-likelihood.
+def _counts(seqs: list[np.ndarray], first: list[bool], start, move, emit, group: int = GROUP, before: np.ndarray | None = None, after: np.ndarray | None = None, room: dict | None = None):
+    """:func:`expected_counts` and the log-likelihood; ``emit`` is states by classes.
 
     ``before`` holds the forward message at the token that precedes each
     sequence (used where ``first`` is false), ``after`` the backward message at
@@ -172,6 +218,7 @@ def _counts(seqs: list[np.ndarray], first: list[bool], start, move, emit, group:
     h = len(start)
     g_start, g_move, g_emit, gain = np.zeros(h), np.zeros((h, h)), np.zeros_like(emit), 0.0
     order = sorted(range(len(seqs)), key=lambda i: -len(seqs[i]))
+    room = {} if room is None else room
     while order:
         sizes = np.cumsum([len(seqs[i]) for i in order])
         n_some = max(1, int(np.searchsorted(sizes, group, side="right")))
@@ -179,59 +226,69 @@ def _counts(seqs: list[np.ndarray], first: list[bool], start, move, emit, group:
         if not len(seqs[some[0]]):
             break
         side = _Abreast([seqs[i] for i in some])
-        opens = np.array([first[i] for i in some], dtype=bool)
-        ends = np.ones((len(some), h)) if after is None else after[some]
-        enter = start if before is None else np.where(opens[:, None], start, before[some] @ move)[: side.alive[0]]
-        a, s, back = side.forward(enter, move, emit)
+        opens = np.array([first[i] for i in some], dtype=bool)[: side.alive[0]]
+        ends = np.ones((h, len(some))) if after is None else np.ascontiguousarray(after[some].T)
+        enter = start[:, None] if before is None else np.where(opens, start[:, None], (before[some] @ move).T[:, : len(opens)])
+        a, s, back = side.forward(enter, move, emit, room)
         gain += float(np.log(s).sum())
-        back /= s[:, None]
-        beta = np.ones((0, h))
+        beta = np.ones((h, 0))
         for t in range(len(side.alive) - 1, -1, -1):
             n, lo = side.alive[t], side.off[t]
-            if len(beta) < n:  # sequences that end here
-                beta = np.concatenate((beta, ends[len(beta): n]))
-            come = back[lo: lo + n]
+            if beta.shape[1] < n:  # sequences that end here
+                beta = np.concatenate((beta, ends[:, beta.shape[1]: n]), axis=1)
+            come, now = back[:, lo: lo + n], a[:, lo: lo + n]
+            keep = side.unscaled(t)
+            if keep < n:
+                come[:, keep:] /= s[lo + keep: lo + n]
             come *= beta
-            a[lo: lo + n] *= beta  # what was the message is now the share of each state
+            now *= beta  # what was the message is now the share of each state
             if t:
                 earlier = side.off[t - 1]
-                g_move += a[earlier: earlier + n].T @ come
-                beta = come @ move.T
+                g_move += a[:, earlier: earlier + n] @ come.T
+                beta = move @ come
             elif before is not None:
-                g_move += before[some][:n][~opens[:n]].T @ come[~opens[:n]]
-        g_start += a[: side.alive[0]][opens[: side.alive[0]]].sum(axis=0)
+                g_move += before[some][:n][~opens].T @ come[:, ~opens].T
+        g_start += a[:, : len(opens)][:, opens].sum(axis=1)
         for k in range(h):
-            g_emit[:, k] += np.bincount(side.ids, weights=a[:, k], minlength=len(emit))
-    return g_start, g_move * move, g_emit, gain
+            g_emit[k] += np.bincount(side.ids, weights=a[k], minlength=emit.shape[1])
+    return g_start, g_move * move, g_emit.T, gain
+
 
+def _transfers(seqs: list[np.ndarray], left: np.ndarray, move: np.ndarray, emit: np.ndarray) -> np.ndarray:
+    """For each sequence, up to a factor, what becomes of the rows ``left``, states before its first token's emission, after its last.
 
-def _transfers(seqs: list[np.ndarray], move: np.ndarray, emit: np.ndarray) -> np.ndarray:
-    """For each sequence, up to a factor, the matrix from the state before its first token's emission to that after its last."""
-    h = len(move)
+    ``emit`` is states by classes. The identity as ``left`` gives the whole transfer matrix.
+    """
+    h, rows = len(move), len(left)
     order = np.argsort([-len(s) for s in seqs], kind="stable")
     lens = np.array([len(seqs[i]) for i in order], dtype=np.int64)
     flat = np.concatenate([seqs[i] for i in order])
     at = np.concatenate(([0], np.cumsum(lens)[:-1]))
     alive = np.searchsorted(-lens, -np.arange(lens[0]), side="left")
-    got = np.broadcast_to(np.eye(h), (len(seqs), h, h)).copy()
-    moved = np.empty_like(got)
+    out, step, got = np.empty((len(seqs), rows, h)), np.ascontiguousarray(move.T), None
+
+    def ended(n: int) -> None:
+        done = got[:, :, n:]
+        out[order[n: got.shape[2]]] = (done / done.sum(axis=(0, 1))).transpose(2, 1, 0)
+
     for t in range(int(lens[0])):
-        n = alive[t]
-        now = got[:n]
-        if t:
-            np.matmul(now.reshape(-1, h), move, out=moved[:n].reshape(-1, h))
-            np.multiply(moved[:n], emit[flat[at[:n] + t]][:, None, :], out=now)
-        else:
-            now *= emit[flat[at[:n]]][:, None, :]
+        n = int(alive[t])
+        emits = np.take(emit, flat[at[:n] + t], axis=1)[:, None, :]
+        if got is None:
+            got = left.T[:, :, None] * emits
+            continue
+        if n < got.shape[2]:
+            ended(n)
+            got = np.ascontiguousarray(got[:, :, :n])
+        got = (step @ got.reshape(h, -1)).reshape(h, rows, n)
+        got *= emits
         if t % 8 == 7:  # eight emissions stay far above the smallest double
-            now /= now.sum(axis=(1, 2), keepdims=True)
-    got /= got.sum(axis=(1, 2), keepdims=True)
-    out = np.empty_like(got)
-    out[order] = got
+            got /= got.sum(axis=(0, 1))
+    ended(0)
     return out
 
 
-def document_counts(docs: list[np.ndarray], start, move, emit, segment: int = 2048):
+def document_counts(docs: list[np.ndarray], start, move, emit, segment: int = 2048, room: dict | None = None):
     """Exact expectations and log-likelihood of whole documents; cuts after ``segment`` tokens change the work, not the result."""
     h = len(start)
     seqs, first, spans = [], [], []
@@ -241,20 +298,23 @@ def document_counts(docs: list[np.ndarray], start, move, emit, segment: int = 20
             spans.append((len(seqs), len(seqs) + len(cut)))
         seqs += cut
         first += [True] + [False] * (len(cut) - 1)
-    before, after = np.ones((len(seqs), h)), np.ones((len(seqs), h))
+    before, after, emit = np.ones((len(seqs), h)), np.ones((len(seqs), h)), np.ascontiguousarray(emit.T)
     if spans:
-        inner = [i for a, b in spans for i in range(a, b)]
-        through = dict(zip(inner, _transfers([seqs[i] for i in inner], move, emit), strict=True))
-        for a, b in spans:
-            state = start
-            for i in range(a, b - 1):
-                state = (state if i == a else state @ move) @ through[i]
+        # a first stretch is entered in a known state and a last one left in any, so only those between need matrices
+        heads = _transfers([seqs[a] for a, _ in spans], start[None], move, emit)
+        lasts = _transfers([seqs[b - 1][::-1] for _, b in spans], np.ones((1, h)), move.T, emit)
+        inner = [i for a, b in spans for i in range(a + 1, b - 1)]
+        through = dict(zip(inner, _transfers([seqs[i] for i in inner], np.eye(h), move, emit), strict=True)) if inner else {}
+        for (a, b), head, tail in zip(spans, heads, lasts, strict=True):
+            state = before[a + 1] = head[0]
+            for i in range(a + 1, b - 1):
+                state = (state @ move) @ through[i]
                 state = before[i + 1] = state / state.sum()
-            back = np.ones(h)
+            back = tail[0]
             for i in range(b - 1, a, -1):
-                back = move @ (through[i] @ back)
+                back = move @ (back if i == b - 1 else through[i] @ back)
                 back = after[i - 1] = back / (before[i] @ back)
-    return _counts(seqs, first, start, move, emit, before=before, after=after)
+    return _counts(seqs, first, start, move, emit, before=before, after=after, room=room)
 
 
 def maximise(model: Model, g_start, g_move, g_emit, smoothing: float) -> None:
@@ -326,7 +386,7 @@ def encoded(texts: DataFrame, model: Model) -> DataFrame:
         heavy, _ = held.value
         index = {t: i for i, t in enumerate(heavy)}
         for b in batches:
-            ids = [np.array(encode(t.as_py(), index, len(heavy))[0], dtype="<i4").tobytes() for t in b.column(0)]
+            ids = [encode(t.as_py(), index, len(heavy))[0].tobytes() for t in b.column(0)]
             yield pa.RecordBatch.from_arrays([pa.array(ids, type=pa.binary()), b.column(1)], names=["ids", "drawn"])
 
     return texts.mapInArrow(run, "ids binary, drawn boolean")
@@ -359,18 +419,18 @@ def train_pass(ids: DataFrame, model: Model, p: Params) -> float | None:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         start, move, emit = held.value
-        sums = None
+        sums, room = None, {}
         seqs, size = [], 0
 
         def add():
-            got = document_counts(seqs, start, move, emit, p.segment)
+            got = document_counts(seqs, start, move, emit, p.segment, room)
             return got if sums is None else tuple(a + b for a, b in zip(sums, got, strict=True))
 
         for b in batches:
             for t in b.column(0):
                 seqs.append(np.frombuffer(t.as_buffer(), dtype="<i4"))
                 size += len(seqs[-1])
-                if size >= 1 << 19:
+                if size >= BUFFER:
                     sums = add()
                     seqs, size = [], 0
         if seqs:
@@ -378,7 +438,7 @@ def train_pass(ids: DataFrame, model: Model, p: Params) -> float | None:
         if sums is not None:
             whole = np.concatenate((sums[0], sums[1].ravel(), [sums[3]]))
             yield _blocks([(-1, b"", whole.astype("<f8").tobytes())])
-            yield _blocks(_packed(sums[2], "<f4"))  # of one task; they are added up in double precision
+            yield _blocks(_packed(np.ascontiguousarray(sums[2]), "<f4"))  # of one task; they are added up in double precision
 
     def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         whole, held_sums = None, {}
@@ -480,7 +540,7 @@ def score(docs: DataFrame, model: Model, counts: DataFrame) -> DataFrame:
             seqs, tails, size, since = [], [], 0, 0
             for i, t in enumerate(b.column(3)):
                 ids, tail = encode(t.as_py(), index, first_tail)
-                seqs.append(np.array(ids, dtype=np.int32))
+                seqs.append(ids)
                 tails.append(tail)
                 size += len(ids)
                 if size >= 3 << 19 or i + 1 == b.num_rows:

@@ -1,5 +1,7 @@
 """Training of the language model: cuts change nothing, and all text is iterated until the likelihood settles."""
 
+import tracemalloc
+
 import numpy as np
 import pytest
 
@@ -30,3 +32,38 @@ def test_every_iteration_reads_all_text_until_it_settles(spark, monkeypatch):
     gains = gains[1:]
     assert guess[0] < 41 and len(seen) > 2 and {n for n, _ in seen} == {41}
     assert gains[-1] < 1e-3 * model.tokens <= gains[:-1].min()
+
+
+def _model(states: int = 4, classes: int = 30):
+    rng = np.random.default_rng(7)
+    return rng, rng.dirichlet(np.ones(states)), rng.dirichlet(np.ones(states), states), rng.dirichlet(np.ones(classes), states).T
+
+
+def test_scores_hold_the_messages_of_one_step():
+    rng, start, move, emit = _model(8)
+    docs = [rng.integers(0, 30, 2000).astype(np.int32) for _ in range(200)]
+    tracemalloc.start()
+    got = hmm_lm.forward(docs, start, move, emit)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 8 * 8 * 400_000  # before: two doubles a state and token
+    assert np.isclose(got[:1], hmm_lm.document_counts(docs[:1], start, move, emit, 100_000)[3])
+
+
+def test_only_stretches_between_two_others_need_matrices(monkeypatch):
+    rng, start, move, emit = _model()
+    docs = [rng.integers(0, 30, n).astype(np.int32) for n in (10, 17, 32, 33, 40)]
+    rows, transfers = [], hmm_lm._transfers
+    monkeypatch.setattr(hmm_lm, "_transfers", lambda seqs, left, *a: (rows.append((len(left), len(seqs))), transfers(seqs, left, *a))[1])
+    got = hmm_lm.document_counts(docs, start, move, emit, 16)
+    assert sum(n for h, n in rows if h > 1) == 2  # of the documents of three stretches
+    for a, b in zip(hmm_lm.expected_counts(docs, [True] * 5, start, move, emit), got, strict=False):
+        assert np.allclose(a, b, rtol=1e-9, atol=1e-12)
+
+
+def test_rare_tokens_do_not_vanish_between_scalings():
+    rng, start, move, emit = _model()
+    emit = emit * 1e-40  # each emission near the end of what four of them leave of a double
+    docs = [rng.integers(0, 30, n).astype(np.int32) for n in (1, 2, 3, 4, 5, 9, 40)]
+    assert np.allclose(hmm_lm.forward(docs, start, move, emit), [hmm_lm.forward([d], start, move, emit * 1e40)[0] - 40 * len(d) * np.log(10) for d in docs])
+    assert np.isclose(hmm_lm.document_counts(docs, start, move, emit, 7)[2].sum(), 64)

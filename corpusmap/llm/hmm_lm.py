@@ -16,15 +16,15 @@ from __future__ import annotations
 
 import hashlib
 import sys
-import uuid
 import zlib
-from collections import Counter
+from bisect import bisect_right
 from collections.abc import Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -33,7 +33,9 @@ from corpusmap.llm.common import documents, held_out, materialize, release, row_
 END = b" "  # no token holds a blank
 TAIL_CLASSES, TAIL_BYTES = 4096, 3
 BLOCK = 1024  # classes whose sums travel together between tasks
-GROUP, BUFFER = 1 << 19, 1 << 21  # tokens worked abreast, and tokens held to choose sequences of like lengths from
+GROUP, BUFFER = 1 << 19, 1 << 22  # tokens worked abreast, and tokens held to choose sequences of like lengths from
+STEPS = 1 << 13  # tokens whose emissions are looked up at once where they are not kept: they fit a core's cache
+SLICE = 1 << 23  # bytes of text that are split at once; a longer text is split by itself
 LONG = 64  # bytes; a longer heavy token is held by its digest, so that memory is bounded
 
 
@@ -67,7 +69,6 @@ class Model:
     start: np.ndarray = None
     move: np.ndarray = None
     emit: np.ndarray = None  # classes by states
-    uid: str = field(default_factory=lambda: uuid.uuid4().hex)
 
     @property
     def classes(self) -> int:
@@ -90,15 +91,6 @@ def held_as(token: bytes) -> bytes:
     return token if len(token) <= LONG else END + hashlib.md5(token).digest()
 
 
-def _index(model: Model) -> dict[bytes, int]:
-    """The classes of heavy tokens; one dictionary per worker process and model."""
-    held = sys.__dict__.setdefault("_corpusmap_hmm", {})
-    if model.uid not in held:
-        held.clear()
-        held[model.uid] = {t: i for i, t in enumerate(model.heavy)}
-    return held[model.uid]
-
-
 def encode(text: bytes, index: dict[bytes, int], first_tail: int) -> tuple[np.ndarray, list[bytes]]:
     """Classes of all tokens, the end last, and the tokens that are not heavy."""
     words = tokens_of(text)
@@ -115,6 +107,75 @@ def encode(text: bytes, index: dict[bytes, int], first_tail: int) -> tuple[np.nd
     return ids, tail
 
 
+def _runs(texts: pa.Array) -> Iterator[tuple[int, int]]:
+    """Bounds of runs of texts that hold about SLICE bytes together, one text at least."""
+    sizes, lo = np.cumsum(pc.binary_length(texts).to_numpy(), dtype=np.int64), 0
+    while lo < len(sizes):
+        hi = max(lo + 1, int(np.searchsorted(sizes, SLICE + (sizes[lo - 1] if lo else 0), side="right")))
+        yield lo, hi
+        lo = hi
+
+
+def split_all(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, pa.Array]:
+    """:func:`tokens_of` for binary ``texts`` without nulls: how many each has, their places in a list of the different ones, and that list."""
+    split = pc.ascii_split_whitespace(pc.ascii_lower(texts.view(pa.string())))
+    lens = pc.list_value_length(split).to_numpy().astype(np.int64)
+    coded = split.flatten().view(pa.binary()).dictionary_encode()
+    at, words = coded.indices.to_numpy(), coded.dictionary
+    blank = pc.index(words, b"").as_py()
+    if blank >= 0:  # what lies outside of separators at either end of a text
+        real = at != blank
+        before, ends = np.concatenate(([0], np.cumsum(real))), np.cumsum(lens)
+        lens = before[ends] - before[ends - lens]
+        at = at[real]
+        at = at - (at > blank)
+        words = pa.concat_arrays([words[:blank], words[blank + 1:]])
+    return lens, at, words
+
+
+def _crc_of_bytes() -> np.ndarray:
+    c = np.arange(256, dtype=np.uint32)
+    for _ in range(8):
+        c = np.where(c & 1, (c >> 1) ^ np.uint32(0xEDB88320), c >> 1)
+    return c
+
+
+CRC = _crc_of_bytes()
+
+
+def tail_classes(tokens: pa.Array) -> np.ndarray:
+    """:func:`tail_class` of every token."""
+    if not len(tokens):
+        return np.zeros(0, dtype=np.int64)
+    at = np.frombuffer(tokens.buffers()[1], dtype="<i4")[tokens.offset: tokens.offset + len(tokens) + 1]
+    data, lens, ends = np.frombuffer(tokens.buffers()[2], dtype=np.uint8), np.diff(at), at[1:]
+    crc = np.full(len(tokens), 0xFFFFFFFF, dtype=np.uint32)
+    for back in range(TAIL_BYTES, 0, -1):
+        byte = data[np.maximum(ends - back, 0)]
+        crc = np.where(lens >= back, CRC[(crc ^ byte) & 255] ^ (crc >> 8), crc)
+    return (~crc % TAIL_CLASSES).astype(np.int64)
+
+
+def encode_all(texts: pa.Array, heavy: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, pa.Array]:
+    """:func:`encode` for binary ``texts``: how many tokens each has, the end included, all their classes one after the other, and text and name of each token that is not heavy."""
+    lens, at, words = split_all(texts)
+    of = pc.index_in(words, value_set=heavy).fill_null(-1).to_numpy().copy()
+    long = np.flatnonzero((of < 0) & (pc.binary_length(words).to_numpy() > LONG))
+    if len(long):
+        named = pa.array([held_as(w) for w in words.take(pa.array(long)).to_pylist()], type=pa.binary())
+        of[long] = pc.index_in(named, value_set=heavy).fill_null(-1).to_numpy()
+    rest = np.flatnonzero(of < 0)
+    of[rest] = len(heavy) + tail_classes(words.take(pa.array(rest)))
+    ids, ends = np.empty(len(at) + len(lens), dtype="<i4"), np.cumsum(lens) + np.arange(len(lens))
+    inside = np.ones(len(ids), dtype=bool)
+    inside[ends] = False
+    found = of[at]
+    ids[inside] = found
+    ids[ends] = pc.index(heavy, END).as_py()
+    tail = np.flatnonzero(found >= len(heavy))
+    return lens + 1, ids, np.searchsorted(np.cumsum(lens), tail, side="right"), words.take(pa.array(at[tail]))
+
+
 class _Abreast:
     """Sequences side by side, the longest first; tokens of one step lie together."""
 
@@ -122,11 +183,12 @@ class _Abreast:
         self.lens = np.array([len(s) for s in seqs], dtype=np.int64)
         flat = np.concatenate(seqs)
         at = np.concatenate(([0], np.cumsum(self.lens)[:-1]))
-        self.alive = np.searchsorted(-self.lens, -np.arange(self.lens[0]), side="left")  # sequences longer than t
-        self.off = np.concatenate(([0], np.cumsum(self.alive)))
-        slot = self.off[np.arange(len(flat)) - np.repeat(at, self.lens)] + np.repeat(np.arange(len(seqs)), self.lens)
-        self.ids = np.empty_like(flat)
+        alive = np.searchsorted(-self.lens, -np.arange(self.lens[0]), side="left")  # sequences longer than t
+        off = np.concatenate(([0], np.cumsum(alive)))
+        slot = off[np.arange(len(flat)) - np.repeat(at, self.lens)] + np.repeat(np.arange(len(seqs)), self.lens)
+        self.ids = np.empty(len(flat), dtype=np.intp)  # as numpy takes places, so that it need not turn them for each state
         self.ids[slot] = flat
+        self.alive, self.off = alive.tolist(), off.tolist()  # numbers of Python, which loops read faster
 
     def unscaled(self, t: int) -> int:
         """How many sequences keep their messages as they are at step ``t``: none at every fourth, else those that go on.
@@ -134,7 +196,20 @@ class _Abreast:
         Four emissions stay far above the smallest double; where a message is
         left unscaled its scale is one.
         """
-        return 0 if t % 4 == 3 else int(self.alive[t + 1]) if t + 1 < len(self.alive) else 0
+        return self.alive[t + 1] if t % 4 != 3 and t + 1 < len(self.alive) else 0
+
+    def emitted(self, emit: np.ndarray) -> Iterator[tuple[int, int, np.ndarray]]:
+        """Every step, its number of sequences, and what its tokens emit, states by sequences; about STEPS tokens are held."""
+        t = 0
+        while t < len(self.alive):
+            lo = self.off[t]
+            end = max(t + 1, bisect_right(self.off, lo + STEPS) - 1)
+            out = _by_state(len(emit), self.off[end] - lo, {}, "out")
+            for k in range(len(emit)):
+                np.take(emit[k], self.ids[lo: self.off[end]], out=out[k], mode="clip")
+            for i in range(t, end):
+                yield i, self.alive[i], out[:, self.off[i] - lo: self.off[i + 1] - lo]
+            t = end
 
     def forward(self, enter: np.ndarray, move: np.ndarray, emit: np.ndarray, room: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Scaled forward messages, scales, and what each token emits; ``enter`` is what comes before the first tokens.
@@ -149,16 +224,16 @@ class _Abreast:
         step = np.ascontiguousarray(move.T)
         for t in range(len(self.alive)):
             n, lo = self.alive[t], self.off[t]
-            now, scale = a[:, lo: lo + n], s[lo: lo + n]
+            now = a[:, lo: lo + n]
             if t:
                 before = self.off[t - 1]
                 np.matmul(step, a[:, before: before + n], out=now)
-                now *= out[:, lo: lo + n]
+                np.multiply(now, out[:, lo: lo + n], out=now)
             else:
                 np.multiply(enter, out[:, :n], out=now)
             keep = self.unscaled(t)
             if keep < n:
-                now, scale = now[:, keep:], scale[keep:]
+                now, scale = now[:, keep:], s[lo + keep: lo + n]
                 np.add.reduce(now, axis=0, out=scale)
                 now /= scale
         return a, s, out
@@ -166,10 +241,9 @@ class _Abreast:
     def scales(self, start: np.ndarray, move: np.ndarray, emit: np.ndarray) -> np.ndarray:
         """The scales of :meth:`forward` alone; messages are held for one step."""
         s, step, now = np.ones(len(self.ids)), np.ascontiguousarray(move.T), None
-        for t in range(len(self.alive)):
-            n, lo = self.alive[t], self.off[t]
-            out = np.take(emit, self.ids[lo: lo + n], axis=1)
-            out *= start[:, None] if now is None else step @ now[:, :n]
+        for t, n, out in self.emitted(emit):
+            lo = self.off[t]
+            np.multiply(out, start[:, None] if now is None else step @ now[:, :n], out=out)
             now, keep = out, self.unscaled(t)
             if keep < n:
                 out, scale = out[:, keep:], s[lo + keep: lo + n]
@@ -230,22 +304,20 @@ def _counts(seqs: list[np.ndarray], first: list[bool], start, move, emit, group:
         ends = np.ones((h, len(some))) if after is None else np.ascontiguousarray(after[some].T)
         enter = start[:, None] if before is None else np.where(opens, start[:, None], (before[some] @ move).T[:, : len(opens)])
         a, s, back = side.forward(enter, move, emit, room)
-        gain += float(np.log(s).sum())
-        beta = np.ones((h, 0))
+        gain += float(np.log(s[s != 1.0]).sum())
         for t in range(len(side.alive) - 1, -1, -1):
             n, lo = side.alive[t], side.off[t]
-            if beta.shape[1] < n:  # sequences that end here
-                beta = np.concatenate((beta, ends[:, beta.shape[1]: n]), axis=1)
-            come, now = back[:, lo: lo + n], a[:, lo: lo + n]
+            come, now, beta = back[:, lo: lo + n], a[:, lo: lo + n], ends[:, :n]  # those that end here have their end there yet
             keep = side.unscaled(t)
             if keep < n:
-                come[:, keep:] /= s[lo + keep: lo + n]
-            come *= beta
-            now *= beta  # what was the message is now the share of each state
+                last = come[:, keep:]
+                np.divide(last, s[lo + keep: lo + n], out=last)
+            np.multiply(come, beta, out=come)
+            np.multiply(now, beta, out=now)  # what was the message is now the share of each state
             if t:
                 earlier = side.off[t - 1]
                 g_move += a[:, earlier: earlier + n] @ come.T
-                beta = move @ come
+                np.matmul(move, come, out=beta)
             elif before is not None:
                 g_move += before[some][:n][~opens].T @ come[:, ~opens].T
         g_start += a[:, : len(opens)][:, opens].sum(axis=1)
@@ -261,19 +333,14 @@ def _transfers(seqs: list[np.ndarray], left: np.ndarray, move: np.ndarray, emit:
     """
     h, rows = len(move), len(left)
     order = np.argsort([-len(s) for s in seqs], kind="stable")
-    lens = np.array([len(seqs[i]) for i in order], dtype=np.int64)
-    flat = np.concatenate([seqs[i] for i in order])
-    at = np.concatenate(([0], np.cumsum(lens)[:-1]))
-    alive = np.searchsorted(-lens, -np.arange(lens[0]), side="left")
     out, step, got = np.empty((len(seqs), rows, h)), np.ascontiguousarray(move.T), None
 
     def ended(n: int) -> None:
         done = got[:, :, n:]
         out[order[n: got.shape[2]]] = (done / done.sum(axis=(0, 1))).transpose(2, 1, 0)
 
-    for t in range(int(lens[0])):
-        n = int(alive[t])
-        emits = np.take(emit, flat[at[:n] + t], axis=1)[:, None, :]
+    for t, n, emits in _Abreast([seqs[i] for i in order]).emitted(emit):
+        emits = emits[:, None, :]
         if got is None:
             got = left.T[:, :, None] * emits
             continue
@@ -328,25 +395,19 @@ def maximise(model: Model, g_start, g_move, g_emit, smoothing: float) -> None:
     model.emit = grown / grown.sum(axis=0)
 
 
-def token_counts(texts: DataFrame, flush: int = 200_000) -> DataFrame:
+def token_counts(texts: DataFrame) -> DataFrame:
     """``(token binary, n long)`` over every whole text; each text adds one END. Combined in the task first."""
     ship(texts.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: Counter = Counter()
-
-        def out() -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array(list(seen), type=pa.binary()), pa.array(list(seen.values()), type=pa.int64())], names=["token", "n"])
-
+        n_texts = 0
         for b in batches:
-            for t in b.column(0):
-                seen.update(tokens_of(t.as_py()))
-                seen[END] += 1
-                if len(seen) > flush:
-                    yield out()
-                    seen.clear()
-        if seen:
-            yield out()
+            n_texts += b.num_rows
+            for lo, hi in _runs(b.column(0)):
+                _, at, words = split_all(b.column(0).slice(lo, hi - lo))
+                yield pa.RecordBatch.from_arrays([words, pa.array(np.bincount(at, minlength=len(words)), type=pa.int64())], names=["token", "n"])
+        if n_texts:
+            yield pa.RecordBatch.from_arrays([pa.array([END], type=pa.binary()), pa.array([n_texts], type=pa.int64())], names=["token", "n"])
 
     return texts.mapInArrow(run, "token binary, n long").groupBy("token").agg(F.sum("n").alias("n"))
 
@@ -380,14 +441,16 @@ def random_states(model: Model, p: Params) -> None:
 def encoded(texts: DataFrame, model: Model) -> DataFrame:
     """``texts(text binary, drawn boolean)`` -> ``(ids binary, drawn)``: the classes of every text, the end last, four bytes each."""
     ship(texts.sparkSession)
-    held = texts.sparkSession.sparkContext.broadcast((model.heavy, model.uid))
+    held = texts.sparkSession.sparkContext.broadcast(model.heavy)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        heavy, _ = held.value
-        index = {t: i for i, t in enumerate(heavy)}
+        heavy = pa.array(held.value, type=pa.binary())
         for b in batches:
-            ids = [encode(t.as_py(), index, len(heavy))[0].tobytes() for t in b.column(0)]
-            yield pa.RecordBatch.from_arrays([pa.array(ids, type=pa.binary()), b.column(1)], names=["ids", "drawn"])
+            for lo, hi in _runs(b.column(0)):
+                lens, ids, _, _ = encode_all(b.column(0).slice(lo, hi - lo), heavy)
+                cuts = np.concatenate(([0], np.cumsum(lens * 4))).astype("<i4")
+                packed = pa.Array.from_buffers(pa.binary(), len(lens), [None, pa.py_buffer(cuts), pa.py_buffer(ids)])
+                yield pa.RecordBatch.from_arrays([packed, b.column(1).slice(lo, hi - lo)], names=["ids", "drawn"])
 
     return texts.mapInArrow(run, "ids binary, drawn boolean")
 
@@ -419,7 +482,7 @@ def train_pass(ids: DataFrame, model: Model, p: Params) -> float | None:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         start, move, emit = held.value
-        sums, room = None, {}
+        sums, room = None, sys.__dict__.setdefault("_corpusmap_hmm", {})  # the worker's next task finds it
         seqs, size = [], 0
 
         def add():
@@ -468,7 +531,6 @@ def train_pass(ids: DataFrame, model: Model, p: Params) -> float | None:
         else:
             g_emit[block * BLOCK + np.frombuffer(at, dtype="<u2")] = part.reshape(-1, h)
     maximise(model, g_start, g_move, g_emit, p.smoothing)
-    model.uid = uuid.uuid4().hex
     return float(gain)
 
 
@@ -516,36 +578,29 @@ def score(docs: DataFrame, model: Model, counts: DataFrame) -> DataFrame:
     names = ["doc_id", "k1", "k2", "token", "n_tokens", "n_known", "base", "score"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sys.__dict__.pop("_corpusmap_hmm", None)  # room of the training, which is over
         m = held.value
-        index, first_tail, n_heavy = _index(m), len(m.heavy), len(m.heavy)
+        heavy, n_heavy = pa.array(m.heavy, type=pa.binary()), len(m.heavy)
         logs = np.concatenate((np.log10(m.heavy_counts + 1.0), np.zeros(TAIL_CLASSES)))
         seen = np.concatenate((m.heavy_counts > 0, np.zeros(TAIL_CLASSES, dtype=bool)))
         inside = np.concatenate((np.zeros(n_heavy), -np.log10(m.tail_tokens + m.tail_types + 1.0)))
         floor = np.log10(m.tokens + m.types + 1.0)
 
-        def out(part: pa.RecordBatch, seqs: list, tails: list) -> Iterator[pa.RecordBatch]:
-            lens = np.array([len(s) for s in seqs], dtype=np.int64)
-            flat, at = np.concatenate(seqs), np.concatenate(([0], np.cumsum(lens)[:-1]))
+        def out(part: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+            lens, flat, rows, tail = encode_all(part.column(3), heavy)
+            at = np.concatenate(([0], np.cumsum(lens)[:-1]))
             base = np.add.reduceat(logs[flat], at) - lens * floor
             known = np.add.reduceat(seen[flat].astype(np.int64), at)
-            full = forward(seqs, m.start, m.move, m.emit) / np.log(10) + np.add.reduceat(inside[flat], at)
+            full = forward(np.split(flat, at[1:]), m.start, m.move, m.emit) / np.log(10) + np.add.reduceat(inside[flat], at)
             mark = pa.array([END + k.to_bytes(8, "little", signed=True) for k in part.column(1).to_pylist()], type=pa.binary())  # no token, and spread over the join's keys
             yield pa.RecordBatch.from_arrays([*part.columns[:3], mark, pa.array(lens), pa.array(known), pa.array(base), pa.array(full)], names=names)
-            rows = np.repeat(np.arange(len(tails)), [len(t) for t in tails])
             if len(rows):
                 r, n = pa.array(rows), len(rows)
-                yield pa.RecordBatch.from_arrays([pa.nulls(n, part.column(0).type), part.column(1).take(r), part.column(2).take(r), pa.array([w for t in tails for w in t], type=pa.binary()), pa.nulls(n, pa.int64()), pa.nulls(n, pa.int64()), pa.nulls(n, pa.float64()), pa.nulls(n, pa.float64())], names=names)
+                yield pa.RecordBatch.from_arrays([pa.nulls(n, part.column(0).type), part.column(1).take(r), part.column(2).take(r), tail, pa.nulls(n, pa.int64()), pa.nulls(n, pa.int64()), pa.nulls(n, pa.float64()), pa.nulls(n, pa.float64())], names=names)
 
         for b in batches:
-            seqs, tails, size, since = [], [], 0, 0
-            for i, t in enumerate(b.column(3)):
-                ids, tail = encode(t.as_py(), index, first_tail)
-                seqs.append(ids)
-                tails.append(tail)
-                size += len(ids)
-                if size >= 3 << 19 or i + 1 == b.num_rows:
-                    yield from out(b.slice(since, i + 1 - since), seqs, tails)
-                    seqs, tails, size, since = [], [], 0, i + 1
+            for lo, hi in _runs(b.column(3)):
+                yield from out(b.slice(lo, hi - lo))
 
     head = keyed.select("doc_id", "k1", "k2").schema.simpleString()[7:-1]
     found = keyed.mapInArrow(run, f"{head}, token binary, n_tokens long, n_known long, base double, score double")

@@ -1,8 +1,10 @@
 """Training of the language model: cuts change nothing, and all text is iterated until the likelihood settles."""
 
 import tracemalloc
+from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from corpusmap.llm import hmm_lm
@@ -67,3 +69,53 @@ def test_rare_tokens_do_not_vanish_between_scalings():
     docs = [rng.integers(0, 30, n).astype(np.int32) for n in (1, 2, 3, 4, 5, 9, 40)]
     assert np.allclose(hmm_lm.forward(docs, start, move, emit), [hmm_lm.forward([d], start, move, emit * 1e40)[0] - 40 * len(d) * np.log(10) for d in docs])
     assert np.isclose(hmm_lm.document_counts(docs, start, move, emit, 7)[2].sum(), 64)
+
+
+def _texts():
+    odd = ["", "  ", "\t A\x0bb\x0c ", "a\x1cb \x85 \xa0 c", "É é x", "x" * 64 + " " + "x" * 65 + " " + "Y" * 70, " lead", "trail ", "ab", "xab", "q" * 300 + " ab"]
+    rng = np.random.default_rng(11)
+    return [t.encode() for t in odd] + [b" \xff\xfe  \xc3 "] + [b" ".join(b"w%d" % i for i in rng.zipf(1.3, n) % 5000) for n in (1, 30, 400, 3000)]
+
+
+def test_many_texts_become_classes_at_once(monkeypatch):
+    texts = _texts()
+    tokens = [hmm_lm.tokens_of(t) for t in texts]
+    heavy = [hmm_lm.END, b"a", b"w1", b"w2", b"w3", hmm_lm.held_as(b"x" * 65), b"x" * 64]
+    index = {t: i for i, t in enumerate(heavy)}
+    whole = pa.array([b"before", *texts], type=pa.binary()).slice(1)
+    monkeypatch.setattr(hmm_lm, "SLICE", 500)
+    runs = list(hmm_lm._runs(whole))
+    assert len(runs) > 2 and [i for lo, hi in runs for i in range(lo, hi)] == list(range(len(texts)))
+    for lo, hi in [(0, len(texts)), *runs]:
+        lens, at, words = hmm_lm.split_all(whole.slice(lo, hi - lo))
+        assert lens.tolist() == [len(t) for t in tokens[lo:hi]] and len(set(words.to_pylist())) == len(words)
+        assert words.take(pa.array(at)).to_pylist() == [w for t in tokens[lo:hi] for w in t]
+        assert hmm_lm.tail_classes(words).tolist() == [hmm_lm.tail_class(w) for w in words.to_pylist()]
+        lens, ids, rows, tail = hmm_lm.encode_all(whole.slice(lo, hi - lo), pa.array(heavy, type=pa.binary()))
+        want = [hmm_lm.encode(t, index, len(heavy)) for t in texts[lo:hi]]
+        assert lens.tolist() == [len(i) for i, _ in want] and ids.tolist() == [c for i, _ in want for c in i.tolist()]
+        assert list(zip(rows.tolist(), tail.to_pylist(), strict=True)) == [(k, w) for k, (_, t) in enumerate(want) for w in t]
+
+
+def test_texts_are_split_without_an_object_a_token(spark, monkeypatch):
+    texts = [t.decode(errors="replace") for t in _texts()]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    seen = Counter(w for t in texts for w in [*hmm_lm.tokens_of(t.encode()), hmm_lm.END])
+
+    def one_by_one(*_):
+        raise AssertionError("tokens one by one")
+
+    monkeypatch.setattr(hmm_lm, "tokens_of", one_by_one)  # before: the counts and both encodings went through it
+    assert {bytes(t): n for t, n in hmm_lm.token_counts(df.selectExpr("cast(text as binary)")).collect()} == seen
+
+
+def test_what_steps_emit_is_looked_up_for_many_steps_at_once(monkeypatch):
+    rng, start, move, emit = _model()
+    docs = [rng.integers(0, 30, n).astype(np.int32) for n in (1, 7, 8, 63, 64, 65, 500)]
+    want = [hmm_lm.document_counts([d], start, move, emit, 10_000)[3] for d in docs]
+    looked, take = [], np.take
+    monkeypatch.setattr(np, "take", lambda *a, **k: (looked.append(1), take(*a, **k))[1])
+    got = hmm_lm.forward(docs, start, move, emit)
+    assert len(looked) < 50  # before: one look-up a step, 500 here
+    monkeypatch.setattr(hmm_lm, "STEPS", 9)
+    assert np.allclose(got, want) and np.allclose(hmm_lm.forward(docs, start, move, emit), want)
